@@ -1,0 +1,72 @@
+"""Encoding by the tokenizers library with the ids of repeated words kept.
+
+Where a tokenizer never lets a token cross a place, a text can be cut there and each distinct part be
+encoded once.  ``spaced``: a byte-level tokenizer whose tokens may begin with one space; a single space
+between two characters that are no white space is such a place.  Otherwise white space is dropped and
+any space is such a place.  A text with other white space beside a space is encoded whole.
+"""
+
+from __future__ import annotations
+
+from array import array
+from itertools import chain, islice
+
+from .base import slices
+
+_CODERS: dict[tuple, WordCodec] = {}
+
+
+class WordCodec:
+    def __init__(self, path: str, spaced: bool, most_words: int = 250_000) -> None:
+        import os
+
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
+        from tokenizers import Tokenizer
+
+        self.tokenizer, self.spaced, self.most = Tokenizer.from_file(path), spaced, most_words
+        self.first: dict[str, bytes | None] = {}
+        self.rest: dict[str, bytes | None] = {} if spaced else self.first
+
+    def whole(self, texts: list[str]) -> list[bytes]:
+        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _learn(self, known: dict[str, bytes | None], words: set[str], lead: str) -> None:
+        if len(known) + len(words) > self.most:
+            known.clear()
+            new = list(words)
+        else:
+            new = [w for w in words if w not in known]
+        known.update(zip(new, self.whole([lead + w for w in new]), strict=True))
+        if self.spaced:
+            known.update((w, None) for w in new if not w or w[0].isspace() or w[-1].isspace())
+
+    def encode(self, texts: list[str | None]) -> list[bytes]:
+        """Ids of each text as little-endian unsigned 32-bit integers."""
+        texts = [t or "" for t in texts]
+        out: list[bytes] = []
+        for i, j in slices(texts, 2_000_000):
+            out += self._some(texts[i:j])
+        return out
+
+    def _some(self, texts: list[str]) -> list[bytes]:
+        parts = [t.split(" ") for t in texts]
+        if self.spaced:
+            self._learn(self.first, {p[0] for p in parts}, "")
+            self._learn(self.rest, set(chain.from_iterable(islice(p, 1, None) for p in parts)), " ")
+        else:
+            self._learn(self.first, set(chain.from_iterable(parts)), "")
+        first, rest = self.first, self.rest.__getitem__
+        out = []
+        for text, p in zip(texts, parts, strict=True):
+            try:
+                out.append(first[p[0]] + b"".join(map(rest, islice(p, 1, None))))
+            except TypeError:  # a part that isn't cut off safely
+                out.append(self.whole([text])[0])
+        return out
+
+
+def codec(path: str, spaced: bool) -> WordCodec:
+    """One codec for each tokenizer in a worker process."""
+    if (path, spaced) not in _CODERS:
+        _CODERS[path, spaced] = WordCodec(path, spaced)
+    return _CODERS[path, spaced]
