@@ -6,6 +6,7 @@ import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -80,3 +81,50 @@ def slices(items: list, most_chars: int) -> Iterable[tuple[int, int]]:
 def held_out(column: str = "doc_id"):
     """crc32 of the id as text, modulo 5, is 0; an unknown id counts as held out."""
     return F.coalesce(F.crc32(F.col(column).cast("string").cast("binary")) % 5 == 0, F.lit(True))
+
+
+# -- a filter of bounded size before a shuffle ----------------------------------------------------
+MOST_BITS = 1 << 27  # 16 MB: what is broadcast never gets larger, it only lets more rows pass
+
+
+def _bit_places(values: np.ndarray, bits: int) -> list[np.ndarray]:
+    x, out = values.view(np.uint64), []
+    with np.errstate(over="ignore"):
+        for k in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93):
+            y = (x ^ x >> np.uint64(29)) * np.uint64(k)
+            out.append((y >> np.uint64(32)) & np.uint64(bits - 1))
+    return out
+
+
+def bloom_filter(wanted: DataFrame, column: str, most_bits: int = MOST_BITS) -> np.ndarray:
+    """Bits (as 64-bit words) that pass every value of the long ``column``, and few others."""
+    bits = 1 << min(most_bits.bit_length() - 1, max(10, (16 * wanted.count()).bit_length()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = np.concatenate(_bit_places(batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64), bits))
+            word, where = np.unique(at >> np.uint64(6), return_inverse=True)
+            value = np.zeros(len(word), np.uint64)
+            np.bitwise_or.at(value, where, np.uint64(1) << (at & np.uint64(63)))
+            yield pa.RecordBatch.from_arrays([pa.array(word.astype(np.int64)), pa.array(value.view(np.int64))], names=["word", "value"])
+
+    some = wanted.select(F.col(column).cast("long").alias("v")).where("v is not null").mapInArrow(run, "word long, value long")
+    out = np.zeros(bits // 64, np.uint64)
+    for r in some.groupBy("word").agg(F.expr("bit_or(value)").alias("value")).toLocalIterator():
+        out[r["word"]] = np.int64(r["value"]).astype(np.uint64)
+    return out
+
+
+def passed(rows: DataFrame, column: str, bits: np.ndarray) -> DataFrame:
+    """The rows whose long ``column`` the filter passes."""
+    shared, at = rows.sparkSession.sparkContext.broadcast(bits), rows.columns.index(column)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words = shared.value
+        for batch in batches:
+            keep = np.ones(batch.num_rows, bool)
+            for place in _bit_places(batch.column(at).to_numpy(zero_copy_only=False).astype(np.int64), len(words) * 64):
+                keep &= (words[(place >> np.uint64(6)).astype(np.int64)] >> (place & np.uint64(63)) & np.uint64(1)).astype(bool)
+            yield batch.filter(pa.array(keep))
+
+    return rows.mapInArrow(run, rows.schema)
