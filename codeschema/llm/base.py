@@ -8,8 +8,10 @@ from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -78,6 +80,20 @@ def slices(items: list, most_chars: int) -> Iterable[tuple[int, int]]:
         yield start, len(items)
 
 
+def in_pieces(batches: Iterable[pa.RecordBatch], column: int, most_bytes: int = 2_000_000) -> Iterator[pa.RecordBatch]:
+    """The batches in slices of about ``most_bytes`` of a text column (one row at least), so that few texts are Python objects at once."""
+    for batch in batches:
+        sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
+        ends = np.cumsum(sizes)
+        at = 0
+        while at < batch.num_rows:
+            done = ends[at - 1] if at else 0
+            stop = max(at + 1, int(np.searchsorted(ends, done + most_bytes, "right")))
+            yield batch.slice(at, stop - at)
+            at = stop
+        pa.default_memory_pool().release_unused()
+
+
 def held_out(column: str = "doc_id"):
     """crc32 of the id as text, modulo 5, is 0; an unknown id counts as held out."""
     return F.coalesce(F.crc32(F.col(column).cast("string").cast("binary")) % 5 == 0, F.lit(True))
@@ -115,16 +131,20 @@ def bloom_filter(wanted: DataFrame, column: str, most_bits: int = MOST_BITS) ->
     return out
 
 
-def passed(rows: DataFrame, column: str, bits: np.ndarray) -> DataFrame:
-    """The rows whose long ``column`` the filter passes."""
+def bloom_hits(words: np.ndarray, values: np.ndarray) -> np.ndarray:
+    keep = np.ones(len(values), bool)
+    for place in _bit_places(values, len(words) * 64):
+        keep &= (words[(place >> np.uint64(6)).astype(np.int64)] >> (place & np.uint64(63)) & np.uint64(1)).astype(bool)
+    return keep
+
+
+def passed(rows: DataFrame, column: str, bits: np.ndarray, mark: str | None = None) -> DataFrame:
+    """The rows whose long ``column`` the filter passes, or all rows with that said in a column ``mark``."""
     shared, at = rows.sparkSession.sparkContext.broadcast(bits), rows.columns.index(column)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = shared.value
         for batch in batches:
-            keep = np.ones(batch.num_rows, bool)
-            for place in _bit_places(batch.column(at).to_numpy(zero_copy_only=False).astype(np.int64), len(words) * 64):
-                keep &= (words[(place >> np.uint64(6)).astype(np.int64)] >> (place & np.uint64(63)) & np.uint64(1)).astype(bool)
-            yield batch.filter(pa.array(keep))
+            keep = pa.array(bloom_hits(shared.value, batch.column(at).to_numpy(zero_copy_only=False).astype(np.int64)))
+            yield pa.RecordBatch.from_arrays([*batch.columns, keep], names=[*batch.schema.names, mark]) if mark else batch.filter(keep)
 
-    return rows.mapInArrow(run, rows.schema)
+    return rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField(mark, T.BooleanType())]) if mark else rows.schema)

@@ -5,10 +5,11 @@ anchor; equal windows have equal anchors, and only about every eighth run of wor
 the anchors of all texts seen so far in immutable runs, each sorted by fingerprint, and a catalogue of those
 texts.  A batch of new texts (with larger ids than all before) is handled so:
 
-1. its anchors are counted, merge-joined with every run, and written as a run of their own;
+1. its anchors are counted, written as a run of their own, and that run is merge-joined with every older one;
 2. anchors that occur twice, in the batch or the runs, pick the windows around them, in new and in old texts;
-3. such windows are compared by two independent 64-bit hashes of all their words, and those that also start
-   earlier (smaller doc_id) are repeated; repetitions inside one text are found in the text itself;
+3. such windows are compared by 96 bits: a 64-bit hash of all their words, verified by a second one of the words
+   and the anchor; those that also start earlier (smaller doc_id) are repeated; repetitions inside one text are
+   found in the text itself;
 4. words that a repeated window covers are removed; runs are merged once there are more than ``FAN_OUT``.
 
 A later copy of a whole text is told by its hash and needs no windows; it is never the earliest.
@@ -30,11 +31,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import bloom_filter, free_name, passed, remove_path, scratch, slices, written
+from .base import bloom_filter, bloom_hits, free_name, in_pieces, passed, remove_path, scratch, slices, written
 from .shingles import WordHasher, mix, runs, window_minima, words_of
 
 WINDOW, GRAM, FAN_OUT = 20, 6, 4
-_ONE, _TWO = WordHasher(0), WordHasher(1)
+MOST_ANCHOR_BITS = 1 << 29  # 64 MB: bounds what is broadcast; beyond it more windows are compared, none is lost
+UNKNOWN, _ROTATED = -(1 << 63), np.uint64(0xA24BAED4963EE407)
+_ONE = WordHasher()
 
 
 def anchors_of(hashes: np.ndarray, sizes: list[int], window: int = WINDOW, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -57,18 +60,19 @@ def anchors_of(hashes: np.ndarray, sizes: list[int], window: int = WINDOW, gram:
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Place in the order (unknown ids first), a hash that tells apart rows of one id, and the text."""
     text = F.col(text_col).cast("string")
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("h"), text.alias("text"))
+    return docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(UNKNOWN)).alias("ord"), F.hash(text).alias("h"), text.alias("text"))
 
 
-def catalogue(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, h, n_words, key (hash of the word sequence), whole (sha256 of the words joined), loops (whether an
+def catalogue(rows: DataFrame) -> DataFrame:
+    """ord, h, n_words, key (hash of the word sequence), whole (sha256 of the words joined), loops (whether an
     anchor comes twice), anchors (distinct)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            texts = [t or "" for t in batch.column(2).to_pylist()]
-            for i, j in slices(texts, 2_000_000):
+        for batch in in_pieces(batches, 2):
+            texts = batch.column(2).to_pylist()
+            for i, j in slices([t or "" for t in texts], 2_000_000):
                 split = [words_of(t) for t in texts[i:j]]
                 joined = [b" ".join(w) for w in split]
                 sizes = [len(w) for w in split]
@@ -82,40 +86,40 @@ def catalogue(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
                     anchors.append(once.view(np.int64))
                     loops.append(len(once) < len(mine))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(i, j - i), batch.column(1).slice(i, j - i), pa.array(sizes, pa.int64()), pa.array([hashlib.blake2b(x, digest_size=16).digest() for x in joined], pa.binary()), pa.array([hashlib.sha256(x).hexdigest() for x in joined]), pa.array(loops), pa.array(anchors, pa.list_(pa.int64()))],
-                    names=["doc_id", "h", "n_words", "key", "whole", "loops", "anchors"],
+                    [batch.column(0).slice(i, j - i), batch.column(1).slice(i, j - i), pa.array(sizes, pa.int64()), pa.array([hashlib.blake2b(x, digest_size=16).digest() for x in joined], pa.binary()), pa.array([hashlib.sha256(x).digest() for x in joined], pa.binary()), pa.array(loops), pa.array(anchors, pa.list_(pa.int64()))],
+                    names=["ord", "h", "n_words", "key", "whole", "loops", "anchors"],
                 )
 
-    return _rows(docs, id_col, text_col).mapInArrow(run, "doc_id long, h long, n_words long, key binary, whole string, loops boolean, anchors array<long>")
+    return rows.mapInArrow(run, "ord long, h int, n_words long, key binary, whole binary, loops boolean, anchors array<long>")
 
 
-def picked_windows(rows: DataFrame) -> DataFrame:
-    """rid, doc_id, start, w1, w2: the first of equal windows in each text whose anchor is in ``hot``."""
+def picked_windows(rows: DataFrame, bits: np.ndarray) -> DataFrame:
+    """w1, w2, ord, h, start: the first of equal windows in each text whose anchor passes the filter ``bits``.
+
+    The few windows that pass by chance have no partner and fall away.
+    """
+    shared = rows.sparkSession.sparkContext.broadcast(bits)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rid, doc = batch.column(0).to_numpy(), batch.column(1)
-            texts = [t or "" for t in batch.column(2).to_pylist()]
-            hot = batch.column(3).to_pylist()
-            for i, j in slices(texts, 1_000_000):
+        for batch in in_pieces(batches, 2):
+            texts = batch.column(2).to_pylist()
+            for i, j in slices([t or "" for t in texts], 1_000_000):
                 split = [words_of(t) for t in texts[i:j]]
                 sizes = [len(w) for w in split]
                 one = _ONE(split)
-                owner, starts, prints, _ = anchors_of(one, sizes)
-                ends = np.searchsorted(owner, np.arange(len(split) + 1))
-                keep = np.zeros(len(owner), bool)
-                for d in range(len(split)):
-                    keep[ends[d] : ends[d + 1]] = np.isin(prints[ends[d] : ends[d + 1]].view(np.int64), np.array(hot[i + d], np.int64))
+                owner, starts, prints, places = anchors_of(one, sizes)
+                turn = np.append(True, places[1:] != places[:-1]) if len(places) else np.zeros(0, bool)
+                keep = bloom_hits(shared.value, prints[turn].view(np.int64))[np.cumsum(turn) - 1] if len(turn) else turn
                 offset = np.cumsum([0, *sizes])
                 at = (offset[owner] + starts)[keep]
                 owner, starts = owner[keep], starts[keep]
-                w1, w2 = runs(one, WINDOW)[at], runs(_TWO(split), WINDOW)[at]
+                w1, w2 = runs(one, WINDOW)[at], (mix(prints[keep] ^ _ROTATED) >> np.uint64(32)).astype(np.uint32) ^ (runs(mix(one), WINDOW)[at] >> np.uint64(32)).astype(np.uint32)
                 _, first = np.unique(mix(w1 + mix(owner.astype(np.uint64))), return_index=True)
                 first.sort()
-                owner, starts, w1, w2 = owner[first], starts[first], w1[first], w2[first]
-                yield pa.RecordBatch.from_arrays([pa.array(rid[i:j][owner]), doc.slice(i, j - i).take(pa.array(owner)), pa.array(starts.astype(np.int32)), pa.array(w1.view(np.int64)), pa.array(w2.view(np.int64))], names=["rid", "doc_id", "start", "w1", "w2"])
+                owner = pa.array(owner[first])
+                yield pa.RecordBatch.from_arrays([pa.array(w1[first].view(np.int64)), pa.array(w2[first].view(np.int32)), batch.column(0).slice(i, j - i).take(owner), batch.column(1).slice(i, j - i).take(owner), pa.array(starts[first].astype(np.int32))], names=["w1", "w2", "ord", "h", "start"])
 
-    return rows.select("rid", "doc_id", "text", "hot").mapInArrow(run, "rid long, doc_id long, start int, w1 long, w2 long")
+    return rows.mapInArrow(run, "w1 long, w2 int, ord long, h int, start int")
 
 
 def own_repeats(hashes: np.ndarray, others: np.ndarray) -> np.ndarray:
@@ -140,24 +144,24 @@ def covered(n: int, starts: np.ndarray) -> np.ndarray:
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """rid, n_removed, kept text from rid, text, starts of windows that earlier documents have."""
-    for batch in batches:
+    """ord, h, n_removed, kept text from ord, h, text, starts of windows that earlier documents have."""
+    for batch in in_pieces(batches, 2):
         removed, kept = [], []
-        for text, starts in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+        for text, starts in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
             words = words_of(text)
-            out = covered(len(words), own_repeats(_ONE([words]), np.array(starts or [], np.int64)))
+            out = covered(len(words), own_repeats(_ONE([words]), np.array(starts or [], np.int64))) if len(words) >= WINDOW else np.zeros(len(words), bool)
             removed.append(int(out.sum()))
             kept.append(b" ".join([w for w, x in zip(words, out.tolist(), strict=True) if not x]).decode("utf-8", "surrogatepass"))
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], names=["rid", "n_removed", "kept"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], names=["ord", "h", "n_removed", "kept"])
 
 
 class FingerprintLog:
-    """The index, in a folder that all executors share."""
+    """The index, in a folder that all executors share: runs of anchors, catalogues and the texts they stand for."""
 
     def __init__(self, spark: SparkSession, path: str | None = None) -> None:
         self.spark, self.path = spark, path or scratch(spark, "fingerprints")
         self.runs: list[str] = []
-        self.catalogues: list[DataFrame] = []
+        self.lights: list[DataFrame] = []
         self.texts: list[DataFrame] = []
         self.made = 0
 
@@ -184,69 +188,58 @@ class FingerprintLog:
         self.runs = [new]
 
     def ingest(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-        """(catalogue of the batch, with rid and copy; changed texts: rid, n_removed, kept) after comparison with all
-        that came before.  ``copy``: a later copy of a whole text."""
-        batch = self.path + f"/batch-{len(self.catalogues):05d}"
-        rid = F.monotonically_increasing_id() + (len(self.catalogues) << 56)
-        found = written(catalogue(docs, id_col, text_col).withColumn("rid", rid), "catalogue", f"{batch}-catalogue")
-        olds = self.catalogues
-        everything = found.select("key", "doc_id")
-        for old in olds:
-            everything = everything.unionAll(old.select("key", "doc_id"))
-        firsts = everything.groupBy("key").agg(F.min(F.struct("doc_id")).alias("first"), F.count("*").alias("n")).where("n > 1")
-        later = F.col("first").isNotNull() & (F.col("first") < F.struct("doc_id")) & (F.col("n_words") >= WINDOW)
-        light = found.select("rid", "doc_id", "h", "n_words", "key", "whole", "loops").join(firsts.select("key", "first"), "key", "left")
-        light = written(light.select("rid", "doc_id", "h", "n_words", "key", "whole", "loops", F.coalesce(later, F.lit(False)).alias("copy")), "copies", f"{batch}-light")
-        copies = light.where("copy").select("rid")
-        kept = found.select("rid", "anchors", "doc_id").join(copies, "rid", "left_anti")
-        kept = written(kept, "kept", f"{batch}-kept")
-        remove_path(self.spark, f"{batch}-catalogue")
-        occurring = kept.select("rid", F.explode("anchors").alias("anchor"))
-
-        name = self._write_run(occurring.groupBy("anchor").agg(F.count("*").alias("n")))
+        """(ord, h, n_words, whole, copy of each row; ord, h, n_removed, kept of each changed text) after comparison
+        with all that came before.  ``copy``: a later copy of a whole text."""
+        batch = f"{self.path}/batch-{len(self.lights):05d}"
+        rows = _rows(docs, id_col, text_col)
+        found = written(catalogue(rows), "catalogue", f"{batch}-catalogue")
+        keys = found.select("key", "ord")
+        for old in self.lights:
+            keys = keys.unionAll(old.select("key", "ord"))
+        firsts = keys.groupBy("key").agg(F.min("ord").alias("first"), F.max("ord").alias("last")).where("first < last").select("key", "first")
+        light = found.select("ord", "h", "n_words", "key", "whole", "loops").join(firsts, "key", "left")
+        light = light.select("ord", "h", "n_words", "key", "whole", "loops", F.coalesce((F.col("first") < F.col("ord")) & (F.col("n_words") >= WINDOW), F.lit(False)).alias("copy"))
+        light = written(light, "light", f"{batch}-light")
+
+        # Anchors of all rows but copies: the filter tells most rows apart without moving their anchors.
+        row = F.xxhash64("ord", "h")
+        copies = light.where("copy").select("ord", "h").distinct()
+        bits = bloom_filter(copies.select(row.alias("row")), "row")
+        flagged = passed(found.select("ord", "h", "anchors", row.alias("row")), "row", bits, mark="maybe")
+        sure = flagged.where("not maybe").select("anchors")
+        unsure = flagged.where("maybe").join(copies, ["ord", "h"], "left_anti").select("anchors")
+        counts = sure.unionAll(unsure).select(F.explode("anchors").alias("anchor")).groupBy("anchor").agg(F.count("*").alias("n"))
+        name = self._write_run(counts)
         mine = self._run(name)
         hot = mine.where("n > 1").select("anchor")
         for old in self.runs:
             hot = hot.unionAll(mine.join(self._run(old), "anchor", "left_semi").select("anchor"))
-        if self.runs:
-            hot = hot.distinct()
         self.runs.append(name)
+        remove_path(self.spark, f"{batch}-catalogue")
 
-        touched = occurring
-        for i in range(len(olds)):
-            touched = touched.unionAll(self.kept(i).select("rid", F.explode("anchors").alias("anchor")))
-        picked = touched.join(hot, "anchor").groupBy("rid").agg(F.collect_list("anchor").alias("hot"))
-        picked = written(picked, "picked", f"{batch}-picked")
-        lights = light
-        for i in range(len(olds)):
-            lights = lights.unionAll(self.spark.read.schema(light.schema).parquet(f"{self.path}/batch-{i:05d}-light"))
-        wanted = lights.join(picked, "rid", "left").where("hot is not null or (loops and not copy)").select("rid", "doc_id", "h", "hot")
-        self.texts.append(_rows(docs, id_col, text_col))
+        self.texts.append(rows)
         texts = self.texts[0]
         for t in self.texts[1:]:
             texts = texts.unionAll(t)
-        wanted = written(wanted, "wanted", f"{batch}-wanted")
-        texts = passed(texts, "h", bloom_filter(wanted, "h"))
-        at = wanted.alias("w").join(texts.alias("t"), F.col("w.doc_id").eqNullSafe(F.col("t.doc_id")) & (F.col("w.h") == F.col("t.h")))
-        held = written(at.select("w.rid", "w.doc_id", "t.text", F.coalesce("hot", F.array().cast("array<long>")).alias("hot")).dropDuplicates(["rid"]), "held", f"{batch}-held")
-
-        windows = picked_windows(held.where(F.size("hot") > 0))
-        first = windows.groupBy("w1", "w2").agg(F.min(F.struct("doc_id")).alias("first"), F.max(F.struct("doc_id")).alias("last")).where("first < last").select("w1", "w2", "first")
-        repeats = windows.join(first, ["w1", "w2"]).where(F.col("first") < F.struct("doc_id")).groupBy("rid").agg(F.collect_list("start").alias("starts"))
-        here = held.join(light.select("rid", "loops"), "rid")
-        changed = here.join(repeats, "rid", "left").where("starts is not null or loops").select("rid", "text", "starts").mapInArrow(_cut, "rid long, n_removed long, kept string")
-        changed = written(changed, "changed", f"{batch}-changed")
-        self.catalogues.append(light.select("key", "doc_id"))
+        windows = written(picked_windows(texts, bloom_filter(hot, "anchor", MOST_ANCHOR_BITS)), "windows", f"{batch}-windows")
+        first = windows.groupBy("w1", "w2").agg(F.min("ord").alias("first"), F.max("ord").alias("last")).where("first < last").select("w1", "w2", "first")
+        later = windows.join(first, ["w1", "w2"]).where("first < ord").select("ord", "h", "start")
+        repeats = written(later.groupBy("ord", "h").agg(F.collect_list("start").alias("starts")), "repeats", f"{batch}-repeats")
+        remove_path(self.spark, f"{batch}-windows")
+
+        touched = light.where("not copy").select("ord", "h", "loops").distinct().join(repeats, ["ord", "h"], "left").where("starts is not null or loops").select("ord", "h", "starts")
+        touched = written(touched, "touched", f"{batch}-touched")
+        some = passed(rows.withColumn("row", row), "row", bloom_filter(touched.select(row.alias("row")), "row")).select("ord", "h", "text")
+        changed = some.join(touched, ["ord", "h"]).select("ord", "h", "text", "starts").mapInArrow(_cut, "ord long, h int, n_removed long, kept string")
+        changed = written(changed.dropDuplicates(["ord", "h"]), "changed", f"{batch}-changed")
+        self.lights.append(light)
         if len(self.runs) > FAN_OUT:
             self.compact()
-        return light, changed
-
-    def kept(self, i: int) -> DataFrame:
-        return self.spark.read.schema("rid long, anchors array<long>, doc_id long").parquet(f"{self.path}/batch-{i:05d}-kept")
+        return light.select("ord", "h", "n_words", "whole", "copy"), changed
 
 
-def deduplicated(docs: DataFrame, batches: int = 2, id_col: str = "doc_id", text_col: str = "text", index: FingerprintLog | None = None) -> DataFrame:
-    """doc_id, h, rid, n_words, n_removed, whole (sha256 of all words joined), kept (text of the kept words, null if nothing is removed).
+def deduplicated(docs: DataFrame, batches: int = 1, id_col: str = "doc_id", text_col: str = "text", index: FingerprintLog | None = None) -> DataFrame:
+    """doc_id, h, n_words, n_removed, whole (sha256 of all words joined), kept (the kept words joined, null if nothing is removed).
 
     The texts go through the index in ``batches`` batches of ascending ids.
     """
@@ -260,10 +253,10 @@ def deduplicated(docs: DataFrame, batches: int = 2, id_col: str = "doc_id", text
     out = None
     for part in parts:
         light, changed = index.ingest(part, id_col, text_col)
-        rows = light.join(changed, "rid", "left").select(
-            "doc_id", "h", "rid", "n_words",
+        rows = light.join(changed, ["ord", "h"], "left").select(
+            F.when(F.col("ord") != UNKNOWN, F.col("ord")).alias("doc_id"), "h", "n_words",
             F.when(F.col("copy"), F.col("n_words")).otherwise(F.coalesce("n_removed", F.lit(0))).alias("n_removed"),
-            "whole",
+            F.lower(F.hex("whole")).alias("whole"),
             F.when(F.col("copy"), F.lit("")).when(F.col("n_removed") > 0, F.col("kept")).alias("kept"),
         )
         out = rows if out is None else out.unionAll(rows)
@@ -282,7 +275,7 @@ def cleaned(docs: DataFrame, **options) -> DataFrame:
     key, h, kept = free_name(docs, "key"), free_name(docs, "h"), free_name(docs, "kept")
     rows = written(rows.select(F.col("doc_id").alias(key), F.col("h").alias(h), F.col("kept").alias(kept)), "cleaned")
     text = F.col(text_col).cast("string")
-    out = docs.withColumn(f"{h}t", F.xxhash64(text)).join(rows, F.col(id_col).eqNullSafe(F.col(key)) & (F.col(f"{h}t") == F.col(h)), "left")
+    out = docs.withColumn(f"{h}t", F.hash(text)).join(rows, F.col(id_col).eqNullSafe(F.col(key)) & (F.col(f"{h}t") == F.col(h)), "left")
     return out.select(*[F.coalesce(F.col(kept), text).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
 
 
