@@ -23,8 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import slices, written
-from .word_codec import codec
+from .base import in_pieces, slices, written
+from .bpe_codec import codec
 
 RANK_GROUPS = 256  # bounds the table of group counts that is broadcast: RANK_GROUPS * window rows
 
@@ -104,9 +104,9 @@ def cut_tokens(docs: DataFrame, tokenizer_path: str, window: int, end_id: int, i
     """doc_id, doc_tokens and the checksum of the ids of each piece of up to ``window`` ids."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = codec(tokenizer_path, spaced=True)
+        coder = codec(tokenizer_path)
         end = end_id.to_bytes(4, "little")
-        for batch in batches:
+        for batch in in_pieces(batches, 1):
             texts = batch.column(1).to_pylist()
             tokens, sums = [], []
             for i, j in slices([t or "" for t in texts], 2_000_000):
