@@ -230,9 +230,9 @@ def accesses(m: Models, ops: DataFrame, held: DataFrame) -> DataFrame:
     path = path.select(*KEY, "op", "seq", "elem", "block", "role", "literal_type", F.concat("prefix", "steps").alias("steps"))
     path = path.join(op, [*KEY, "op"])
     # Methods that a cursor or array of results has are not fields; an index into the results is one of them.
-    indexed = F.col("multi") & (F.col("steps")[0]["kind"] == "index")
+    indexed = F.col("multi") & (F.get("steps", F.lit(0))["kind"] == "index")
     path = path.withColumn("steps", F.when(indexed, F.slice("steps", 2, 64)).otherwise(F.col("steps")))
-    listed = F.col("multi") & ~F.col("element") & ~indexed & ((F.col("steps")[0]["kind"] == "method") | (F.col("steps")[0]["name"] == "length"))
+    listed = F.col("multi") & ~F.col("element") & ~indexed & ((F.get("steps", F.lit(0))["kind"] == "method") | (F.get("steps", F.lit(0))["name"] == "length"))
     path = path.where(~F.coalesce(listed, F.lit(False)) & (F.size("steps") > 0)).drop("multi", "element")
     staged = m.args.select(*KEY, "seq", "key", "literal").where(r"key rlike '^[0-9]+[.][$](project|group|match|sort)[.]' or key rlike '^[0-9]+[.][$]unwind'")
     named = staged.select(*KEY, "seq", F.when(F.col("key").rlike("unwind"), F.expr("substring(literal, 2)")).otherwise(F.regexp_replace("key", r"^[0-9]+[.][$]\w+[.]", "")).alias("dotted"), F.col("key").rlike("unwind").alias("many"))
@@ -242,7 +242,7 @@ def accesses(m: Models, ops: DataFrame, held: DataFrame) -> DataFrame:
     named = named.select(*KEY, "seq", steps.alias("steps")).join(ops.where("call = 'aggregate'").select(*KEY, "seq", "op", "container", "elem", "block"), [*KEY, "seq"])
     path = path.unionByName(named.select(*KEY, "op", "seq", "elem", "block", F.lit("stage").alias("role"), F.lit(None).cast("string").alias("literal_type"), "steps", "container"))
     stage = ops.where("synthetic").select(*KEY, F.col("op").alias("stage_op"), (F.floor(F.col("op") / 100) * 100).alias("op"), F.col("container").alias("stage_container"), F.col("as_field").alias("head"))
-    joined = path.withColumn("head", F.col("steps")[0]["name"]).join(stage, [*KEY, "op", "head"], "left")
+    joined = path.withColumn("head", F.get("steps", F.lit(0))["name"]).join(stage, [*KEY, "op", "head"], "left")
     into = F.col("stage_op").isNotNull()
     rest = F.slice("steps", 2, 64)
     rest = F.when(F.element_at(F.concat(rest, F.array(F.struct(F.lit("").alias("name"), F.lit("prop").alias("kind")))), 1)["kind"] == "index", F.slice(rest, 2, 64)).otherwise(rest)
@@ -300,7 +300,7 @@ def fields(m: Models, ops: DataFrame, reads: DataFrame, options: Options = Optio
     g = e.groupBy(*keys, "container", "field").agg(F.max("deep").alias("deep"), F.max("many").alias("many"), F.sort_array(F.collect_set(F.when(F.col("literal_type") != "null", F.col("literal_type")))).alias("types"), F.count("*").alias("n_sites"))
     n, numeric = F.size("types"), F.array_except("types", F.array(F.lit("long"), F.lit("double")))
     kind = F.when(F.col("deep") & F.col("many"), "collection_of_aggregates").when(F.col("many"), "collection").when(F.col("deep"), "aggregate").otherwise("attribute")
-    prim = F.when(n == 0, "string").when(n == 1, F.col("types")[0]).when(F.size(numeric) == 0, "double").otherwise("string")
+    prim = F.when(n == 0, "string").when(n == 1, F.get("types", F.lit(0))).when(F.size(numeric) == 0, "double").otherwise("string")
     evidence = F.when(n == 0, "default").when((n > 1) & (F.size(numeric) > 0), "conflict").otherwise("literal")
     return g.select(*keys, "container", "field", kind.alias("type_kind"), F.when(kind.isin("aggregate", "collection_of_aggregates"), F.lit(None).cast("string")).otherwise(prim).alias("prim_type"), F.when(kind.isin("aggregate", "collection_of_aggregates"), "structure").otherwise(evidence).alias("evidence"), "n_sites")
 

@@ -76,7 +76,7 @@ def infer_local_types(m: Models) -> DataFrame:
 
 def object_sketches(m: Models) -> DataFrame:
     """For each variable that properties are read of: its properties."""
-    return m.uses.where("size(steps) > 0 and steps[0].kind = 'prop'").groupBy(*KEY, "root").agg(F.sort_array(F.collect_set(F.col("steps")[0]["name"])).alias("properties"))
+    return m.uses.where("get(steps, 0).kind = 'prop'").groupBy(*KEY, "root").agg(F.sort_array(F.collect_set(F.get("steps", F.lit(0))["name"])).alias("properties"))
 
 
 # -- flow model ------------------------------------------------------------------------------------
