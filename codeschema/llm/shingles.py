@@ -45,7 +45,7 @@ def runs(hashes: np.ndarray, n: int) -> np.ndarray:
     """A hash for each place of the n words that begin there; the last n - 1 places are meaningless."""
     with np.errstate(over="ignore"):
         out, power = hashes.copy(), MULTIPLIER
-        for j in range(1, n):
+        for j in range(1, min(n, len(out))):
             out[: len(out) - j] += hashes[j:] * power
             power = power * MULTIPLIER
     return mix(out)

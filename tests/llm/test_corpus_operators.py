@@ -119,7 +119,7 @@ def test_store_cases(spark, tmp_path):
 def test_store_damage_is_seen(spark, tmp_path):
     path = str(tmp_path / "store")
     token_store.write_store(docs(spark), path, P.path("word_bpe_49k.json"), end_id=2)
-    r = token_store.recipes(spark, path).withColumn("leaf", F.when(F.col("doc_id") == 6, F.unhex(F.lit("00"))).otherwise(F.col("leaf"))).toPandas()
+    r = token_store.recipes(spark, path).withColumn("leaf", F.when(F.col("doc_id") == 6, F.unhex(F.lit("00"))).otherwise(F.col("leaf"))).collect()
     spark.createDataFrame(r, token_store.recipes(spark, path).schema).write.mode("overwrite").parquet(f"{path}/recipes")
     assert token_store.verify_manifest(spark, path) > 0
 
