@@ -246,8 +246,7 @@ class Injector:
             if part.value:
                 self.alias(seq, self.declare(part.value, unit), (whole, step))
             for inner in part.kids:
-                deeper = self.pattern(inner, seq, where, (whole, step))
-                del deeper
+                self.pattern(inner, seq, where, (whole, step))
         return whole
 
     def result(self, call: int, var: str, element: bool) -> None:
@@ -358,7 +357,8 @@ class Injector:
             seq = self.node("call", where, call)
             row = {"seq": seq, "unit": where["unit"], "chain": number, "pos": pos, "name": name, "n_chain": len(steps), "container": container, "receiver": receiver, "result": None, "element": False, "callback": None, "text": self.slice(call)[:400]}
             self.rows["calls"].append(row)
-            self.rows["resolved"].append({"seq": seq, "callee": name}) if head.kind == "name" else None
+            if head.kind == "name":
+                self.rows["resolved"].append({"seq": seq, "callee": name})
             holder = self.path(head.kids[0]) if head.kind == "member" else None
             if holder and container is None:  # a method of a variable that may hold stored objects
                 self.use(seq, where, (holder[0], [*holder[1], {"name": name, "kind": "method"}]), "read", "string" if name in TEXT_METHODS else None)
@@ -370,7 +370,7 @@ class Injector:
                     self.callback(arg, seq, row, where, holder, container is not None, name, steps[pos - 1].kids[0].name if pos else "")
                 else:
                     self.argument(arg, seq, i, "", where)
-                    self.expression(arg, seq, where, "arg") if arg.kind != "call" else self.chain(arg, where)
+                    self.expression(arg, seq, where, "arg")
         return number
 
     def callback(self, f: Node, seq: int, row: dict, where: dict, holder, stored: bool, name: str, before: str) -> None:
@@ -385,7 +385,7 @@ class Injector:
             target = f.value[at]
             data = f"{target.name}@{unit}" if target.kind == "name" else f"#{seq}@{unit}"
             if stored:
-                if name in ITERATES and before or name == "then" or not (name in ITERATES):
+                if before or name not in ITERATES:
                     row["result"], row["element"], row["callback"] = data, name in ITERATES, unit
                     for other in self.rows["calls"]:
                         if other["chain"] == row["chain"] and other["result"] is None:

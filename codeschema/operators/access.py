@@ -205,7 +205,7 @@ def chain_depth(links: DataFrame, max_rounds: int = 32) -> DataFrame:
 # -- forward pass --------------------------------------------------------------------------------
 def reach(m: Models, ops: DataFrame, options: Options = Options()) -> DataFrame:  # noqa: B008
     """Variables that hold an operation's result or a part of it: (key, op, var, prefix of the path, from where)."""
-    start = ops.where("not synthetic and not scalar and result_var is not null").select(*KEY, "op", F.col("result_var").alias("var"), F.when(F.col("element") | ~F.col("multi"), F.expr(f"cast(array() as {STEPS})")).otherwise(F.expr(f"cast(array() as {STEPS})")).alias("prefix"), F.col("seq").alias("at"))
+    start = ops.where("not synthetic and not scalar and result_var is not null").select(*KEY, "op", F.col("result_var").alias("var"), F.expr(f"cast(array() as {STEPS})").alias("prefix"), F.col("seq").alias("at"))
     seen = fresh = written(start, "held")
     if not options.aliases:
         return seen

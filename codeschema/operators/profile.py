@@ -9,7 +9,6 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..frontend.inject import _SCRIPT
 from ..functions import stem
 
 
@@ -81,7 +80,6 @@ def inclusion_candidates(frames: dict[str, DataFrame], by_name: bool = False) ->
     Distinct values of all integer columns are gathered once; a pair is kept if the shared values are all of the
     holder's.  Pairs are pruned by types and ranges before values are compared.
     """
-    spark = next(iter(frames.values())).sparkSession
     ints = [(e, c) for e, df in sorted(frames.items()) for c, t in df.dtypes if t in ("int", "bigint")]
     values = reduce(DataFrame.unionByName, [frames[e].select(F.lit(f"{e}.{c}").alias("column"), F.col(c).cast("long").alias("v")) for e, c in ints]).where("v is not null")
     distinct = values.groupBy("column", "v").agg(F.count("*").alias("n"))
@@ -92,7 +90,6 @@ def inclusion_candidates(frames: dict[str, DataFrame], by_name: bool = False) ->
         last = lambda c: F.regexp_extract(c, r"([a-z]+)$", 1)
         pairs = pairs.where(last(F.col("column")) == last(F.col("key")))
     hit = distinct.select("column", "v").join(pairs, "column").join(distinct.select(F.col("column").alias("key"), "v"), ["key", "v"]).groupBy("column", "key", "n_values").agg(F.count("*").alias("n_shared"))
-    del spark
     return hit.where("n_shared = n_values").select(F.col("column").alias("holder"), F.col("key").alias("referenced"), F.col("n_values"))
 
 
@@ -110,8 +107,6 @@ def script_calls(pages: DataFrame) -> DataFrame:
     return pages.select("page_id", F.regexp_extract(script, r"track\((\d+)\)", 1).cast("long").alias("track"))
 
 
-SCRIPT = _SCRIPT.pattern
-
 
 def track_entities(found: DataFrame) -> DataFrame:
     """Versions of each entity by field set only, with what came and went; no relationships (input: ``versions_of``)."""

@@ -10,6 +10,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import streaming
+from .frontend import sqltext
 from .functions import name_similarity, singular
 from .operators import access, joins, logical, measure, migrate, models, profile, rewrite, shop
 from .operators.access import Access
@@ -107,7 +108,7 @@ def reachable_nodes(spark, d):
     return models.reachable(models.flow_edges(m), models.flow_nodes(m).where("kind = 'start'")).select("dst", "dist")
 
 
-@query("unresolved_calls", values("callee", "('handler')") + " WHERE false UNION ALL SELECT 'missing'")
+@query("unresolved_calls", values("callee", "('missing')"))
 def unresolved_calls(spark, d):
     files = spark.createDataFrame([("m", 1, "m.js", "function f() { return 1; } f(); missing();", "", "js")], "app_id string, version int, path string, content string, sha string, lang string")
     return models.unresolved_calls(Models(files)).select("callee")
@@ -169,7 +170,7 @@ def topk_containers(spark, d):
     return n.withColumn("r", F.row_number().over(W.partitionBy("app_id").orderBy(F.desc("n"), "container"))).where("r <= 2").drop("r")
 
 
-@query("access_points_regex", _C2.replace("SELECT event_id, user_id, CAST(week(ts) AS INTEGER), 'customers', 'R' FROM e WHERE k % 10 <> 0 AND event_type IN ('view', 'click')", "SELECT event_id, user_id, CAST(week(ts) AS INTEGER), 'customers', 'R' FROM e WHERE k % 10 <> 0 AND event_type IN ('view', 'click')") + "SELECT 'e' || event_id || '.js' AS path, container, CASE kind WHEN 'R' THEN 'findOne' WHEN 'I' THEN 'insertOne' WHEN 'U' THEN 'updateOne' ELSE 'deleteOne' END AS call FROM o")
+@query("access_points_regex", _C2 + "SELECT 'e' || event_id || '.js' AS path, container, CASE kind WHEN 'R' THEN 'findOne' WHEN 'I' THEN 'insertOne' WHEN 'U' THEN 'updateOne' ELSE 'deleteOne' END AS call FROM o")
 def access_points_regex(spark, d):
     """The baseline that finds calls by patterns."""
     return profile.detect_access_points(corpora.event_snippets(spark, d)).select("path", "container", "call")
@@ -205,7 +206,7 @@ def backward_links_kill(spark, d):
     return _c3(spark, d, kill=True)[2].select("path", "prev_container", "next_container", "hops")
 
 
-@query("op_chain_depth", "SELECT depth, 2 * count(*) // 2 AS n FROM (SELECT unnest([0, 1]) AS depth, o_orderkey FROM orders) GROUP BY depth")
+@query("op_chain_depth", "SELECT depth, count(*) AS n FROM (SELECT unnest([0, 1]) AS depth, o_orderkey FROM orders) GROUP BY depth")
 def op_chain_depth(spark, d):
     return access.chain_depth(_c3(spark, d)[2]).groupBy("depth").agg(F.count("*").alias("n"))
 
@@ -443,7 +444,7 @@ def reference_precision_recall(spark, d):
     return measure.score_pairs(profile.inclusion_candidates(_tables(spark, d)), truth, ["holder", "referenced"])
 
 
-@query("lower_bounds", values("entity, feature, code_lower, data_lower", "('customers', 'orders', 0, 0)", "('customers', 'parts', 0, 0)") + " WHERE false UNION ALL SELECT 'orders', 'summary', 0, CASE WHEN count(DISTINCT l_orderkey) < (SELECT count(*) FROM orders) THEN 0 ELSE 1 END FROM lineitem")
+@query("lower_bounds", "SELECT 'orders' AS entity, 'summary' AS feature, 0 AS code_lower, CASE WHEN count(DISTINCT l_orderkey) < (SELECT count(*) FROM orders) THEN 0 ELSE 1 END AS data_lower FROM lineitem")
 def lower_bounds(spark, d):
     """Code can't tell lower bounds; data can."""
     s = logical.to_logical(_backend(spark)).where("entity = 'orders' and feature = 'summary'")
@@ -660,6 +661,23 @@ def stream_enriched(spark, d):
     return streaming.run_to_table(streaming.enriched(_stream(spark, d), names, "user_id").select("event_id", "name"), "enriched_ops", "append")
 
 
+@query("stream_joined_changes", "SELECT h.event_id AS host, r.event_id AS referenced FROM events h JOIN events r ON h.user_id = r.user_id AND r.ts <= h.ts AND r.ts >= h.ts - INTERVAL 1 DAY WHERE h.event_type = 'purchase' AND r.event_type = 'signup'")
+def stream_joined_changes(spark, d):
+    """Inserts with changes of the same user in the day before: two streams."""
+    e = streaming.event_stream(spark, f"{d}/events.parquet")
+    hosts = e.where("event_type = 'purchase'").select(F.col("user_id").alias("ref"), "ts", F.col("event_id").alias("host"))
+    changes = e.where("event_type = 'signup'").select(F.col("user_id").alias("ref"), "ts", F.col("event_id").alias("referenced"))
+    return streaming.run_to_table(streaming.matched_changes(hosts, changes, "1 day").select("host", "referenced"), "joined_changes", "append")
+
+
+@query("sql_frontend", values("seq, kind, container, n_joins", "(0, 'R', 'orders', 1)", "(0, 'R', 'customers', 1)", "(1, 'I', 'log', 0)", "(2, 'D', 'orders', 0)", "(3, 'U', 'parts', 0)"))
+def sql_frontend(spark, d):
+    """Operations of a SQL script, by the second front end."""
+    text = "SELECT o.total, c.name FROM orders o JOIN customers c ON o.customer = c.id; INSERT INTO log VALUES (1, 'a;b'); -- note\nDELETE FROM orders WHERE id = 1; UPDATE parts SET size = 2 WHERE id = 3"
+    files = spark.createDataFrame([("s", 1, "a.sql", text, "", "sql")], "app_id string, version int, path string, content string, sha string, lang string")
+    return sqltext.operations(files).select("seq", "kind", "container", "n_joins")
+
+
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Operations, dependencies and references of the order snippets, as rows."""
     a = Access(Models(corpora.order_snippets(spark, d)))
