@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .base import held_out, slices
+from .base import held_out, in_pieces, slices
 
 MARK, UNKNOWN_P, FLOOR = "▁", 1e-7, 1e-8
 _BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -240,7 +240,7 @@ def identify(docs: DataFrame, model: tuple[list[str], np.ndarray, np.ndarray], v
             _SCORERS.clear()
             _SCORERS[id(p)] = Scorer(vocabulary_path, p, prior) if langs else None
         scorer, names = _SCORERS[id(p)], [*langs, "und"]
-        for batch in batches:
+        for batch in in_pieces(batches, len(columns)):
             texts = [t or "" for t in batch.column(batch.num_columns - 1).to_pylist()]
             best, score = np.full(len(texts), -1), np.zeros(len(texts))
             if scorer:

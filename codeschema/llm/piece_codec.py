@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import slices
+from .base import in_pieces, slices
 
 SPACE = "▁"
 _MARK = SPACE.encode()
@@ -213,7 +213,7 @@ def encode_column(docs: DataFrame, model_path: str, id_col: str = "doc_id", text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = codec(model_path)
-        for batch in batches:
+        for batch in in_pieces(batches, 1):
             texts = [t or "" for t in batch.column(1).to_pylist()]
             for i, j in slices(texts, 1_000_000):
                 ids, ends, decoded = zip(*coder.encode(texts[i:j]), strict=True)

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import slices, written
+from .base import in_pieces, slices, written
 
 # The base patterns and their least lengths.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -163,7 +163,7 @@ def scanned(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     found_type = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("bits", pa.int32())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in in_pieces(batches, 1):
             base, found, tested = [], [], []
             for t in batch.column(1).to_pylist():
                 b, f, n = scan(t or "")
@@ -238,7 +238,7 @@ def redacted(docs: DataFrame, rate: float = RATE, put: str = "<secret>", text_co
         return "".join([*out, text[done:]])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in in_pieces(batches, at):
             texts = batch.column(at).to_pylist()
             for i, j in slices([t or "" for t in texts], 4_000_000):
                 columns = [c.slice(i, j - i) for c in batch.columns]

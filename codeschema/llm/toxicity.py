@@ -23,10 +23,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import held_out, slices
+from .base import held_out, in_pieces, slices
 from .language_id import training_sample
 
-SPAN, STRIDE, HIDDEN, WIDE, ATTEND, GRAMS = 32, 16, 8, 12, 8, 1 << 13
+SPAN, STRIDE, HIDDEN, WIDE, ATTEND, GRAMS = 16, 8, 8, 12, 8, 1 << 14
 SIGNS = ".,;:!?\"'()[]{}<>|*#%&$/\\-_+=~`^@…«»“”„’‘"
 _SCORERS: dict[int, Scorer] = {}
 
@@ -63,6 +63,7 @@ class Network:
     words: dict[str, int]
     p: dict[str, np.ndarray]
     prior: float
+    shift: float = 0.0  # of logits, from the sample's share of toxic texts to that of all labelled ones
 
     @staticmethod
     def fresh(words: dict[str, int], prior: float, seed: int = 7) -> Network:
@@ -165,7 +166,7 @@ def windows(numbers: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarr
     return flat[np.minimum(at, len(flat) - 1)], (at < offset[owner + 1]).astype(np.float32), owner
 
 
-def train(texts: list[str], labels: list[int], most_words: int = 20_000, least_texts: int = 3, batch: int = 600, updates: int = 600, rate: float = 0.01, decay: float = 0.02, seed: int = 7) -> Network | None:
+def train(texts: list[str], labels: list[int], most_words: int = 20_000, least_texts: int = 3, batch: int = 1200, updates: int = 400, rate: float = 0.01, decay: float = 0.02, keep: float = 0.7, seed: int = 7) -> Network | None:
     """Adam on the logistic loss of whole texts."""
     if not texts or len(set(labels)) < 2:
         return None
@@ -192,6 +193,8 @@ def train(texts: list[str], labels: list[int], most_words: int = 20_000, least_t
             x, numbers, grams, starts = net.inputs(words)
             hide = rng.random(len(words)) < 0.3  # the characters have to do without the word
             x[hide, :WIDE] = 0
+            thin = (rng.random((len(words), 2 * WIDE)) < keep).astype(np.float32) / keep
+            x *= thin
             rows, mask, owner = windows([np.fromiter(map(index.__getitem__, split[i]), np.int64, len(split[i])) for i in some])
             logits, saved = forward(p, (x @ p["x_f"] + p["b_f"])[rows], (x @ p["x_b"] + p["b_b"])[rows], mask, keep=True)
             share = np.exp(2 * (logits - np.maximum.reduceat(logits, np.searchsorted(owner, np.unique(owner)))[np.unique(owner, return_inverse=True)[1]]))
@@ -205,6 +208,7 @@ def train(texts: list[str], labels: list[int], most_words: int = 20_000, least_t
                 by_word = np.stack([np.bincount(rows.ravel(), flat[:, k], len(words)) for k in range(3 * HIDDEN)], axis=1).astype(np.float32)
                 g[f"x_{d}"], g[f"b_{d}"] = x.T @ by_word, by_word.sum(axis=0)
                 dx += by_word @ p[f"x_{d}"].T
+            dx *= thin
             g["word"], g["gram"] = np.zeros_like(p["word"]), np.zeros_like(p["gram"])
             np.add.at(g["word"], numbers[~hide], dx[~hide, :WIDE])
             g["word"][-1] = 0
@@ -239,7 +243,7 @@ class Scorer:
             self.rows = np.concatenate([self.rows, self.net.inputs(new)[0] @ self.weights + self.bias])
         return [np.fromiter(map(self.known.__getitem__, s), np.int64, len(s)) for s in split]
 
-    def scores(self, texts: list[str], most_windows: int = 4096) -> np.ndarray:
+    def scores(self, texts: list[str], most_windows: int = 8192) -> np.ndarray:
         split = [words_of(t) for t in texts]
         rows, mask, owner = windows(self._numbers(split))
         best = np.full(len(texts), -np.inf)
@@ -247,16 +251,22 @@ class Scorer:
             x = self.rows[rows[:, i : i + most_windows]]
             logits, _ = forward(self.net.p, x[:, :, : 3 * HIDDEN], x[:, :, 3 * HIDDEN :], mask[:, i : i + most_windows])
             np.maximum.at(best, owner[i : i + most_windows], logits)
-        return np.where(np.isfinite(best), sigmoid(np.where(np.isfinite(best), best, 0.0)), self.net.prior)
+        return np.where(np.isfinite(best), sigmoid(np.where(np.isfinite(best), best + self.net.shift, 0.0)), self.net.prior)
 
 
 def fit(docs: DataFrame, labels: DataFrame, per_label: int = 1500) -> Network | None:
     """A network from labelled texts that are not held out; both tables by doc_id."""
     marks = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    known = training_sample(marks.where(~held_out()), per_label, F.col("toxic"), "doc_id")
+    marks = marks.where(~held_out())
+    shares = marks.agg(F.avg((F.col("toxic") > 0).cast("double")).alias("share")).first()["share"]
+    known = training_sample(marks, per_label, F.col("toxic"), "doc_id")
     # A bounded sample of ids picks the texts.
     rows = docs.select("doc_id", "text").where(F.col("text").isNotNull()).join(F.broadcast(known), "doc_id").orderBy("doc_id", "text").collect()
-    return train([r["text"] for r in rows], [int(r["toxic"] > 0) for r in rows])
+    net = train([r["text"] for r in rows], [int(r["toxic"] > 0) for r in rows])
+    if net and 0 < shares < 1:
+        net.shift = float(np.log(shares / (1 - shares)) - np.log(net.prior / (1 - net.prior)))
+        net.prior = float(shares)
+    return net
 
 
 def score(docs: DataFrame, net: Network | None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -268,7 +278,7 @@ def score(docs: DataFrame, net: Network | None, id_col: str = "doc_id", text_col
         if net is not None and id(net) not in _SCORERS:
             _SCORERS.clear()
             _SCORERS[id(net)] = Scorer(net)
-        for batch in batches:
+        for batch in in_pieces(batches, 1):
             texts = [t or "" for t in batch.column(1).to_pylist()]
             out = np.zeros(len(texts))
             if net is not None:
