@@ -11,8 +11,8 @@ plain one) and, if it repeats shingles, a second one with weights 1 + log2(count
 buckets.  A pair is linked if its plain or its weighted similarity, both exact, is at least ``least``.
 
 Equal texts (as word sequences) are one node.  In a bucket each node is compared with a hub, not with
-all others; buckets whose nodes are then in several classes get new hubs until a round finds no link, and
-small ones are compared in full.  Classes are the connected components of the links.
+all others; buckets whose nodes are then in several classes get other hubs (1, then 4 at once: ``HUBS``), and
+small ones are then compared in full.  Classes are the connected components of the links.
 
 Defined cases: a text that is null or has no word is alone in its class; a text of one to four words is one
 shingle; repeated rows are copies; rows without id count as copies like others (an id that is unknown
@@ -29,11 +29,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import bloom_filter, free_name, passed, slices, written
+from .base import bloom_filter, free_name, in_pieces, passed, slices, written
 from .shingles import WordHasher, mix, runs, words_of
 
 WORDS, LEAST, BANDS, ROWS = 5, 0.8, 36, 6
-SMALL_BUCKET, MOST_ROUNDS = 64, 8
+SMALL_BUCKET, FIRST_BANDS, HUBS = 64, 8, (1, 4)
 _HASHER = WordHasher()
 
 
@@ -140,7 +140,7 @@ def sketch(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", band
     """doc_id, h (hash of the text), key (of its word sequence), bands."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in in_pieces(batches, 2):
             texts = [t or "" for t in batch.column(2).to_pylist()]
             for i, j in slices(texts, 3_000_000):
                 split = [words_of(t) for t in texts[i:j]]
@@ -161,7 +161,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last_key, last = None, None
-        for batch in batches:
+        for batch in in_pieces(batches, 3):
             keep = []
             for k, ta, tb in zip(batch.column(0).to_pylist(), batch.column(2), batch.column(3), strict=True):
                 if k != last_key:  # a hub's pairs come one after the other
@@ -181,15 +181,25 @@ def components(edges: DataFrame) -> DataFrame:
     each round; every round is written out.
     """
     both = written(edges.select("a", "b").unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))), "edges")
-    labels = written(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("label")).select(F.col("a").alias("node"), "label"), "labels")
+    labels = written(both.groupBy(F.col("a").alias("node")).agg(F.least(F.col("a"), F.min("b")).alias("label")), "labels")
     while True:
-        heard = both.join(labels.select(F.col("node").alias("b"), "label"), "b").groupBy("a").agg(F.min("label").alias("heard"))
-        near = labels.join(heard, labels["node"] == heard["a"]).select("node", F.col("label").alias("old"), F.least("label", "heard").alias("label"))
-        jumped = near.join(labels.select(F.col("node").alias("label"), F.col("label").alias("next")), "label", "left")
-        new = written(jumped.select("node", "old", F.least("label", F.coalesce("next", "label")).alias("label")), "labels")
-        if new.where("old != label").isEmpty():
-            return new.select("node", "label")
+        heard = both.join(labels.select(F.col("node").alias("b"), "label"), "b").select(F.col("a").alias("node"), "label", F.lit(None).cast("binary").alias("old"))
+        near = labels.select("node", "label", F.col("label").alias("old")).unionAll(heard).groupBy("node").agg(F.min("label").alias("label"), F.max("old").alias("old"))
+        jumped = near.join(labels.select(F.col("node").alias("label"), F.col("label").alias("next")), "label")
+        new = written(jumped.select("node", "old", F.least("label", "next").alias("label")), "labels")
         labels = new.select("node", "label")
+        if new.where("old != label").isEmpty():
+            return labels
+
+
+def _merged(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """Labels after more links: only the labels that these join are followed anew."""
+    of = lambda c: F.coalesce(F.col(f"{c}_label"), F.col(c))
+    named = links.join(labels.select(F.col("node").alias("a"), F.col("label").alias("a_label")), "a", "left").join(labels.select(F.col("node").alias("b"), F.col("label").alias("b_label")), "b", "left")
+    moved = components(named.select(of("a").alias("a"), of("b").alias("b")).where("a != b").distinct()).select(F.col("node").alias("label"), F.col("label").alias("new"))
+    kept = labels.join(moved, "label", "left").select("node", F.coalesce("new", "label").alias("label"))
+    alone = moved.select(F.col("label").alias("node"), F.col("new").alias("label")).join(labels.select("node"), "node", "left_anti")
+    return written(kept.unionByName(alone), "labels")
 
 
 def classes(docs: DataFrame, least: float = LEAST, bands: int = BANDS, rows: int = ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -197,34 +207,32 @@ def classes(docs: DataFrame, least: float = LEAST, bands: int = BANDS, rows: int
     sketches = written(sketch(docs, id_col, text_col, bands, rows), "sketches")
     worded = sketches.where(F.size("bands") > 0)
     nodes = written(worded.groupBy("key").agg(F.min(F.struct("doc_id", "h")).alias("row"), F.min("doc_id").alias("least_id"), F.first("bands").alias("bands")), "nodes")
-    bucket = nodes.select("key", F.explode("bands").alias("band"))
+    bucket = nodes.select("key", F.posexplode("bands").alias("at", "band"))
     hubs = bucket.groupBy("band").agg(F.min("key").alias("hub"), F.max("key").alias("other")).where("hub != other").select("band", "hub")
     members = written(bucket.join(hubs, "band"), "members")
     wanted = written(members.select("key").distinct().join(nodes, "key").select("key", "row.doc_id", "row.h"), "wanted")
     texts = written(_node_texts(docs, wanted, id_col, text_col), "texts")
 
-    tried = written(members.where("key != hub").select(F.col("hub").alias("a"), F.col("key").alias("b")).distinct(), "pairs")
-    links = written(_verified(tried, texts, least), "links")
-    labels = components(links)
-    for turn in range(MOST_ROUNDS + 1):
+    # A few bands link nearly all of a class; the others then only matter where classes meet in a bucket.
+    pairs = written(members.where(f"key != hub and at % {bands} < {FIRST_BANDS}").select(F.col("hub").alias("a"), F.col("key").alias("b")).distinct(), "pairs")
+    labels = components(written(_verified(pairs, texts, least), "links"))
+
+    # Buckets whose nodes are in several classes: other hubs, some at a time; then small ones in full.
+    for turn in range(len(HUBS) + 1):
         held = members.select("band", "key").join(labels, F.col("key") == F.col("node"), "left").select("band", "key", F.coalesce("label", "key").alias("label"))
-        split = held.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("n"), F.min(F.struct(F.xxhash64("key", F.lit(turn)).alias("x"), F.col("key").alias("hub"), F.col("label").alias("of"))).alias("hub")).where("low != high")
-        if turn < MOST_ROUNDS:
-            pairs = held.join(split.select("band", F.col("hub.hub").alias("hub"), F.col("hub.of").alias("of")), "band").where("label != of")
-            pairs = pairs.select(F.least("hub", "key").alias("a"), F.greatest("hub", "key").alias("b")).distinct()
-        else:  # what is left of small buckets, in full
-            some = held.join(split.where(F.col("n") <= SMALL_BUCKET).select("band"), "band")
+        hub = [F.min(F.struct(F.xxhash64("key", F.lit(turn * 8 + i)).alias("x"), F.col("key").alias("hub"), F.col("label").alias("of"))) for i in range(HUBS[min(turn, len(HUBS) - 1)])]
+        split = held.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("n"), F.array(*hub).alias("hubs")).where("low != high")
+        held = written(held.join(split.select("band", "n", "hubs"), "band"), "split")
+        if turn < len(HUBS):
+            asked = held.select("key", "label", F.explode("hubs").alias("h")).where("label != h.of")
+            pairs = asked.select(F.least("h.hub", "key").alias("a"), F.greatest("h.hub", "key").alias("b"))
+        else:
+            some = held.where(F.col("n") <= SMALL_BUCKET).select("band", "key", "label")
             other = some.select("band", F.col("key").alias("b"), F.col("label").alias("of"))
-            pairs = some.select("band", F.col("key").alias("a"), "label").join(other, "band").where("label != of and a < b").select("a", "b").distinct()
-        pairs = written(pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
-        found = written(_verified(pairs, texts, least), "links")
+            pairs = some.select("band", F.col("key").alias("a"), "label").join(other, "band").where("label != of and a < b").select("a", "b")
+        found = written(_verified(pairs.distinct(), texts, least), "links")
         if not found.isEmpty():
-            links, tried = links.unionAll(found), tried.unionAll(pairs)
-            labels = components(links)
-        elif turn < MOST_ROUNDS:
-            tried = tried.unionAll(pairs)
-            if pairs.isEmpty():
-                break
+            labels = _merged(labels, found)
 
     named = nodes.select("key", "row", "least_id").join(labels, F.col("key") == F.col("node"), "left").select("key", "row", "least_id", F.coalesce("label", "key").alias("label"))
     firsts = named.groupBy("label").agg(F.min("least_id").alias("class_id"), F.min("row").alias("first"))
