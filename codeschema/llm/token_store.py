@@ -28,8 +28,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import remove_path, scratch, slices
-from .word_codec import codec
+from .base import in_pieces, remove_path, scratch, slices
+from .bpe_codec import codec
 
 SPAN, LEAST, MEAN, MOST, LEAVES = 16, 64, 256, 1024, 1024
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -74,9 +74,9 @@ def write_store(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, wi
     spark = docs.sparkSession
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder, seen = codec(tokenizer_path, spaced=False), set()
+        coder, seen = codec(tokenizer_path), set()
         end, narrow = end_id.to_bytes(4, "little"), f"<u{width}"
-        for batch in batches:
+        for batch in in_pieces(batches, 1):
             texts = [t or "" for t in batch.column(1).to_pylist()]
             for i, j in slices(texts, 1_000_000):
                 streams = [x + end for x in coder.encode(texts[i:j])]
