@@ -10,9 +10,10 @@ Weights: a text gets a signature with weight 1 for each distinct shingle (the pr
 plain one) and, if it repeats shingles, a second one with weights 1 + log2(count); all meet in the same
 buckets.  A pair is linked if its plain or its weighted similarity, both exact, is at least ``least``.
 
-Equal texts (as word sequences) are one node.  In a bucket each node is compared with a hub, not with
-all others; buckets whose nodes are then in several classes get other hubs (1, then 4 at once: ``HUBS``), and
-small ones are then compared in full.  Classes are the connected components of the links.
+Equal texts (as word sequences) are one node.  In a bucket each node is first compared with a hub, not with
+all others; buckets whose nodes are then in several classes get other hubs (1, then 4 at once for those of more
+than ``TILE`` nodes: ``HUBS``), and what is still split is compared in full, whatever its size, in tiles of about
+``TILE`` by ``TILE`` nodes.  Classes are the connected components of the links.
 
 Defined cases: a text that is null or has no word is alone in its class; a text of one to four words is one
 shingle; repeated rows are copies; rows without id count as copies like others (an id that is unknown
@@ -33,7 +34,7 @@ from .base import bloom_filter, free_name, in_pieces, passed, slices, written
 from .shingles import WordHasher, mix, runs, words_of
 
 WORDS, LEAST, BANDS, ROWS = 5, 0.8, 36, 6
-SMALL_BUCKET, FIRST_BANDS, HUBS = 64, 8, (1, 4)
+TILE, FIRST_BANDS, HUBS = 64, 8, (1, 4)
 _HASHER = WordHasher()
 
 
@@ -174,6 +175,82 @@ def _verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     return with_a.select("a", "b", "ta", "tb").mapInArrow(run, "a binary, b binary")
 
 
+def tile_links(sets: list[tuple[np.ndarray, np.ndarray]], sides: list[int], groups: list, least: float) -> list[tuple[int, int]]:
+    """Links that join the groups of a tile's nodes: all pairs of different groups (and sides, if there are two) are compared."""
+    if len(set(groups)) < 2:
+        return []
+    side, group = np.array(sides), np.unique(np.array(groups, object), return_inverse=True)[1]
+    sizes = np.array([len(e) for e, _ in sets])
+    starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    known, element = np.unique(np.concatenate([e for e, _ in sets]), return_inverse=True)
+    repeats = np.array([c.max() > 1 for _, c in sets])
+    shares = np.concatenate([(w := 1 + np.log2(c)) / w.sum() for _, c in sets]) if repeats.any() else None
+    two, out = len(np.unique(side)) > 1, []
+    for i in range(len(sets) - 1):
+        other = group[i + 1 :] != group[i]
+        if two:
+            other &= side[i + 1 :] != side[i]
+        if not other.any():
+            continue
+        at, mine = starts[i + 1], element[starts[i] : starts[i] + sizes[i]]
+        has = np.zeros(len(known), np.int64)
+        has[mine] = 1
+        common = np.add.reduceat(has[element[at:]], starts[i + 1 :] - at)
+        plain = common / (sizes[i] + sizes[i + 1 :] - common)
+        close = other & (plain >= least - 1e-9)
+        if shares is not None:  # the weighted similarity is at most what the shares of the weights have in common
+            share = np.zeros(len(known))
+            share[mine] = shares[starts[i] : starts[i] + sizes[i]]
+            most = np.add.reduceat(np.minimum(share[element[at:]], shares[at:]), starts[i + 1 :] - at)
+            for j in np.flatnonzero(other & ~close & (repeats[i] | repeats[i + 1 :]) & (most >= least - 1e-6)):
+                close[j] = similarity(sets[i], sets[i + 1 + j]) >= least - 1e-9
+        for j in np.flatnonzero(close) + i + 1:
+            if group[j] != group[i]:
+                out.append((i, int(j)))
+                group[group == group[j]] = group[i]
+    return out
+
+
+def _tiled(held: DataFrame, texts: DataFrame, least: float) -> DataFrame:
+    """Links (a, b) between the classes of each bucket: (band, key, label), every pair of two classes compared.
+
+    The nodes of a bucket's greatest class are not compared with each other, so they are dealt apart from the rest;
+    a bucket of any size becomes tiles of two blocks, and a tile is compared in one place.
+    """
+    sized = held.groupBy("band", "label").agg(F.count("*").alias("c")).groupBy("band").agg(F.max_by("label", F.struct("c", "label")).alias("main"), F.sum("c").alias("n"), F.max("c").alias("most"))
+    blocks = lambda c: F.ceil(c / TILE).cast("int")
+    sized = sized.select("band", "main", (F.col("n") <= TILE).alias("single"), blocks(F.col("n") - F.col("most")).alias("r"), blocks(F.col("most")).alias("m"))
+    number = lambda c: F.pmod(F.xxhash64("key", "band"), F.col(c)).cast("int")
+    main = F.col("label") == F.col("main")
+    dealt = held.join(sized, "band").select(
+        "band", "key", "label",
+        F.when(F.col("single"), 0).when(main, F.col("r") + number("m")).otherwise(number("r")).alias("side"),
+        F.when(F.col("single"), F.array(F.lit(0))).when(main, F.sequence(F.lit(0), F.col("r") - 1)).otherwise(F.sequence(F.lit(0), F.col("r") + F.col("m") - 1)).alias("with"),
+    ).select("band", "key", "label", "side", F.explode("with").alias("with"))
+    tiles = dealt.select("band", F.least("side", "with").alias("low"), F.greatest("side", "with").alias("high"), "side", "key", "label")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def links() -> pa.RecordBatch:
+            found = tile_links([r[3] for r in rows], [r[0] for r in rows], [r[2] for r in rows], least)
+            return pa.RecordBatch.from_arrays([pa.array([rows[i][1] for i, _ in found], pa.binary()), pa.array([rows[j][1] for _, j in found], pa.binary())], names=["a", "b"])
+
+        tile, rows = None, []
+        for batch in in_pieces(batches, 6):
+            band, low, high, side, key, label = (batch.column(i).to_pylist() for i in range(6))
+            sets = shingled([words_of(t) for t in batch.column(6).to_pylist()])
+            for i, now in enumerate(zip(band, low, high, strict=True)):
+                if now != tile and rows:
+                    yield links()
+                    rows = []
+                tile = now
+                rows.append((side[i], key[i], label[i], sets[i]))
+        if rows:
+            yield links()
+
+    dealt = tiles.join(texts.select("key", "text"), "key").select("band", "low", "high", "side", "key", "label", "text")
+    return dealt.repartition("band", "low", "high").sortWithinPartitions("band", "low", "high").mapInArrow(run, "a binary, b binary")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """node, label (its component's least node) for every node of the edges (a, b).
 
@@ -217,20 +294,19 @@ def classes(docs: DataFrame, least: float = LEAST, bands: int = BANDS, rows: int
     pairs = written(members.where(f"key != hub and at % {bands} < {FIRST_BANDS}").select(F.col("hub").alias("a"), F.col("key").alias("b")).distinct(), "pairs")
     labels = components(written(_verified(pairs, texts, least), "links"))
 
-    # Buckets whose nodes are in several classes: other hubs, some at a time; then small ones in full.
-    for turn in range(len(HUBS) + 1):
+    # Buckets whose nodes are in several classes: other hubs, some at a time; what is split after that in full.
+    for turn, count in enumerate((*HUBS, 0)):
         held = members.select("band", "key").join(labels, F.col("key") == F.col("node"), "left").select("band", "key", F.coalesce("label", "key").alias("label"))
-        hub = [F.min(F.struct(F.xxhash64("key", F.lit(turn * 8 + i)).alias("x"), F.col("key").alias("hub"), F.col("label").alias("of"))) for i in range(HUBS[min(turn, len(HUBS) - 1)])]
-        split = held.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("n"), F.array(*hub).alias("hubs")).where("low != high")
-        held = written(held.join(split.select("band", "n", "hubs"), "band"), "split")
-        if turn < len(HUBS):
-            asked = held.select("key", "label", F.explode("hubs").alias("h")).where("label != h.of")
-            pairs = asked.select(F.least("h.hub", "key").alias("a"), F.greatest("h.hub", "key").alias("b"))
-        else:
-            some = held.where(F.col("n") <= SMALL_BUCKET).select("band", "key", "label")
-            other = some.select("band", F.col("key").alias("b"), F.col("label").alias("of"))
-            pairs = some.select("band", F.col("key").alias("a"), "label").join(other, "band").where("label != of and a < b").select("a", "b")
-        found = written(_verified(pairs.distinct(), texts, least), "links")
+        hub = [F.min(F.struct(F.xxhash64("key", "band" if turn else F.lit(0), F.lit(turn * 8 + i)).alias("x"), F.col("key").alias("hub"), F.col("label").alias("of"))) for i in range(count)]
+        same = [F.bit_xor(F.xxhash64("key", F.lit(i))).alias(f"same{i}") for i in range(2)]  # buckets of the same nodes
+        split = held.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("n"), F.array(*hub).alias("hubs"), *same).where("low != high")
+        if count:
+            # Small buckets get one hub only: they are compared in full below.
+            asked = held.join(split.where(F.col("n") > (TILE if turn else 0)).select("band", "hubs"), "band").select("key", "label", F.explode("hubs").alias("h")).where("label != h.of")
+            pairs = written(asked.select(F.least("h.hub", "key").alias("a"), F.greatest("h.hub", "key").alias("b")).distinct(), "pairs")
+            found = written(_verified(pairs, texts, least), "links")
+        else:  # two nodes have met when either was the hub
+            found = written(_tiled(written(held.join(split.where("n > 2").groupBy("n", "same0", "same1").agg(F.min("band").alias("band")).select("band"), "band"), "split"), texts, least), "links")
         if not found.isEmpty():
             labels = _merged(labels, found)
 

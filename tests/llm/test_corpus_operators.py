@@ -9,6 +9,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import public_tokenizers as P
+import pytest
 from codeschema.llm import near_dedup, packing, substring_dedup, token_store, topk_search
 from codeschema.llm.base import bloom_filter, passed
 from conftest import SF, rows, sql_rows
@@ -209,6 +210,51 @@ def test_classes_equal_brute_force(spark):
     assert all(min(g) + 1 == c for c, g in got.items())
 
 
+def edited_copies(copies: int, seed: int = 5) -> list[str]:
+    """A text of 400 words and copies with eight words changed: at 0.816 to the text, mostly below 0.7 to each other."""
+    rng = np.random.default_rng(seed)
+    base = [f"w{i}" for i in range(400)]
+    out = [" ".join(base)]
+    for c in range(copies):
+        new = list(base)
+        for place in rng.choice(np.arange(6, 390, 6), 8, replace=False):
+            new[place] = f"c{c}x{place}"
+        out.append(" ".join(new))
+    return out
+
+
+def test_large_buckets_are_compared_in_full(spark):
+    texts = edited_copies(400)
+    sets = [near_dedup.shingled([near_dedup.words_of(t)])[0] for t in texts]
+    assert all(near_dedup.similarity(sets[0], x) >= 0.8 for x in sets[1:])
+    assert max(near_dedup.similarity(sets[i], sets[j]) for i in range(1, 40) for j in range(i + 1, 40)) < 0.8
+    assert Counter(b for x in near_dedup.band_hashes(sets) for b in x.tolist()).most_common(1)[0][1] > 64
+    got = near_dedup.classes(docs(spark, list(enumerate(texts)))).collect()
+    assert len(got) == 401 and len({r.class_id for r in got}) == 1
+
+
+@pytest.mark.parametrize("two_sides", [False, True])
+def test_tile_links_equal_pairs(two_sides):
+    rng = np.random.default_rng(8)
+    sets = []
+    for _ in range(12):
+        base = rng.choice(10**6, 60, replace=False).astype(np.uint64)
+        for _ in range(4):
+            e = np.unique(np.concatenate([base[: int(rng.integers(50, 61))], rng.choice(10**6, int(rng.integers(1, 6))).astype(np.uint64)]))
+            sets.append((e, rng.integers(1, int(rng.choice([2, 2, 9])), len(e))))
+    sides, groups = [i % 2 if two_sides else 0 for i in range(len(sets))], [b"%d" % (i // 3) for i in range(len(sets))]
+
+    def joined(links):
+        group = list(groups)
+        for i, j in links:
+            group = [group[i] if g == group[j] else g for g in group]
+        return {frozenset(i for i, g in enumerate(group) if g == x) for x in group}
+
+    every = [(i, j) for i, j in itertools.combinations(range(len(sets)), 2) if (not two_sides or sides[i] != sides[j]) and near_dedup.similarity(sets[i], sets[j]) >= 0.8]
+    got = near_dedup.tile_links(sets, sides, groups, 0.8)
+    assert set(got) <= set(every) and joined(got) == joined(every)
+
+
 def test_signatures_estimate_probability_jaccard():
     rng = np.random.default_rng(7)
     e = rng.integers(0, 2**63, 300).astype(np.uint64)
