@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
+from itertools import count
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -123,6 +124,14 @@ def _kernel(options: Options, api: list) -> object:
     return run
 
 
+def rounds(options: Options) -> Iterator[int]:
+    """Numbers of the rounds of a walk, which its caller ends; an error beyond ``max_rounds``, if that is given."""
+    for turn in count(1):
+        if options.max_rounds is not None and turn > options.max_rounds:
+            raise RuntimeError(f"the walk is not done after {options.max_rounds} rounds")
+        yield turn
+
+
 def _relational(m: Models, ops: DataFrame, options: Options) -> DataFrame:
     """The same walk as joins: what was found last round is followed, the greatest bound of each variable kept."""
     branch = m.nodes.select(*KEY, "seq", "branch")
@@ -131,7 +140,7 @@ def _relational(m: Models, ops: DataFrame, options: Options) -> DataFrame:
     op = ops.where("not synthetic").select(*KEY, "seq", F.transform("branch", lambda b: F.translate(b, "TF", "FT")).alias("not_in"))
     fresh = written(op.join(roots, [*KEY, "seq"]).select(*KEY, "seq", "not_in", "var", F.col("seq").alias("bound"), F.lit(0).alias("hops")), "walk")
     seen = fresh
-    for _ in range(options.max_rounds):
+    for turn in rounds(options):
         step = fresh.join(sources, [*KEY, "var"]).where("at < bound")
         if options.walk != "linear":
             step = step.where("not arrays_overlap(at_branch, not_in)")
@@ -141,6 +150,8 @@ def _relational(m: Models, ops: DataFrame, options: Options) -> DataFrame:
         if fresh.isEmpty():
             break
         seen = seen.unionByName(fresh)
+        if turn % 16 == 0:
+            seen = written(seen, "walk")
     made = ops.where("not synthetic and not scalar and result_var is not null").select(*KEY, F.col("result_var").alias("var"), F.col("seq").alias("prev_seq"), "branch")
     hit = seen.join(made, [*KEY, "var"]).where("prev_seq < bound and prev_seq <> seq")
     if options.walk != "linear":
@@ -149,19 +160,20 @@ def _relational(m: Models, ops: DataFrame, options: Options) -> DataFrame:
 
 
 def _recursive(m: Models, ops: DataFrame, options: Options) -> DataFrame:
-    """The same walk as one recursive query; the depth column guards against cycles."""
+    """The same walk as one recursive query; every step goes to an earlier assignment, so a file's assignments bound its depth."""
     spark = m.files.sparkSession
     views = {"w_aliases": m.aliases.where("root is not null"), "w_ops": ops.where("not synthetic"), "w_roots": m.args.where("root is not null").select(*KEY, "seq", F.col("root").alias("var")).unionByName(m.uses.where("role = 'arg'").select(*KEY, "seq", F.col("root").alias("var"))).distinct()}
     for name, df in views.items():
         df.createOrReplaceTempView(name)
+    longest = m.aliases.groupBy(*KEY).agg(F.countDistinct("seq").alias("n")).agg(F.max("n")).first()[0] or 0
+    levels = longest + 2 if options.max_rounds is None else options.max_rounds
     on = " and ".join(f"w.{k} = a.{k}" for k in KEY)
     keys = ", ".join(f"w.{k}" for k in KEY)
     return spark.sql(f"""
-        WITH RECURSIVE w({", ".join(KEY)}, seq, var, bound, hops) MAX RECURSION LEVEL {options.max_rounds} AS (
+        WITH RECURSIVE w({", ".join(KEY)}, seq, var, bound, hops) MAX RECURSION LEVEL {levels} AS (
           SELECT {", ".join(f"o.{k}" for k in KEY)}, o.seq, r.var, o.seq, 0 FROM w_ops o JOIN w_roots r USING ({", ".join(KEY)}, seq)
           UNION ALL
           SELECT {keys}, w.seq, a.root, a.seq, w.hops + 1 FROM w JOIN w_aliases a ON {on} AND a.lhs = w.var AND a.seq < w.bound
-          WHERE w.hops < {options.max_rounds - 1}
         )
         SELECT {keys}, a.seq AS prev_seq, w.seq AS next_seq, min_by(w.var, struct(w.hops, w.var)) AS via_var, min(w.hops) AS hops
         FROM w JOIN w_ops a ON {on} AND a.result_var = w.var AND a.seq < w.bound AND a.seq <> w.seq AND NOT a.scalar
@@ -189,17 +201,18 @@ def operation_chains(ops: DataFrame) -> DataFrame:
     return ops.select(*KEY, "unit", "op", "kind", "container", F.lag("op").over(order).alias("prev"), F.lead("op").over(order).alias("next"))
 
 
-def chain_depth(links: DataFrame, max_rounds: int = 32) -> DataFrame:
-    """For each operation the longest chain of dependencies that ends at it."""
+def chain_depth(links: DataFrame) -> DataFrame:
+    """For each operation the longest chain of dependencies that ends at it; an error if the links have a cycle."""
     depth = written(links.select(*KEY, F.col("prev_op").alias("op"), F.lit(0).alias("depth")).unionByName(links.select(*KEY, F.col("next_op").alias("op"), F.lit(1).alias("depth"))).groupBy(*KEY, "op").agg(F.max("depth").alias("depth")), "depth")
-    for _ in range(max_rounds):
+    most = depth.groupBy(*KEY).count().agg(F.max("count")).first()[0] or 0
+    for _ in range(most + 1):  # without a cycle a chain has each operation once
         step = links.join(depth.withColumnRenamed("op", "prev_op"), [*KEY, "prev_op"]).select(*KEY, F.col("next_op").alias("op"), (F.col("depth") + 1).alias("deeper"))
         step = step.groupBy(*KEY, "op").agg(F.max("deeper").alias("deeper"))
         new = written(depth.join(step, [*KEY, "op"], "left").select(*KEY, "op", F.col("depth").alias("was"), F.greatest("depth", F.coalesce("deeper", F.lit(0))).alias("depth")), "depth")
-        if new.where("was <> depth").isEmpty():
-            break
         depth = new.drop("was")
-    return new.drop("was")
+        if new.where("was <> depth").isEmpty():
+            return depth
+    raise ValueError("the links have a cycle: no longest chain")
 
 
 # -- forward pass --------------------------------------------------------------------------------
@@ -210,13 +223,15 @@ def reach(m: Models, ops: DataFrame, options: Options = Options()) -> DataFrame:
     if not options.aliases:
         return seen
     given = m.aliases.where("root is not null").select(*KEY, F.col("lhs"), F.col("root").alias("var"), F.col("steps"), F.col("seq"))
-    for _ in range(options.max_rounds):
+    for turn in rounds(options):
         step = fresh.join(given, [*KEY, "var"]).where("seq >= at").select(*KEY, "op", F.col("lhs").alias("var"), F.concat("prefix", "steps").alias("prefix"), F.col("seq").alias("at"))
         step = step.groupBy(*KEY, "op", "var", "prefix").agg(F.min("at").alias("at"))
         fresh = written(step.join(seen.select(*KEY, "op", "var", "prefix").distinct(), [*KEY, "op", "var", "prefix"], "left_anti").where(F.size("prefix") < 24), "held")
         if fresh.isEmpty():
             break
         seen = seen.unionByName(fresh)
+        if turn % 16 == 0:
+            seen = written(seen, "held")
     return seen
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from ..functions import singular, steps_path
 from ..plans import Options
+from ..store import written
 from .access import Access, reach
 from .models import KEY
 
@@ -48,17 +49,19 @@ def duplication_fields(a: Access, options: Options | None = None) -> DataFrame:
     return hit.groupBy(*KEY, "prev_op", "next_op", "field").agg(F.countDistinct("seq").alias("n_sites"))
 
 
-def _blocks_above(a: Access, depth: int = 4) -> DataFrame:
+def _blocks_above(a: Access) -> DataFrame:
     """(key, block, above): each block, and those that enclose it inside the function of the join."""
     b = a.m.elements.where("kind = 'block'").select(*KEY, F.col("elem").alias("block"), "parent", "unit")
     e = a.m.elements.select(*KEY, F.col("elem").alias("parent"), F.col("block").alias("outer"))
     functions = a.m.units.where("kind = 'callback'").select(*KEY, "unit").distinct()
-    own = b.join(functions, [*KEY, "unit"], "left_semi").join(e, [*KEY, "parent"]).select(*KEY, "block", F.col("outer").alias("above"))
+    own = written(b.join(functions, [*KEY, "unit"], "left_semi").join(e, [*KEY, "parent"]).select(*KEY, "block", F.col("outer").alias("above")), "blocks")
     out = step = b.select(*KEY, "block", F.col("block").alias("above"))
-    for _ in range(depth):
+    while True:
         step = step.withColumnRenamed("above", "mid").join(own.select(*KEY, F.col("block").alias("mid"), "above"), [*KEY, "mid"]).where("mid <> above").select(*KEY, "block", "above")
+        step = written(step.join(out, [*KEY, "block", "above"], "left_anti").distinct(), "blocks")
+        if step.isEmpty():
+            return out.distinct()
         out = out.unionByName(step)
-    return out.distinct()
 
 
 def removal_plans(a: Access, options: Options | None = None) -> DataFrame:

@@ -149,18 +149,20 @@ def basic_blocks(m: Models) -> DataFrame:
     return m.nodes.withColumn("leader", leader).select(*KEY, "unit", "seq", "kind", F.sum("leader").over(order.rowsBetween(W.unboundedPreceding, 0)).alias("basic_block"))
 
 
-def reachable(edges: DataFrame, start: DataFrame, max_hops: int = 64) -> DataFrame:
-    """(key, src, dst, dist): what each start node reaches; level by level, each node once."""
+def reachable(edges: DataFrame, start: DataFrame) -> DataFrame:
+    """(key, src, dst, dist): what each start node reaches; level by level, each node once, until nothing is new."""
     step = edges.select(*KEY, F.col("src").alias("mid"), F.col("dst").alias("to")).distinct()
     seen = written(start.select(*KEY, F.col("seq").alias("src"), F.col("seq").alias("dst"), F.lit(0).alias("dist")), "reach")
-    fresh = seen
-    for hop in range(1, max_hops + 1):
+    fresh, hop = seen, 0
+    while True:
+        hop += 1
         found = fresh.join(step, [*[fresh[k] == step[k] for k in KEY], fresh["dst"] == step["mid"]]).select(*[fresh[k] for k in KEY], "src", F.col("to").alias("dst")).distinct()
         fresh = written(found.join(seen, [*KEY, "src", "dst"], "left_anti").select("*", F.lit(hop).alias("dist")), "reach")
         if fresh.isEmpty():
-            break
+            return seen
         seen = seen.unionByName(fresh)
-    return seen
+        if hop % 16 == 0:  # few parts, however long the walk
+            seen = written(seen, "reach")
 
 
 def export_graph(m: Models, fmt: str = "rows") -> DataFrame:

@@ -13,6 +13,7 @@ class Options:
     not reach each other) or ``linear``.  kill: whether an assignment ends what a variable held.  aliases: whether
     the forward pass follows assignments.  learn_from_writes: whether payloads of inserts and updates show fields.
     merge_scope: ``container`` or ``global``.  co_use: ``statement``, ``block`` or ``any``.  naming: ``prefixed`` or ``plain``.
+    max_rounds: rounds after which a walk that still finds something ends with an error; none: it goes on until nothing is new.
     """
 
     join_rule: str = "cross_container"
@@ -25,7 +26,7 @@ class Options:
     reset_per_join: bool = True
     naming: str = "prefixed"
     strategy: str = "kernel"
-    max_rounds: int = 64
+    max_rounds: int | None = None
 
 
 def paper_options() -> Options:

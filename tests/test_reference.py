@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import dataclasses
+from types import SimpleNamespace
 
 import pytest
 from codeschema import Options, analyze, paper_options, remove_join
@@ -10,7 +11,7 @@ from codeschema.frontend.inject import inject_text
 from codeschema.frontend.parser import parse
 from codeschema.frontend.tokens import tokenize
 from codeschema.operators import joins, logical, migrate, models, rewrite, shop
-from codeschema.operators.access import Access, backward_links, find_operations
+from codeschema.operators.access import Access, backward_links, chain_depth, find_operations, reach
 from codeschema.operators.models import Models
 from codeschema.sources import as_files, corpora
 from codeschema.store import written
@@ -213,3 +214,46 @@ def test_incremental_equals_batch(spark, tmp_path):
 def test_regenerated_text(spark):
     f = corpora.running_example(spark)
     assert rewrite.roundtrip_diff(f, Models(f)).count() == 0
+
+
+# -- walks end only when nothing is new -------------------------------------------------------------------------
+def linked(spark, pairs, names):
+    return spark.createDataFrame([("t", 1, "f.js", *p) for p in pairs], f"app_id string, version int, path string, {names}")
+
+
+def test_reachable_goes_on(spark):
+    edges = linked(spark, [(i, i + 1) for i in range(70)], "src int, dst int")
+    got = models.reachable(edges, linked(spark, [(0,)], "seq int"))
+    assert {(r.dst, r.dist) for r in got.collect()} == {(i, i) for i in range(71)}
+
+
+def test_chain_depth_goes_on(spark):
+    got = chain_depth(linked(spark, [(i, i + 1) for i in range(36)], "prev_op int, next_op int"))
+    assert {(r.op, r.depth) for r in got.collect()} == {(i, i) for i in range(37)}
+    with pytest.raises(ValueError):
+        chain_depth(linked(spark, [(1, 2), (2, 1)], "prev_op int, next_op int"))
+
+
+def long_chain(spark):
+    steps = " ".join(f"const a{i + 1} = a{i};" for i in range(66))
+    m = Models(files(spark, f"async function f(db) {{ const a0 = await db.collection('c').findOne({{}}); {steps} const b = await db.collection('d').findOne({{ _id: a66.x }}); }}"))
+    return m, written(find_operations(m), "ops")
+
+
+def test_long_chains_backward(spark):
+    m, ops = long_chain(spark)
+    for strategy in ("kernel", "relational", "sql"):
+        assert backward_links(m, ops, Options(strategy=strategy)).count() == 1, strategy
+
+
+def test_long_chains_forward(spark):
+    m, ops = long_chain(spark)
+    assert reach(m, ops).where("var = 'a66@1'").count() == 1
+    with pytest.raises(RuntimeError):
+        reach(m, ops, Options(max_rounds=3))
+
+
+def test_blocks_are_climbed_to_the_top(spark):
+    blocks = linked(spark, [(100 + i, "block", 1000 + i, 0, None) for i in range(8)] + [(1000 + i, "call", None, 0, 101 + i) for i in range(7)], "elem int, kind string, parent int, unit int, block int")
+    a = SimpleNamespace(m=SimpleNamespace(elements=blocks, units=linked(spark, [("callback", 0)], "kind string, unit int")))
+    assert {r.above for r in joins._blocks_above(a).where("block = 100").collect()} == set(range(100, 108))
