@@ -302,7 +302,8 @@ def classes(docs: DataFrame, least: float = LEAST, bands: int = BANDS, rows: int
         split = held.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("n"), F.array(*hub).alias("hubs"), *same).where("low != high")
         if count:
             # Small buckets get one hub only: they are compared in full below.
-            asked = held.join(split.where(F.col("n") > (TILE if turn else 0)).select("band", "hubs"), "band").select("key", "label", F.explode("hubs").alias("h")).where("label != h.of")
+            held = written(held.join(split.where(F.col("n") > (TILE if turn else 0)).select("band", "hubs"), "band"), "split")
+            asked = held.select("key", "label", F.explode("hubs").alias("h")).where("label != h.of")
             pairs = written(asked.select(F.least("h.hub", "key").alias("a"), F.greatest("h.hub", "key").alias("b")).distinct(), "pairs")
             found = written(_verified(pairs, texts, least), "links")
         else:  # two nodes have met when either was the hub

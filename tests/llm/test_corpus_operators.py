@@ -378,6 +378,14 @@ def test_pipeline_equals_plain_version(spark):
     assert {r.doc_id for r in out.select("doc_id").distinct().collect()} == set(b)
 
 
+def test_pipeline_keeps_one_of_a_large_group(spark):
+    import corpus_pipeline
+
+    data = list(enumerate(edited_copies(300, seed=9) + ["a text of its own " + " ".join(f"v{i}" for i in range(50))]))
+    kept = corpus_pipeline.near_duplicates(spark, docs(spark, data, extra=False), SF)
+    assert sorted(r.doc_id for r in kept.collect()) == [0, 301]
+
+
 def test_pipeline_edge_rows(spark):
     import corpus_pipeline
 
