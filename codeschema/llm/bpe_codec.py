@@ -1,8 +1,8 @@
 """Byte-pair encoding of whole corpora with the vocabulary file of a tokenizers model.
 
 The merges of the file are run by a ranked byte-pair encoder, several times as fast as the library's own;
-ids are the same (tests compare them), and texts that hold the string of a special token go through the
-library itself.  Two kinds of files are read: byte-level ones with the usual split of words, numbers and signs,
+ids are the same (tests compare them on whole tables), and texts that hold the string of a special token, or a run of white
+space so long that the split pattern could run out of stack, go through the library itself.  Two kinds of files are read: byte-level ones with the usual split of words, numbers and signs,
 and ones whose tokens carry an end-of-word suffix, where white space is dropped: there each distinct word
 (a part between spaces) is encoded once in a while and its ids are kept.
 """
@@ -10,6 +10,7 @@ and ones whose tokens carry an end-of-word suffix, where white space is dropped:
 from __future__ import annotations
 
 import json
+import re
 import unicodedata
 from itertools import chain
 
@@ -21,6 +22,7 @@ from .base import slices
 BYTE_LEVEL = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 END_OF_WORD = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 _MARK = "\0"  # stands for the end-of-word suffix; texts that hold it go through the library
+_LONG_SPACE = re.compile(r"\s{4096}")
 _CODECS: dict[str, BpeCodec] = {}
 
 
@@ -77,11 +79,14 @@ class BpeCodec:
     def _ranked(self, text: str) -> np.ndarray:
         return self.ranked.encode_to_numpy(text, disallowed_special=())
 
+    def _unusual(self, text: str) -> bool:
+        return any(s in text for s in self.special) or len(text) > 4096 and _LONG_SPACE.search(text) is not None
+
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
         texts = [t or "" for t in texts]
         if not self.by_word:
-            return [self.by_library(t) if any(s in t for s in self.special) else self._ranked(t).astype("<u4").tobytes() for t in texts]
+            return [self.by_library(t) if self._unusual(t) else self._ranked(t).astype("<u4").tobytes() for t in texts]
         out: list[bytes] = []
         for i, j in slices(texts, 1_000_000):
             parts = [t.split(" ") for t in texts[i:j]]
@@ -97,7 +102,7 @@ class BpeCodec:
         if not new:
             return
         joined = _MARK.join(new)
-        if joined.count(_MARK) >= len(new):  # some word holds the mark: one by one
+        if joined.count(_MARK) >= len(new) or len(joined) > 4096 and _LONG_SPACE.search(joined):  # some word holds the mark, or long white space: one by one
             known.update((w, self.by_library(w)) for w in new)
             return
         # Cases in which lower-casing depends on context, or a special token is in the way, are the library's.

@@ -70,7 +70,7 @@ def leaf(doc_id: int | None, n_tokens: int, digests: list[bytes]) -> bytes:
 
 
 def write_store(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, width: int = 2, id_col: str = "doc_id", text_col: str = "text", most_seen: int = 400_000) -> None:
-    """Writes the store.  ``most_seen``: how many digests a task remembers; it only saves traffic."""
+    """Writes the store; an id beyond ``width`` bytes is an error.  ``most_seen``: how many digests a task remembers; it only saves traffic."""
     spark = docs.sparkSession
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -82,6 +82,8 @@ def write_store(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, wi
                 streams = [x + end for x in coder.encode(texts[i:j])]
                 starts = np.cumsum([0, *(len(x) // 4 for x in streams)])
                 ids = np.frombuffer(b"".join(streams), "<u4")
+                if len(ids) and int(ids.max()) >> 8 * width:
+                    raise ValueError(f"an id needs more than {width} bytes")
                 packed, rows = ids.astype(narrow).tobytes(), []
                 for d, cuts in enumerate(cut_points(ids, starts)):
                     a, names, new, new_ids = int(starts[d]) * width, [], [], []
