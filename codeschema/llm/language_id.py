@@ -7,11 +7,14 @@ word counts of a bounded sample of labelled texts; scoring covers every word of
 
 Defined cases: a text that is null or has no letter is ``und`` with score 0; ties go to the language
 that sorts first; texts of any length are read whole; without any labelled text all are ``und``.
-Bounds of the fit: ``per_lang`` texts (by hash of the id) and ``most_words`` distinct words a language.
+Bounds of the fit: ``most_langs`` languages (those with most labelled texts), ``per_lang`` texts (by hash of the id) and
+``most_words`` distinct words a language; words of more than 40 characters are learned from in runs of 40.  Scoring sums over
+whole words, however long, in memory that grows with a word's length by a few bytes a character.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 from itertools import chain
@@ -21,12 +24,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .base import held_out, in_pieces, slices
+from .base import free_name, held_out, in_pieces, slices
 
 MARK, UNKNOWN_P, FLOOR = "▁", 1e-7, 1e-8
 _BASE = np.uint64(0x9E3779B97F4A7C15)
-_LONG = 40  # beyond so many characters probabilities are summed as logarithms
-_SCORERS: dict[int, Scorer] = {}
+_LONG = 40  # beyond so many characters sums are rescaled as they grow
+_SCORERS: dict[str, Scorer | None] = {}  # by the name that the driver gives each model
 
 
 class Vocabulary:
@@ -110,16 +113,53 @@ def forward(found: list[list[np.ndarray]], p: np.ndarray) -> list[np.ndarray]:
     return alpha
 
 
-def log_forward(found: list[list[np.ndarray]], p: np.ndarray) -> np.ndarray:
-    """The whole words' sums as logarithms, for words of any length."""
-    logs = np.log(np.maximum(p, 1e-300))
-    alpha = [np.zeros((len(found[0][0]), p.shape[1]))]
-    for row in found:
-        acc = alpha[-1] + logs[row[0]]
-        for length in range(2, len(row) + 1):
-            acc = np.logaddexp(acc, alpha[-length] + logs[row[length - 1]])
-        alpha = [*alpha[-64:], acc]
-    return alpha[-1]
+def long_forward(words: list[str], vocabulary: Vocabulary, p: np.ndarray, most_cells: int = 1 << 20) -> np.ndarray:
+    """Logarithms of the words' sums, words x languages, for words of any length.
+
+    Words of like length go together; only the last ``longest`` sums of each are held, and rescaled every few steps.
+    """
+    out, order, at = np.zeros((len(words), p.shape[1])), sorted(range(len(words)), key=lambda i: len(words[i])), 0
+    while at < len(order):
+        stop = at + 1
+        while stop < len(order) and (stop + 1 - at) * len(words[order[stop]]) <= most_cells:
+            stop += 1
+        some, at = order[at:stop], stop
+        out[some] = _long_batch([words[i] for i in some], vocabulary, p)
+    return out
+
+
+def _long_batch(words: list[str], vocabulary: Vocabulary, p: np.ndarray) -> np.ndarray:
+    w, sizes, reach = len(words), np.array([len(x) for x in words]), vocabulary.longest
+    n = int(sizes.max())
+    codes = _codes([x.ljust(n, "\0") for x in words], n)
+    prefix = np.zeros((w, n + 1), np.uint64)
+    with np.errstate(over="ignore"):
+        for j in range(n):
+            prefix[:, j + 1] = prefix[:, j] * _BASE + codes[:, j]
+    powers = np.array(vocabulary.powers[1 : reach + 1], np.uint64)
+    out, scale = np.zeros((w, p.shape[1])), np.zeros((w, p.shape[1]))
+    held = np.zeros((reach, w, p.shape[1]))  # sums up to the last places, the latest first
+    held[0] = 1.0
+    step = max(1, min(n, 200_000 // (w * reach)))
+    for start in range(1, n + 1, step):
+        ends = np.arange(start, min(n, start + step - 1) + 1)
+        back = ends[:, None] - np.arange(1, reach + 1)
+        with np.errstate(over="ignore"):
+            keys = prefix[:, ends][:, :, None] - prefix[:, np.maximum(back, 0)] * powers + np.arange(1, reach + 1, dtype=np.uint64)
+        found = np.minimum(np.searchsorted(vocabulary.keys, keys), len(vocabulary.keys) - 1)
+        known = (vocabulary.keys[found] == keys) & (back >= 0)
+        number = np.where(known, vocabulary.numbers[found], vocabulary.none)
+        number[:, :, 0] = np.where(known[:, :, 0], number[:, :, 0], vocabulary.unknown)
+        for k, j in enumerate(ends.tolist()):
+            acc = np.einsum("lwg,wlg->wg", held, p[number[:, k]])
+            done = np.flatnonzero(sizes == j)
+            if len(done):
+                out[done] = np.log(np.maximum(acc[done], 1e-300)) + scale[done]
+            held = np.concatenate([acc[None], held[:-1]])
+            if j % 8 == 0:
+                top = np.maximum(held.max(axis=0), 1e-300)
+                held, scale = held / top, scale + np.log(top)
+    return out
 
 
 def expected_counts(found: list[list[np.ndarray]], p: np.ndarray, weights: np.ndarray) -> np.ndarray:
@@ -139,17 +179,26 @@ def expected_counts(found: list[list[np.ndarray]], p: np.ndarray, weights: np.nd
     return out
 
 
+def in_runs(counts: Counter) -> Counter:
+    """Counts of words, long ones in runs of ``_LONG`` characters."""
+    out: Counter = Counter()
+    for word, n in counts.items():
+        for i in range(0, len(word), _LONG):
+            out[word[i : i + _LONG]] += n
+    return out
+
+
 def fit(counts: dict[str, Counter], vocabulary: Vocabulary, rounds: int = 4, shared: float = 0.05) -> np.ndarray:
     """Piece probabilities, pieces x languages (sorted), mixed with ``shared`` of their mean."""
     langs = sorted(counts)
+    counts = {lang: in_runs(counts[lang]) for lang in langs}
     words = sorted(set(chain.from_iterable(counts.values())))
     weights = np.array([[counts[lang].get(w, 0) for lang in langs] for w in words], np.float64).reshape(len(words), len(langs))
     groups = []
     for n, at in _by_length(words).items():
-        if n <= _LONG:
-            for i in range(0, len(at), 20_000):
-                some = at[i : i + 20_000]
-                groups.append((vocabulary.lookups([words[k] for k in some], n), weights[some]))
+        for i in range(0, len(at), 20_000):
+            some = at[i : i + 20_000]
+            groups.append((vocabulary.lookups([words[k] for k in some], n), weights[some]))
     p = np.full((vocabulary.size, len(langs)), 1.0 / vocabulary.size)
     for _ in range(rounds):
         p[vocabulary.none], p[vocabulary.unknown] = 0.0, UNKNOWN_P
@@ -173,11 +222,16 @@ class Scorer:
         out = np.zeros((len(words), self.p.shape[1] + 1))
         shape = [spelled(w) for w in words]
         at = [i for i, s in enumerate(shape) if s]
+        long = [i for i in at if len(shape[i]) > _LONG]
+        if long:
+            out[long, :-1] = long_forward([shape[i] for i in long], self.vocabulary, self.p)
+            out[long, -1] = 1
+            at = [i for i in at if len(shape[i]) <= _LONG]
         for n, group in _by_length([shape[i] for i in at]).items():
             for k in range(0, len(group), 20_000):
                 rows = [at[i] for i in group[k : k + 20_000]]
                 found = self.vocabulary.lookups([shape[i] for i in rows], n)
-                out[rows, :-1] = np.log(forward(found, self.p)[n]) if n <= _LONG else log_forward(found, self.p)
+                out[rows, :-1] = np.log(forward(found, self.p)[n])
                 out[rows, -1] = 1
         return out
 
@@ -200,22 +254,24 @@ class Scorer:
         return best, score
 
 
-def training_sample(docs: DataFrame, per_group: int, group: Column, id_col: str) -> DataFrame:
-    """About ``per_group`` rows of each group, by a hash of the id: the same ones at every run."""
-    rows = docs.withColumn("__g", group.cast("string")).where(F.col("__g").isNotNull())
-    counts = {r["__g"]: r["n"] for r in rows.groupBy("__g").agg(F.count("*").alias("n")).collect()}  # a row a label
-    rate = F.lit(0)
-    for g, n in sorted(counts.items()):
-        rate = F.when(F.col("__g") == g, F.lit(min(1_000_000, -(-per_group * 1_000_000 // n)))).otherwise(rate)
-    return rows.where(F.pmod(F.xxhash64(F.col(id_col).cast("string"), F.lit("sample")), F.lit(1_000_000)) < rate).drop("__g")
+def training_sample(docs: DataFrame, per_group: int, group: Column, id_col: str, most_groups: int = 200) -> DataFrame:
+    """About ``per_group`` rows of each of the ``most_groups`` greatest groups, by a hash of the id: the same ones at every run."""
+    mark = free_name(docs, "group")
+    rows = docs.withColumn(mark, group.cast("string")).where(F.col(mark).isNotNull())
+    counts = rows.groupBy(mark).agg(F.count("*").alias("n")).orderBy(F.desc("n"), mark).limit(most_groups).collect()
+    if not counts:
+        return rows.where("false").drop(mark)
+    rates = F.create_map(*chain.from_iterable((F.lit(r[mark]), F.lit(min(1_000_000, -(-per_group * 1_000_000 // r["n"])))) for r in counts))
+    rate = F.coalesce(F.try_element_at(rates, F.col(mark)), F.lit(0))
+    return rows.where(F.pmod(F.xxhash64(F.col(id_col).cast("string"), F.lit("sample")), F.lit(1_000_000)) < rate).drop(mark)
 
 
-def train(docs: DataFrame, vocabulary_path: str, per_lang: int = 500, most_words: int = 30_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> tuple[list[str], np.ndarray, np.ndarray]:
+def train(docs: DataFrame, vocabulary_path: str, per_lang: int = 500, most_words: int = 30_000, most_langs: int = 200, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> tuple[list[str], np.ndarray, np.ndarray]:
     """(languages, piece probabilities, log prior), learned from rows that are not held out."""
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang")).where(~held_out() & F.col("text").isNotNull() & F.col("lang").isNotNull())
     counts: dict[str, Counter] = defaultdict(Counter)
     texts: Counter = Counter()
-    for r in training_sample(rows, per_lang, F.col("lang"), "doc_id").orderBy("doc_id").toLocalIterator():
+    for r in training_sample(rows, per_lang, F.col("lang"), "doc_id", most_langs).orderBy("doc_id").toLocalIterator():
         counts[r["lang"]].update(filter(None, map(spelled, r["text"].split())))
         texts[r["lang"]] += 1
     langs = sorted(lang for lang in counts if counts[lang])
@@ -226,20 +282,21 @@ def train(docs: DataFrame, vocabulary_path: str, per_lang: int = 500, most_words
     return langs, fit(kept, Vocabulary(vocabulary_path)), np.log(n / n.sum())
 
 
-def identify(docs: DataFrame, model: tuple[list[str], np.ndarray, np.ndarray], vocabulary_path: str, id_col: str = "doc_id", text_col: str = "text", keep: bool = False) -> DataFrame:
-    """lang_pred and score for each row: beside ``id_col``, or beside all columns if ``keep``."""
+def identify(docs: DataFrame, model: tuple[list[str], np.ndarray, np.ndarray], vocabulary_path: str, id_col: str = "doc_id", text_col: str = "text", keep: bool = False, pred_col: str = "lang_pred", score_col: str = "lang_score") -> DataFrame:
+    """Language and score for each row, in ``pred_col`` and ``score_col``: beside ``id_col``, or beside all columns if ``keep``
+    (then the two names must be free)."""
     langs, p, prior = model
-    shared = docs.sparkSession.sparkContext.broadcast((langs, p, prior))  # pieces x languages
+    shared = docs.sparkSession.sparkContext.broadcast((uuid.uuid4().hex, langs, p, prior))  # pieces x languages
     columns = docs.columns if keep else [id_col]
-    base = docs.select(*[F.col(f"`{c}`") for c in columns], F.col(text_col).cast("string").alias("__text"))
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields[:-1]), "lang_pred string", "lang_score double"])
+    base = docs.select(*[F.col(f"`{c}`") for c in columns], F.col(text_col).cast("string").alias(free_name(docs, "text")))
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields[:-1]), f"`{pred_col}` string", f"`{score_col}` double"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        langs, p, prior = shared.value
-        if id(p) not in _SCORERS:
+        name, langs, p, prior = shared.value
+        if name not in _SCORERS:
             _SCORERS.clear()
-            _SCORERS[id(p)] = Scorer(vocabulary_path, p, prior) if langs else None
-        scorer, names = _SCORERS[id(p)], [*langs, "und"]
+            _SCORERS[name] = Scorer(vocabulary_path, p, prior) if langs else None
+        scorer, names = _SCORERS[name], [*langs, "und"]
         for batch in in_pieces(batches, len(columns)):
             texts = [t or "" for t in batch.column(batch.num_columns - 1).to_pylist()]
             best, score = np.full(len(texts), -1), np.zeros(len(texts))
@@ -247,7 +304,7 @@ def identify(docs: DataFrame, model: tuple[list[str], np.ndarray, np.ndarray], v
                 for i, j in slices(texts, 1_000_000):
                     best[i:j], score[i:j] = scorer.texts(texts[i:j])
             said = pa.array([names[b] for b in best], pa.string())
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], said, pa.array(score)], names=[*batch.schema.names[:-1], "lang_pred", "lang_score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], said, pa.array(score)], names=[*batch.schema.names[:-1], pred_col, score_col])
 
     return base.mapInArrow(run, schema)
 
