@@ -4,7 +4,8 @@ Normalisation walks the text with longest-prefix matches in the model's compiled
 double-array trie) and records for every normalised byte the source byte it comes from; each piece is
 then projected to the span of original bytes that it covers.  Segmentation is the library's own.
 Where no piece holds a space mark after another character, words are independent, so each distinct
-word is encoded once; such a word's spans are lengths that are summed up along the text.
+word is encoded, and its ids decoded, once; the normalised lengths of its pieces are summed up along the
+text and projected through the text's alignment like those of any other.
 
 Defined cases: a null text is an empty one (only the end id, decoded empty); texts of any length are
 encoded whole; repeated rows give repeated rows; further columns are ignored.
@@ -14,7 +15,7 @@ from __future__ import annotations
 
 import struct
 from collections.abc import Iterator
-from itertools import chain, islice
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -85,6 +86,8 @@ class Normalizer:
     def __call__(self, data: bytes) -> tuple[bytes, np.ndarray]:
         """Normalised bytes and the source byte of each (one more entry for the end)."""
         mark = _MARK if self.escape else b" "
+        if not self.map.units and not self.squeeze:  # the map matches nowhere: only spaces change
+            return self._spaced(data, mark)
         out, source = bytearray(), []
         steps = [*self._steps(data)]
         if self.squeeze:
@@ -113,6 +116,17 @@ class Normalizer:
         return bytes(out), np.array([*source, end])
 
 
+    def _spaced(self, data: bytes, mark: bytes) -> tuple[bytes, np.ndarray]:
+        if not data:
+            return b"", np.zeros(1, np.int64)
+        raw = np.frombuffer(data, np.uint8)
+        lead = np.maximum.accumulate(np.where(raw & 0xC0 != 0x80, np.arange(len(raw)), 0))  # a character's bytes come from its first one
+        widths = np.where(raw == 0x20, len(mark), 1)
+        source = np.repeat(lead, widths)
+        head = len(mark) if self.prefix else 0
+        return mark * bool(head) + data.replace(b" ", mark), np.concatenate([np.zeros(head, np.int64), source, [len(data)]])
+
+
 class PieceCodec:
     def __init__(self, path: str, most_words: int = 200_000) -> None:
         import sentencepiece
@@ -169,16 +183,12 @@ class PieceCodec:
         if len(self.known) + len(words) > self.most:
             self.known.clear()
         new = [w for w in words if w not in self.known]
-        surface, types, mark = self.surface, self.types, len(_MARK) - 1
-        for w, ids in zip(new, self.model.encode(new, num_threads=1), strict=True):
+        surface, types = self.surface, self.types
+        encoded = self.model.encode(new, num_threads=1)
+        for w, ids, back in zip(new, encoded, self.model.decode(encoded, num_threads=1) if new else [], strict=True):
             pieces = [surface[i] for i in ids]
-            safe = w and SPACE not in w and b"".join(pieces) == _MARK + w.encode()
-            if safe:
-                lengths = np.array([len(p) for p in pieces], np.int32)
-                lengths[0] -= mark  # the space itself
-                if types[ids[0]] == BYTE:
-                    safe = False
-            self.known[w] = (np.array(ids, np.int32).tobytes(), lengths.tobytes()) if safe else None
+            safe = w and SPACE not in w and b"".join(pieces) == _MARK + w.encode() and types[ids[0]] != BYTE
+            self.known[w] = (np.array(ids, np.int32).tobytes(), np.array([len(p) for p in pieces], np.int32).tobytes(), back) if safe else None
 
     def encode(self, texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray, str]]:
         """ids (with the end id), ends of the original byte spans (a span begins where the last ended), decoded text."""
@@ -195,9 +205,13 @@ class PieceCodec:
                     spans = self.spans(text, ids)
                     yield np.array([*ids, self.end], np.int32), np.append(spans[:, 1], len(text.encode())), self.decode(ids)
                     continue
-                ids = np.frombuffer(b"".join([x[0] for x in got]) + self.end.to_bytes(4, "little"), np.int32)
-                ends = np.cumsum(np.frombuffer(b"".join([x[1] for x in got]), np.int32), dtype=np.int64) - 1  # no space before the first word
-                yield ids, np.append(ends, ends[-1]), text  # every word's pieces spell it, so they decode to the text
+                ids, lengths, back = zip(*got, strict=True)
+                normal, source = self.normalizer(text.encode())
+                at = np.cumsum(np.frombuffer(b"".join(lengths), np.int32), dtype=np.int64)
+                if at[-1] != len(normal):
+                    raise ValueError("the pieces differ from the normalised text")
+                ends = source[at]
+                yield np.frombuffer(b"".join(ids) + self.end.to_bytes(4, "little"), np.int32), np.append(ends, ends[-1]), " ".join(back)
 
 
 def codec(path: str) -> PieceCodec:
