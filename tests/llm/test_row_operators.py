@@ -81,6 +81,23 @@ def test_bpe_equals_library(bpe, texts):
     assert bpe.encode(texts) == [bpe.by_library(t) for t in texts]
 
 
+@pytest.mark.parametrize("text", [" " * 1_000_000 + "x", "\n" * 1_000_000, " \n" * 300_000 + "y z", "!" * 200_000, "日本" * 50_000])
+def test_bpe_extreme_texts(bpe, text):
+    assert bpe.encode([text, "a b"]) == [bpe.by_library(text), bpe.by_library("a b")]
+
+
+@pytest.mark.parametrize("sf", ["sf0.001", "sf0.01", "sf0.1"])
+def test_bpe_equals_library_on_whole_tables(bpe, sf):
+    """Every document, benchmark passage and conversation turn of the given tables."""
+    import pyarrow.parquet as pq
+
+    for name in ("documents", "benchmark", "conversations"):
+        texts = [t or "" for t in pq.read_table(f"/root/testdata/{sf}/{name}.parquet", columns=["text"]).column(0).to_pylist()]
+        for i in range(0, len(texts), 500):
+            due = bpe.library.encode_batch_fast(texts[i : i + 500], add_special_tokens=False)
+            assert bpe.encode(texts[i : i + 500]) == [np.array(e.ids, "<u4").tobytes() for e in due]
+
+
 @settings(max_examples=80, deadline=None)
 @given(st.lists(TEXT, max_size=6))
 def test_pieces_equal_library(texts):
@@ -90,7 +107,9 @@ def test_pieces_equal_library(texts):
         due = coder.model.encode(text)
         assert ids.tolist() == [*due, 2] and decoded == coder.model.decode(due)
         assert len(ends) == len(ids) and all(np.diff(ends) >= 0) and ends[-1] == len(text.encode())
+        assert decoded == coder.decode(due)
         if text and "▁" not in text:
+            assert np.array_equal(ends[:-1], coder.spans(text, due)[:, 1])
             data = text.encode()
             spans = zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True)
             assert b"".join(data[a:b] for a, b in spans) == data
@@ -112,6 +131,19 @@ def test_character_map_longest_prefix():
         assert len(source) == len(normal) + 1 and all(np.diff(source) >= 0)
 
 
+def test_alignment_without_rules_equals_the_walk():
+    coder = piece_codec.codec(P.path("piece_bpe_32k.model"))
+    for text in ("a b", " é 日本 x", "", "\U0001f600  z "):
+        data, walk = text.encode(), piece_codec.Normalizer.__call__
+        fast = coder.normalizer(data)
+        slow = piece_codec.Normalizer.__new__(piece_codec.Normalizer)
+        slow.__dict__.update(coder.normalizer.__dict__)
+        slow._spaced = None
+        slow.map = type("Empty", (), {"units": (0,), "longest": staticmethod(lambda data, at: None)})()
+        due = walk(slow, data)
+        assert fast[0] == due[0] and np.array_equal(fast[1], due[1])
+
+
 def test_piece_query_cases(spark):
     coder = piece_codec.codec(P.path("piece_bpe_32k.model"))
     got = {r.doc_id: r for r in piece_codec.digests(piece_codec.encode_column(table(spark, SPECIAL, True), P.path("piece_bpe_32k.model"))).collect()}
@@ -176,7 +208,34 @@ def test_forward_sums_all_segmentations():
     for word in ("▁the", "▁xqz", "▁état"):
         got = language_id.forward(v.lookups([word], len(word)), p)[len(word)][0]
         assert np.allclose(got, [brute(word, 0), brute(word, 1)])
-        assert np.allclose(np.exp(language_id.log_forward(v.lookups([word], len(word)), p))[0], got)
+        assert np.allclose(np.exp(language_id.long_forward([word], v, p))[0], got)
+
+
+def test_long_words_are_summed_whole(spark):
+    v = language_id.Vocabulary(P.path("piece_bpe_32k.model"))
+    rng = np.random.default_rng(2)
+    p = rng.random((v.size, 3)) * 0.1
+    p[v.none] = 0
+    words = ["▁" + "état" * 12, "▁" + "the" * 30, "▁" + "x日" * 24, "▁a", "▁" + "ing" * 16]
+    got = language_id.long_forward(words, v, p, most_cells=150)
+    for w, x in zip(words, got, strict=True):
+        assert np.allclose(np.log(language_id.forward(v.lookups([w], len(w)), p)[len(w)][0]), x)
+    assert language_id.in_runs(language_id.Counter({"▁" + "a" * 100: 2, "▁b": 1})) == {"▁" + "a" * 39: 2, "a" * 40: 2, "a" * 21: 2, "▁b": 1}
+    long = language_id.Scorer(P.path("piece_bpe_32k.model"), p, np.zeros(3)).texts(["日本" * 50_000])
+    assert long[0][0] >= 0
+
+
+def test_unfitted_and_fitted_models_stay_apart(spark):
+    df = spark.createDataFrame([(i, t, t[:2]) for i, t in enumerate(["the cat is here", "le chat est ici"] * 30)], "doc_id long, text string, lang string").coalesce(1)
+    path = P.path("piece_bpe_32k.model")
+    assert {r.lang_pred for r in language_id.predictions(df.withColumn("lang", F.lit(None).cast("string")), path).collect()} == {"und"}
+    assert {r.lang_pred for r in language_id.predictions(df, path).collect()} == {"th", "le"}
+
+
+def test_many_labels_are_bounded(spark):
+    df = spark.createDataFrame([(i, "x", f"l{i % 50}" if i % 2 else "big") for i in range(400)], "doc_id long, text string, lang string")
+    got = {r[0] for r in language_id.training_sample(df, 1000, F.col("lang"), "doc_id", most_groups=3).select("lang").distinct().collect()}
+    assert got == {"big", "l1", "l11"}
 
 
 def test_expected_counts_add_up():
