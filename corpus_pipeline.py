@@ -11,7 +11,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from codeschema.llm import language_id, near_dedup, packing, secret_scan, substring_dedup
-from codeschema.llm.base import table, written
+from codeschema.llm.base import free_name, table, written
 
 
 def languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -20,8 +20,9 @@ def languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = language_id.train(docs, path)
     if not model[0]:
         return docs
-    found = language_id.identify(docs, model, path, keep=True)
-    return found.where("lang_pred <> 'und'").select(*[f"`{c}`" for c in docs.columns])
+    pred, score = free_name(docs, "lang_pred"), free_name(docs, "lang_score")
+    found = language_id.identify(docs, model, path, keep=True, pred_col=pred, score_col=score)
+    return found.where(f"`{pred}` <> 'und'").select(*[f"`{c}`" for c in docs.columns])
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
