@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..schema import MODEL
-from .parser import Node, ParseError, parse
+from .parser import INNER, Node, ParseError, Parser
 from .tokens import LexError
 
 COMPARE = {"==", "===", "!=", "!==", "<", ">", "<=", ">="}
@@ -26,17 +26,20 @@ TEXT_METHODS = {"toUpperCase", "toLowerCase", "trim", "startsWith", "endsWith",
 _SCRIPT = re.compile(r"<script[^>]*>(.*?)</script>", re.S | re.I)
 
 Steps = list[dict]
+MODEL_CHARS = 1_000_000  # of texts whose models are held at once
 
 
 class Injector:
     def __init__(self, text: str) -> None:
         self.text = text
-        self.tree, self.tokens = parse(text)
+        parser = Parser(text)
+        self.tree, self.tokens, self.inner = parser.program(), parser.tokens, parser.inner
         self.rows: dict[str, list[dict]] = {k: [] for k in ("units", "elements", "nodes", "uses", "aliases", "calls", "args", "resolved")}
         self.scopes: list[tuple[int, dict[str, str]]] = []
         self.constants: dict[str, str] = {}
         self.handles: dict[str, str] = {}
         self.functions: dict[str, int] = {}
+        self.modules: set[str] = set()  # variables that hold another file's exports
         self.n_chain = 0
         self.new_unit(-1, "script", "", None, [])
         self.scopes.append((0, {}))
@@ -48,14 +51,22 @@ class Injector:
         self.rows["units"].append({"unit": len(self.rows["units"]), "parent": parent, "kind": kind, "name": name, "call_seq": call, "params": params})
         return len(self.rows["units"]) - 1
 
+    def token(self, i: int):
+        return self.tokens[min(max(i, 0), len(self.tokens) - 1)] if i < INNER else self.inner[min(i - INNER, len(self.inner) - 1)]
+
+    def span(self, n: Node) -> tuple[int, int]:
+        """Where a node stands in the text."""
+        if n.b <= n.a or n.a >= len(self.tokens) and n.a < INNER:
+            return 0, 0
+        last = self.token(n.b - 1)
+        return self.token(n.a).start, last.start + len(last.text)
+
     def slice(self, n: Node) -> str:
-        if n.b <= n.a or n.a >= len(self.tokens):
-            return ""
-        last = self.tokens[min(n.b, len(self.tokens)) - 1]
-        return self.text[self.tokens[n.a].start : last.start + len(last.text)]
+        a, b = self.span(n)
+        return self.text[a:b]
 
     def line(self, i: int) -> int:
-        return self.tokens[min(max(i, 0), len(self.tokens) - 1)].line if self.tokens else 1
+        return self.token(i).line if self.tokens else 1
 
     def element(self, n: Node, parent: int, unit: int, block: int, order: int, kind: str | None = None) -> int:
         e = len(self.rows["elements"])
@@ -159,12 +170,16 @@ class Injector:
             call = self.expression(over, seq, where, "read")
             var = self.pattern(n.kids[0], seq, where, None if kind == "forin" or not found else (found[0], [*found[1], {"name": "[]", "kind": "index"}]))
             if call is not None and var:
-                self.result(call, var, True)
+                self.result(call, var, True, seq)
             self.block(n.kids[2], unit, e, branch, [*loops, e])
         elif kind == "return":
             seq = self.node("return", where, n)
             for k in n.kids:
-                self.expression(k, seq, where, "read")
+                call, core = self.expression(k, seq, where, "read"), k.kids[0] if k.kind == "await" else k
+                if call is not None:
+                    self.result(call, f"return@{unit}", False, None)
+                elif core.kind in ("name", "member", "index"):
+                    self.alias(seq, f"return@{unit}", self.path(core))
         elif kind == "try":
             for body in n.kids:
                 self.block(body, unit, e, branch, loops)
@@ -185,6 +200,10 @@ class Injector:
 
     def assign(self, n: Node, where: dict) -> None:
         target, value = n.kids
+        if target.kind == "member" and value.kind == "function" and n.name == "=":  # a method, or what a file exports
+            self.node("assign", where, n)
+            self.callable(value, where, None, target.name)
+            return
         if target.kind == "name" and n.name == "=":
             self.value(target, value, where, n, "assign")
             return
@@ -211,6 +230,8 @@ class Injector:
                 self.constants[var] = core.value
             if handle is not None and core.kind == "call" and core.kids[0].name == "collection":
                 self.handles[var] = handle
+            if core.kind == "call" and core.kids[0].kind == "name" and core.kids[0].name == "require":
+                self.modules.add(var)
         if core.kind == "call":
             call = self.expression(core, None, where, "read")
             seq = self.node(kind, where, n)
@@ -218,7 +239,7 @@ class Injector:
             tracked = found if found and found[1] and found[1][-1]["kind"] == "method" and not self.op_chain(core) else None
             var = self.pattern(target, seq, where, None if not tracked else (tracked[0], [*tracked[1][:-1], *self.handed(tracked[1][-1])]))
             if call is not None and var:
-                self.result(call, var, False)
+                self.result(call, var, False, seq)
             return
         seq = self.node(kind, where, n)
         self.expression(value, seq, where, "read")
@@ -249,21 +270,24 @@ class Injector:
                 self.pattern(inner, seq, where, (whole, step))
         return whole
 
-    def result(self, call: int, var: str, element: bool) -> None:
-        for row in self.rows["calls"]:
-            if row["chain"] == call:
-                row["result"], row["element"] = var, element
+    def result(self, call: int, var: str, element: bool, seq: int | None) -> None:
+        """What a chain's result is held by, and the node at which it is from then on; callbacks have it already."""
+        for row in reversed(self.rows["calls"]):
+            if row["chain"] == call and (seq is not None or row["result"] is None):
+                row["result"], row["element"], row["result_seq"] = var, element, seq
 
     # -- expressions ---------------------------------------------------------------------------
     def container_of(self, n: Node) -> str | None:
-        """The container named by the nearest ``collection(x)`` step of a call chain, or by a variable that holds one."""
+        """The container named by the nearest ``collection(x)`` step of a call chain, or by a variable that holds one;
+        ``?`` and the variable where only a caller can know its name."""
         while n.kind in ("call", "member", "await"):
             if n.kind == "call" and n.kids[0].kind == "member" and n.kids[0].name == "collection" and len(n.kids) > 1:
                 arg = n.kids[1]
                 if arg.kind == "literal":
                     return str(arg.value)
                 if arg.kind == "name":
-                    return self.constants.get(self.resolve(arg.name), "?")
+                    var = self.resolve(arg.name)
+                    return self.constants.get(var, f"?{var}")
                 return "?"
             n = n.kids[0]
         return self.handles.get(self.resolve(n.name)) if n.kind == "name" else None
@@ -355,9 +379,11 @@ class Injector:
             head = call.kids[0]
             name = head.name if head.kind in ("member", "name") else ""
             seq = self.node("call", where, call)
-            row = {"seq": seq, "unit": where["unit"], "chain": number, "pos": pos, "name": name, "n_chain": len(steps), "container": container, "receiver": receiver, "result": None, "element": False, "callback": None, "text": self.slice(call)[:400]}
+            row = {"seq": seq, "unit": where["unit"], "chain": number, "pos": pos, "name": name, "n_chain": len(steps), "container": container[:1] if container and container[0] == "?" else container, "container_var": container[1:] or None if container and container[0] == "?" else None, "receiver": receiver, "result": None, "result_seq": None, "element": False, "callback": None, "text": self.slice(call)[:400]}
             self.rows["calls"].append(row)
-            if head.kind == "name":
+            inner = head.kids[0] if head.kind == "member" else None
+            own = inner is not None and container is None and inner.kind == "name" and (inner.name == "this" or self.resolve(inner.name) in self.modules)
+            if head.kind == "name" or own:
                 self.rows["resolved"].append({"seq": seq, "callee": name})
             holder = self.path(head.kids[0]) if head.kind == "member" else None
             if holder and container is None:  # a method of a variable that may hold stored objects
@@ -434,15 +460,32 @@ def inject(files: DataFrame, extra: str = "") -> DataFrame:
     """A model row for each file (``schema.MODEL``): map-only, one file at a time."""
 
     schema = to_arrow_schema(files.sparkSession.createDataFrame([], MODEL).schema)
+    columns = ("app_id", "version", "path", "content", "lang")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out, held = [], 0
         for batch in batches:
-            rows = batch.to_pydict()
-            out = []
-            for app, version, path, content, lang in zip(rows["app_id"], rows["version"], rows["path"], rows["content"], rows["lang"], strict=True):
+            for i in range(batch.num_rows):  # few models are Python objects at once
+                app, version, path, content, lang = (batch.column(c)[i].as_py() for c in columns)
                 found, error = inject_text(content, lang)
                 out.append({"app_id": app, "version": version, "path": path, "error": error, **found})
-            for i in range(0, len(out), 500):
-                yield pa.RecordBatch.from_pylist(out[i : i + 500], schema=schema)
-
-    return files.select("app_id", "version", "path", "content", "lang").mapInArrow(run, MODEL)
+                held += len(content or "")
+                if held > MODEL_CHARS or len(out) == 500:
+                    yield pa.RecordBatch.from_pylist(out, schema=schema)
+                    out, held = [], 0
+        if out:
+            yield pa.RecordBatch.from_pylist(out, schema=schema)
+
+    return spread(files.select(*columns)).mapInArrow(run, MODEL)
+
+
+def spread(files: DataFrame, most_bytes: int = 32 << 20) -> DataFrame:
+    """The files dealt by hash over enough tasks: one a core at least, and about ``most_bytes`` of text in each.
+
+    Parsing costs far more than moving the texts, and a source may well come in a single partition.
+    """
+    spark = files.sparkSession
+    size = int(str(files._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    known = size if size < 1 << 60 else 0  # sources that can't tell give the greatest number
+    tasks = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")), min(100_000, known // most_bytes))
+    return files.repartition(tasks, "app_id", "version", "path")

@@ -15,6 +15,9 @@ _ASSIGN = {"=", "+=", "-=", "*=", "/=", "%=", "&&=", "||=", "??="}
 _OPEN = {"(": ")", "[": "]", "{": "}"}
 
 
+INNER = 1 << 40  # beyond the number of any token of the text itself
+
+
 class ParseError(ValueError):
     pass
 
@@ -32,6 +35,7 @@ class Node:
 class Parser:
     def __init__(self, text: str) -> None:
         self.tokens: list[Token] = tokenize(text)
+        self.inner: list[Token] = []  # tokens of expressions inside template strings; numbered from INNER on
         self.at = 0
         deep = []
         for t in self.tokens:
@@ -403,7 +407,7 @@ class Parser:
             return Node("literal", a, a + 1, name="string", value=t.text)
         if t.kind == "template":
             self.at += 1
-            return Node("template", a, a + 1, value=t.text, kids=[Parser(x).expression() for x in holes(t.text)])
+            return Node("template", a, a + 1, value=t.text, kids=[self.hole(t, at, x) for at, x in holes(t.text)])
         if t.text == "(":
             self.at += 1
             got = self.expression()
@@ -441,6 +445,20 @@ class Parser:
             return Node("name", a, a + 1, name=self.name())
         raise ParseError(f"line {t.line}: {t.text}")
 
+    def hole(self, t: Token, at: int, text: str) -> Node:
+        """An expression inside a template string, its tokens placed where they stand in the whole text."""
+        sub = Parser(text)
+        tree, first = sub.expression(), INNER + len(self.inner)
+        for x in (*sub.tokens, *sub.inner):
+            self.inner.append(Token(x.kind, x.text, t.line + x.line - 1 + t.text[:at].count("\n"), t.start + at + x.start))
+        todo = [tree]
+        while todo:
+            n = todo.pop()
+            n.a, n.b = (first + (x if x < INNER else len(sub.tokens) + x - INNER) for x in (n.a, n.b))
+            todo += [k for k in n.kids if isinstance(k, Node)]
+            todo += [k for k in n.value if isinstance(k, Node)] if isinstance(n.value, list) else []
+        return tree
+
     def object(self) -> Node:
         a = self.at
         self.need("{")
@@ -473,15 +491,15 @@ class Parser:
         return Node("object", a, self.at, kids=kids)
 
 
-def holes(template: str) -> list[str]:
-    """The expressions in a template string."""
+def holes(template: str) -> list[tuple[int, str]]:
+    """The expressions in a template string, with their places."""
     out, at = [], 0
     while (at := template.find("${", at)) >= 0:
         depth, end = 1, at + 2
         while end < len(template) and depth:
             depth += (template[end] == "{") - (template[end] == "}")
             end += 1
-        out.append(template[at + 2 : end - 1])
+        out.append((at + 2, template[at + 2 : end - 1]))
         at = end
     return out
 

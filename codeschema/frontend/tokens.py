@@ -56,3 +56,20 @@ def tokenize(text: str, comments: bool = False) -> list[Token]:
 def unquote(text: str) -> str:
     """The value of a string token (simple escapes)."""
     return re.sub(r"\\(.)", lambda m: {"n": "\n", "t": "\t", "r": "\r"}.get(m.group(1), m.group(1)), text[1:-1], flags=re.S)
+
+
+def register_code_tokens(spark, name: str = "code_tokens") -> str:
+    """Registers the table function ``code_tokens(text)``: (pos, kind, text, line); no rows for a text that can't be read."""
+    from pyspark.sql.functions import udtf
+
+    class CodeTokens:
+        def eval(self, text: str):
+            try:
+                found = tokenize(text or "")
+            except LexError:
+                return
+            for i, t in enumerate(found):
+                yield i, t.kind, t.text, t.line
+
+    spark.udtf.register(name, udtf(CodeTokens, returnType="pos int, kind string, text string, line int"))
+    return name

@@ -2,14 +2,19 @@
 
 from __future__ import annotations
 
-from collections import defaultdict
+import re
+import uuid
+from collections import defaultdict, deque
 from collections.abc import Iterator
+from functools import reduce
 from itertools import count
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from ..functions import digest_of, steps_path
 from ..plans import Options
@@ -33,11 +38,40 @@ def api_table(spark: SparkSession, api: list | None = None) -> DataFrame:
 
 
 def find_operations(m: Models, api: list | None = None, needs_container: bool = True) -> DataFrame:
-    """Calls whose name is in the dictionary; the dictionary is a broadcast table of fixed size."""
-    calls = m.calls.where("container is not null") if needs_container else m.calls
+    """Calls whose name is in the dictionary, a broadcast table of fixed size; containers that callers name are bound."""
+    names = [a[0] for a in api or DEFAULT_API]
+    mine = F.filter("calls", lambda c: c["name"].isin(*names) & (c["container"].isNotNull() if needs_container else F.lit(True)))
+    # A node's number is its place, so an operation finds its node without a join.
+    at = F.transform(mine, lambda c: F.struct(c.alias("c"), F.get("nodes", c["seq"]).alias("n")))
+    calls = m.model.select(*KEY, F.explode(at).alias("x")).select(*KEY, "x.c.*", F.col("x.n.elem").alias("elem"), F.col("x.n.block").alias("block"), F.col("x.n.branch").alias("branch"), F.col("x.n.loops").alias("loops"), F.col("x.n.line").alias("line"))
     found = calls.join(F.broadcast(api_table(m.files.sparkSession, api)), calls["name"] == F.col("call"))
-    branch = m.nodes.select(*KEY, "seq", "elem", "block", "branch", "loops", "line")
-    return found.join(branch, [*KEY, "seq"]).select(*KEY, (F.col("seq") * 100).cast("long").alias("op"), "seq", "kind", "call", "container", "filter_arg", "payload_arg", (F.col("multi") & ~F.col("scalar")).alias("multi"), "scalar", F.col("result").alias("result_var"), "element", "callback", "unit", "elem", "block", "branch", "line", "text", F.lit(None).cast("string").alias("as_field"), F.lit(False).alias("synthetic"))
+    named = bind_containers(m)
+    if named is not None:
+        found = found.join(named, [*KEY, "seq"], "left").withColumn("container", F.coalesce("named", "container"))
+    return found.select(*KEY, (F.col("seq") * 100).cast("long").alias("op"), "seq", "kind", "call", "container", "filter_arg", "payload_arg", (F.col("multi") & ~F.col("scalar")).alias("multi"), "scalar", F.col("result").alias("result_var"), "result_seq", "element", "callback", "unit", "elem", "block", "branch", "loops", "line", "text", F.lit(None).cast("string").alias("as_field"), F.lit(False).alias("synthetic"))
+
+
+def bind_containers(m: Models) -> DataFrame | None:
+    """(key, seq, named): names that callers, in this file or another, give as an argument for an operation's container.
+
+    One row for each name; None where every container is named in place.
+    """
+    open_ = m.model.select(*KEY, F.explode(F.filter("calls", lambda c: c["container_var"].isNotNull())).alias("c")).select(*KEY, F.col("c.seq").alias("seq"), F.col("c.container_var").alias("var"))
+    fresh = written(open_.select(*KEY, "seq", F.col("path").alias("at_path"), "var"), "unnamed")
+    if fresh.isEmpty():
+        return None
+    local = m.aliases.where("root is not null and size(steps) = 0").select("app_id", "version", F.col("path").alias("at_path"), F.col("lhs").alias("var"), F.col("path").alias("root_path"), "root", F.lit(None).cast("string").alias("literal"))
+    given = written(local.unionByName(m.bindings.where("mode = 1 and size(steps) = 0").select("app_id", "version", F.col("path").alias("at_path"), F.col("lhs").alias("var"), "root_path", "root", "literal")), "given")
+    seen, found = fresh, None
+    while True:
+        step = fresh.join(given, ["app_id", "version", "at_path", "var"])
+        hit = step.where("literal is not null").select(*KEY, "seq", F.col("literal").alias("named"))
+        found = hit if found is None else found.unionByName(hit)
+        step = step.where("root is not null").select(*KEY, "seq", F.col("root_path").alias("at_path"), F.col("root").alias("var")).distinct()
+        fresh = written(step.join(seen, step.columns, "left_anti"), "unnamed")
+        if fresh.isEmpty():
+            return written(found.distinct(), "named")
+        seen = seen.unionByName(fresh)
 
 
 def expand_pipelines(m: Models, ops: DataFrame) -> DataFrame:
@@ -57,25 +91,49 @@ def all_operations(m: Models, api: list | None = None) -> DataFrame:
 
 
 # -- backward pass -------------------------------------------------------------------------------
+# One walk, three ways to run it.  It goes from the arguments of an operation to what gave them their values:
+# assignments and results before it (a place after it counts in a common loop) that do not lie in the other branch of
+# a selection, arguments of the calls that enter a function (mode 1), and the end of functions whose result is used
+# (mode 2).  A function that was entered from one call is left to that call only.  With ``kill`` only the last
+# assignment counts, and those after it, where it is made on every way to the operation.
+END = 2**31 - 1  # the place after all nodes of a file
+_WALK = "app_id string, version int, path string, prev_seq int, next_seq int, via_var string, hops int, prev_container string, next_container string, prev_var string, next_var string, prev_kind string, next_kind string, open_var string, bound int, sites array<string>"
+
+
 def _flip(x: str) -> str:
     return x[:-1] + ("F" if x[-1] == "T" else "T")
 
 
 def _kernel(options: Options, api: list) -> object:
-    """Map-only backward walk: a file's model row holds all that the walk needs."""
+    """Map-only walk inside each file; ways that lead to other files are given as open ends."""
     kinds = {a[0]: a for a in api}
 
-    def links(row: dict) -> list[tuple[int, int, str, int]]:
+    def links(row: dict) -> Iterator[dict]:
+        ops = [c for c in row["calls"] if c["container"] is not None and c["name"] in kinds]
+        if not ops:
+            return
         branch = {n["seq"]: n["branch"] for n in row["nodes"]}
         loops = {n["seq"]: set(n["loops"]) for n in row["nodes"]}
-        ops = [c for c in row["calls"] if c["container"] is not None and c["name"] in kinds]
-        results = defaultdict(list)
-        for c in ops:
-            if c["result"] and not kinds[c["name"]][5]:
-                results[c["result"]].append(c["seq"])
-        sources = defaultdict(list)
+        functions = defaultdict(list)
+        for u in row["units"]:
+            if u["kind"] == "function" and u["name"]:
+                functions[u["name"]].append(u)
+        callee = {r["seq"]: r["callee"] for r in row["resolved"]}
+        # What may give a variable its value: (place, place from which it holds, mode, variable or operation).
+        sources, outside = defaultdict(list), {f"{p}@{u['unit']}" for us in functions.values() for u in us for p in u["params"] if p}
+        by_seq = {}
+        for c in row["calls"]:
+            held = c["result_seq"] if c["result_seq"] is not None else c["seq"]
+            by_seq[c["seq"]] = c
+            if c["result"] and c["container"] is not None and c["name"] in kinds and not kinds[c["name"]][5]:
+                sources[c["result"]].append((c["seq"], held, 3, c["seq"]))
+            if c["result"] and c["seq"] in callee:
+                for u in functions[callee[c["seq"]]]:
+                    sources[c["result"]].append((held, held, 2, (f"return@{u['unit']}", c["seq"])))
+                if not functions[callee[c["seq"]]]:
+                    outside.add(c["result"])
         for a in row["aliases"]:
-            sources[a["lhs"]].append((a["seq"], a["root"]))
+            sources[a["lhs"]].append((a["seq"], a["seq"], 0, a["root"]))
         roots = defaultdict(set)
         for u in row["uses"]:
             if u["role"] == "arg":
@@ -83,43 +141,60 @@ def _kernel(options: Options, api: list) -> object:
         for a in row["args"]:
             if a["root"]:
                 roots[a["seq"]].add(a["root"])
+                if a["key"] == "" and a["seq"] in callee:
+                    for u in functions[callee[a["seq"]]]:
+                        if a["arg"] < len(u["params"]) and u["params"][a["arg"]]:
+                            sources[f"{u['params'][a['arg']]}@{u['unit']}"].append((a["seq"], a["seq"], 1, a["root"]))
 
-        def before(q: int, bound: int, op: int) -> bool:
+        def counts(q: int, bound: int, op: int) -> bool:
             if options.walk == "linear":
                 return q < bound
             if any(_flip(x) in branch[op] for x in branch[q]):
                 return False
             return q < bound or bool(loops[q] & loops[op]) and q != op
 
-        out = {}
         for c in ops:
-            op = c["seq"]
-            seen: dict[str, tuple[int, int]] = {}
-            todo = [(v, op, 0) for v in sorted(roots[op])]
+            op, hits, open_ = c["seq"], {}, {}
+            seen: dict[tuple, int] = {}
+            todo = deque((v, op, 0, ()) for v in sorted(roots[op]))
             while todo:
-                v, bound, hops = todo.pop(0)
-                if v in seen and seen[v][0] >= bound:
+                v, bound, hops, sites = todo.popleft()
+                if seen.get((v, sites), -1) >= bound:
                     continue
-                seen[v] = (bound, hops)
-                given = [(q, r) for q, r in sources[v] if before(q, bound, op)]
-                made = [q for q in results[v] if before(q, bound, op) and q != op]
-                if options.kill and given:  # only what holds the variable last
-                    last = max(q for q, _ in given)
-                    result_at = max(made, default=-1)
-                    given = [g for g in given if g[0] == last] if last - 1 > result_at else []
-                    made = [q for q in made if q + 1 >= last or q == result_at and last <= result_at]
-                for q in made:
-                    if (q, op) not in out or out[q, op][1] > hops:
-                        out[q, op] = (v, hops)
-                todo += [(r, q, hops + 1) for q, r in given if r]
-        return [(q, op, v, hops) for (q, op), (v, hops) in sorted(out.items())]
-
-    schema = pa.schema([("app_id", pa.string()), ("version", pa.int32()), ("path", pa.string()), ("prev_seq", pa.int32()), ("next_seq", pa.int32()), ("via_var", pa.string()), ("hops", pa.int32())])
+                seen[v, sites] = bound
+                if v in outside:
+                    open_.setdefault((v, sites), (bound, hops))
+                    open_[v, sites] = (max(bound, open_[v, sites][0]), open_[v, sites][1])
+                given = [x for x in sources[v] if x[2] == 1 or counts(x[0], bound, op)]
+                if options.kill and not v.startswith("return@"):
+                    sure = [x[1] for x in given if x[2] != 1 and x[1] < bound and set(branch[x[1]]) <= set(branch[op])]
+                    last = max(sure, default=-1)
+                    given = [x for x in given if x[2] == 1 or x[1] >= last]
+                for q, _, mode, what in given:
+                    if mode == 3:
+                        if what != op and (what not in hits or hits[what] > (hops, v)):
+                            hits[what] = (hops, v)
+                    elif mode == 0:
+                        if what:
+                            todo.append((what, q, hops + 1, sites))
+                    elif mode == 1:
+                        if not sites or sites[0] == q:
+                            todo.append((what, q, hops + 1, sites[1:]))
+                    elif what[1] not in sites:
+                        todo.append((what[0], END, hops + 1, (what[1], *sites)))
+            own = {"app_id": row["app_id"], "version": row["version"], "path": row["path"], "next_seq": op, "next_container": c["container"], "next_var": c["container_var"], "next_kind": kinds[c["name"]][1]}
+            for q, (hops, v) in sorted(hits.items()):
+                yield {**own, "prev_seq": q, "via_var": v, "hops": hops, "prev_container": by_seq[q]["container"], "prev_var": by_seq[q]["container_var"], "prev_kind": kinds[by_seq[q]["name"]][1]}
+            for (v, sites), (bound, hops) in sorted(open_.items()):
+                yield {**own, "open_var": v, "bound": bound, "hops": hops, "sites": [f"{row['path']}:{x}" for x in sites]}
+
+    schema = to_arrow_schema(StructType.fromDDL(_WALK))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = [dict(zip(schema.names, (r["app_id"], r["version"], r["path"], *x), strict=True)) for r in batch.to_pylist() for x in links(r)]
-            yield pa.RecordBatch.from_pylist(out, schema=schema)
+            for i in range(0, batch.num_rows, 32):  # few models are Python objects at once
+                out = [x for row in batch.slice(i, 32).to_pylist() for x in links(row)]
+                yield pa.RecordBatch.from_pylist(out, schema=schema)
 
     return run
 
@@ -132,67 +207,148 @@ def rounds(options: Options) -> Iterator[int]:
         yield turn
 
 
-def _relational(m: Models, ops: DataFrame, options: Options) -> DataFrame:
-    """The same walk as joins: what was found last round is followed, the greatest bound of each variable kept."""
-    branch = m.nodes.select(*KEY, "seq", "branch")
-    sources = written(m.aliases.where("root is not null").join(branch, [*KEY, "seq"]).select(*KEY, F.col("lhs").alias("var"), F.col("root"), F.col("seq").alias("at"), F.col("branch").alias("at_branch")), "aliases")
-    roots = m.args.where("root is not null").select(*KEY, "seq", F.col("root").alias("var")).unionByName(m.uses.where("role = 'arg'").select(*KEY, "seq", F.col("root").alias("var"))).distinct()
-    op = ops.where("not synthetic").select(*KEY, "seq", F.transform("branch", lambda b: F.translate(b, "TF", "FT")).alias("not_in"))
-    fresh = written(op.join(roots, [*KEY, "seq"]).select(*KEY, "seq", "not_in", "var", F.col("seq").alias("bound"), F.lit(0).alias("hops")), "walk")
-    seen = fresh
+_HOME = ["app_id", "version", "path", "seq"]
+
+
+def _events(m: Models, ops: DataFrame) -> DataFrame:
+    """What may give a variable its value: (app_id, version, at_path, var, at, holds, mode, to_path, to_var, site, branch, loops)."""
+    none = F.lit(None).cast("string")
+    node = m.nodes.select(*KEY, "seq", "branch", "loops")
+    local = m.aliases.join(node, [*KEY, "seq"]).select("app_id", "version", F.col("path").alias("at_path"), F.col("lhs").alias("var"), F.col("seq").alias("at"), F.col("seq").alias("holds"), F.lit(0).alias("mode"), F.col("path").alias("to_path"), F.col("root").alias("to_var"), none.alias("site"), "branch", "loops")
+    made = ops.where("not synthetic and not scalar and result_var is not null").select("app_id", "version", F.col("path").alias("at_path"), F.col("result_var").alias("var"), F.col("seq").alias("at"), F.coalesce("result_seq", "seq").alias("holds"), F.lit(3).alias("mode"), F.col("path").alias("to_path"), none.alias("to_var"), none.alias("site"), "branch", "loops").distinct()
+    back = m.bindings.where("mode = 2").join(node.withColumnRenamed("seq", "at"), [*KEY, "at"]).select("app_id", "version", F.col("path").alias("at_path"), F.col("lhs").alias("var"), "at", F.col("at").alias("holds"), "mode", F.col("root_path").alias("to_path"), F.col("root").alias("to_var"), "site", "branch", "loops")
+    words = F.array().cast("array<string>")
+    into = m.bindings.where("mode = 1 and root is not null").select("app_id", "version", F.col("path").alias("at_path"), F.col("lhs").alias("var"), "at", F.col("at").alias("holds"), "mode", F.col("root_path").alias("to_path"), F.col("root").alias("to_var"), "site", words.alias("branch"), F.array().cast("array<int>").alias("loops"))
+    return local.unionByName(made).unionByName(back).unionByName(into)
+
+
+def _counted(options: Options) -> str:
+    """Whether an event counts for a state of the walk, in SQL."""
+    inside = "at < bound" if options.walk == "linear" else "not arrays_overlap(branch, not_in) and (at < bound or at_path = path and at <> seq and arrays_overlap(loops, op_loops))"
+    return f"case mode when 1 then size(sites) = 0 or element_at(sites, 1) = site when 2 then ({inside}) and not array_contains(sites, site) else {inside} end"
+
+
+def _walk(events: DataFrame, fresh: DataFrame, options: Options, whole: bool = True) -> DataFrame:
+    """The walk as joins to a fixpoint: what was found last round is followed, the greatest bound of each variable kept.
+
+    ``fresh``: (home of the operation, not_in, op_loops, own_branch, at_path, var, bound, sites, hops).  ``whole``: not a
+    continuation of walks inside files.
+    """
+    state = [*_HOME, "at_path", "var", "sites"]
+    fresh = written(fresh, "walk")
+    seen, hits = fresh.select(*state, "bound"), None
     for turn in rounds(options):
-        step = fresh.join(sources, [*KEY, "var"]).where("at < bound")
-        if options.walk != "linear":
-            step = step.where("not arrays_overlap(at_branch, not_in)")
-        step = step.groupBy(*KEY, "seq", "not_in", F.col("root").alias("var")).agg(F.max("at").alias("bound"), (F.min("hops") + 1).alias("hops"))
-        known = seen.groupBy(*KEY, "seq", "var").agg(F.max("bound").alias("known"))
-        fresh = written(step.join(known, [*KEY, "seq", "var"], "left").where("known is null or known < bound").drop("known"), "walk")
+        step = fresh.join(events, ["app_id", "version", "at_path", "var"]).where(_counted(options))
+        if options.kill:
+            sure = F.when((F.col("mode") != 1) & (F.col("holds") < F.col("bound")) & (F.size(F.array_except("branch", "own_branch")) == 0) & ~F.col("var").startswith("return@"), F.col("holds"))
+            step = step.withColumn("last", F.max(sure).over(W.partitionBy(*state, "bound"))).where("mode = 1 or last is null or holds >= last").drop("last")
+        step = written(step, "walk-step")
+        hit = step.where("mode = 3 and (at_path <> path or at <> seq)").select(*_HOME, F.col("at_path").alias("prev_path"), F.col("at").alias("prev_seq"), F.col("var").alias("via_var"), "hops")
+        hits = hit if hits is None else hits.unionByName(hit)
+        bound = F.when(F.col("mode") == 2, F.lit(END)).otherwise(F.col("at"))
+        sites = F.when(F.col("mode") == 1, F.slice("sites", 2, END)).when(F.col("mode") == 2, F.concat(F.array("site"), "sites")).otherwise(F.col("sites"))
+        step = step.where("mode <> 3 and to_var is not null").select(*_HOME, "not_in", "op_loops", "own_branch", F.col("to_path").alias("at_path"), F.col("to_var").alias("var"), sites.alias("sites"), bound.alias("bound"), (F.col("hops") + 1).alias("hops"))
+        step = step.groupBy(*state).agg(F.max("bound").alias("bound"), F.min("hops").alias("hops"), F.first("not_in").alias("not_in"), F.first("op_loops").alias("op_loops"), F.first("own_branch").alias("own_branch"))
+        known = seen.groupBy(*state).agg(F.max("bound").alias("known"))
+        fresh = written(step.join(known, state, "left").where("known is null or known < bound").drop("known"), "walk")
         if fresh.isEmpty():
             break
-        seen = seen.unionByName(fresh)
+        seen = seen.unionByName(fresh.select(*state, "bound"))
         if turn % 16 == 0:
-            seen = written(seen, "walk")
-    made = ops.where("not synthetic and not scalar and result_var is not null").select(*KEY, F.col("result_var").alias("var"), F.col("seq").alias("prev_seq"), "branch")
-    hit = seen.join(made, [*KEY, "var"]).where("prev_seq < bound and prev_seq <> seq")
-    if options.walk != "linear":
-        hit = hit.where("not arrays_overlap(branch, not_in)")
-    return hit.groupBy(*KEY, "prev_seq", F.col("seq").alias("next_seq")).agg(F.min_by("var", F.struct("hops", "var")).alias("via_var"), F.min("hops").alias("hops"))
+            seen, hits = written(seen, "walk"), written(hits, "walk-hits")
+    return hits.groupBy(*_HOME, "prev_path", "prev_seq").agg(F.min_by("via_var", F.struct("hops", "via_var")).alias("via_var"), F.min("hops").alias("hops"))
+
+
+def _starts(m: Models, ops: DataFrame) -> DataFrame:
+    roots = m.args.where("root is not null").select(*KEY, "seq", F.col("root").alias("var")).unionByName(m.uses.where("role = 'arg'").select(*KEY, "seq", F.col("root").alias("var"))).distinct()
+    return _homes(ops).join(roots, [*KEY, "seq"]).select("*", F.col("path").alias("at_path"), F.col("seq").alias("bound"), F.array().cast("array<string>").alias("sites"), F.lit(0).alias("hops"))
+
+
+def _homes(ops: DataFrame) -> DataFrame:
+    return ops.where("not synthetic").select(*_HOME, F.transform("branch", lambda b: F.translate(b, "TF", "FT")).alias("not_in"), F.col("loops").alias("op_loops"), F.col("branch").alias("own_branch")).distinct()
 
 
 def _recursive(m: Models, ops: DataFrame, options: Options) -> DataFrame:
-    """The same walk as one recursive query; every step goes to an earlier assignment, so a file's assignments bound its depth."""
-    spark = m.files.sparkSession
-    views = {"w_aliases": m.aliases.where("root is not null"), "w_ops": ops.where("not synthetic"), "w_roots": m.args.where("root is not null").select(*KEY, "seq", F.col("root").alias("var")).unionByName(m.uses.where("role = 'arg'").select(*KEY, "seq", F.col("root").alias("var"))).distinct()}
-    for name, df in views.items():
-        df.createOrReplaceTempView(name)
-    longest = m.aliases.groupBy(*KEY).agg(F.countDistinct("seq").alias("n")).agg(F.max("n")).first()[0] or 0
-    levels = longest + 2 if options.max_rounds is None else options.max_rounds
-    on = " and ".join(f"w.{k} = a.{k}" for k in KEY)
-    keys = ", ".join(f"w.{k}" for k in KEY)
+    """The same walk as one recursive query, which follows each way once; it can't compare the ways, so it has no ``kill``."""
+    if options.kill:
+        raise ValueError("the recursive query can't honour kill")
+    spark, tag = m.files.sparkSession, uuid.uuid4().hex[:8]
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")  # the walk is as long as the programs make it
+    events = written(_events(m, ops), "events")
+    events.createOrReplaceTempView(f"events_{tag}")
+    written(_starts(m, ops), "starts").createOrReplaceTempView(f"starts_{tag}")
+    most = events.groupBy("app_id", "version").count().agg(F.max("count")).first()[0] or 0
+    levels = most + 2 if options.max_rounds is None else options.max_rounds
+    home, on = ", ".join(_HOME), _counted(options)
+    carried = ", ".join(f"w.{c}" for c in _HOME)
     return spark.sql(f"""
-        WITH RECURSIVE w({", ".join(KEY)}, seq, var, bound, hops) MAX RECURSION LEVEL {levels} AS (
-          SELECT {", ".join(f"o.{k}" for k in KEY)}, o.seq, r.var, o.seq, 0 FROM w_ops o JOIN w_roots r USING ({", ".join(KEY)}, seq)
+        WITH RECURSIVE w({home}, not_in, op_loops, at_path, var, bound, sites, hops, seen) MAX RECURSION LEVEL {levels} AS (
+          SELECT {home}, not_in, op_loops, at_path, var, bound, sites, hops, array(concat_ws(':', at_path, var, bound)) FROM starts_{tag}
           UNION ALL
-          SELECT {keys}, w.seq, a.root, a.seq, w.hops + 1 FROM w JOIN w_aliases a ON {on} AND a.lhs = w.var AND a.seq < w.bound
+          SELECT {home}, not_in, op_loops, to_path, to_var, next_bound, next_sites, hops + 1, array_append(seen, next_state) FROM (
+            SELECT *, concat_ws(':', to_path, to_var, next_bound) AS next_state FROM (
+              SELECT {carried}, w.not_in, w.op_loops, w.seen, w.hops, e.to_path, e.to_var, CASE e.mode WHEN 2 THEN {END} ELSE e.at END AS next_bound,
+                CASE e.mode WHEN 1 THEN slice(w.sites, 2, {END}) WHEN 2 THEN concat(array(e.site), w.sites) ELSE w.sites END AS next_sites
+              FROM w JOIN events_{tag} e ON w.app_id = e.app_id AND w.version = e.version AND w.at_path = e.at_path AND w.var = e.var
+              WHERE e.mode <> 3 AND e.to_var IS NOT NULL AND ({_prefixed(on)})))
+          WHERE NOT array_contains(seen, next_state)
         )
-        SELECT {keys}, a.seq AS prev_seq, w.seq AS next_seq, min_by(w.var, struct(w.hops, w.var)) AS via_var, min(w.hops) AS hops
-        FROM w JOIN w_ops a ON {on} AND a.result_var = w.var AND a.seq < w.bound AND a.seq <> w.seq AND NOT a.scalar
-        GROUP BY {keys}, a.seq, w.seq
+        SELECT {carried}, e.at_path AS prev_path, e.at AS prev_seq, min_by(w.var, struct(w.hops, w.var)) AS via_var, min(w.hops) AS hops
+        FROM w JOIN events_{tag} e ON w.app_id = e.app_id AND w.version = e.version AND w.at_path = e.at_path AND w.var = e.var
+        WHERE e.mode = 3 AND (e.at_path <> w.path OR e.at <> w.seq) AND ({_prefixed(on)})
+        GROUP BY {carried}, e.at_path, e.at
     """)
 
 
+def _prefixed(condition: str) -> str:
+    """A condition over states and events with the sides of the join named."""
+    of = {"bound": "w", "not_in": "w", "path": "w", "seq": "w", "op_loops": "w", "sites": "w", "at": "e", "mode": "e", "site": "e", "branch": "e", "loops": "e", "at_path": "e"}
+    return re.sub(r"\b(" + "|".join(sorted(of, key=len, reverse=True)) + r")\b", lambda x: f"{of[x.group()]}.{x.group()}", condition)
+
+
 def backward_links(m: Models, ops: DataFrame, options: Options = Options(), api: list | None = None) -> DataFrame:  # noqa: B008
-    """Pairs of operations of which the later one's arguments depend on the earlier one's result, and whether they are a join."""
+    """Pairs of operations of which the later one's arguments depend on the earlier one's result, in one file or several.
+
+    The key is the later operation's file; ``prev_path`` is the earlier one's.
+    """
+    out = [*KEY, "prev_path", "prev_op", "next_op", "prev_seq", "next_seq", "prev_container", "next_container", "prev_kind", "next_kind", "via_var", "hops", "cross_container"]
+    cross = (F.col("prev_container") != F.col("next_container")).alias("cross_container")
     if options.strategy == "kernel":
-        raw = m.model.select(*KEY, "nodes", "uses", "aliases", "calls", "args").mapInArrow(_kernel(options, api or DEFAULT_API), "app_id string, version int, path string, prev_seq int, next_seq int, via_var string, hops int")
-    elif options.strategy == "relational":
-        raw = _relational(m, ops, options)
-    else:
-        raw = _recursive(m, ops, options)
-    side = lambda p: ops.where("not synthetic").select(*KEY, F.col("seq").alias(f"{p}_seq"), F.col("op").alias(f"{p}_op"), F.col("container").alias(f"{p}_container"), F.col("kind").alias(f"{p}_kind"))
-    found = raw.join(side("prev"), [*KEY, "prev_seq"]).join(side("next"), [*KEY, "next_seq"])
-    cross = F.col("prev_container") != F.col("next_container")
-    return found.select(*KEY, "prev_op", "next_op", "prev_seq", "next_seq", "prev_container", "next_container", "prev_kind", "next_kind", "via_var", "hops", cross.alias("cross_container"))
+        raw = written(m.model.select(*KEY, "units", "nodes", "uses", "aliases", "calls", "args", "resolved").mapInArrow(_kernel(options, api or DEFAULT_API), _WALK), "walked")
+        inside = raw.where("open_var is null")
+        unnamed = inside.where("prev_var is not null or next_var is not null")
+        plain = inside.where("prev_var is null and next_var is null").select("*", F.col("path").alias("prev_path"), (F.col("prev_seq") * 100).cast("long").alias("prev_op"), (F.col("next_seq") * 100).cast("long").alias("next_op"), cross).select(*out)
+        parts = [plain]
+        if not unnamed.isEmpty():
+            parts.append(_named(unnamed.select(*KEY, F.col("next_seq").alias("seq"), F.col("path").alias("prev_path"), "prev_seq", "via_var", "hops"), ops, cross, out))
+        ends = _open_ends(raw.where("open_var is not null"), m, ops)
+        if ends is not None:
+            parts.append(_named(_walk(written(_events(m, ops), "events"), ends, options), ops, cross, out))
+        both = reduce(DataFrame.unionByName, parts)
+        if ends is None:
+            return both
+        # A pair that both parts find keeps its shorter way.
+        return both.groupBy(*[c for c in out if c not in ("via_var", "hops")]).agg(F.min_by("via_var", F.struct("hops", "via_var")).alias("via_var"), F.min("hops").alias("hops")).select(*out)
+    raw = _walk(written(_events(m, ops), "events"), _starts(m, ops), options) if options.strategy == "relational" else _recursive(m, ops, options)
+    return _named(raw, ops, cross, out)
+
+
+def _named(raw: DataFrame, ops: DataFrame, cross, out: list[str]) -> DataFrame:
+    """Links with the containers and kinds of both operations."""
+    side = lambda p: ops.where("not synthetic").select("app_id", "version", F.col("path").alias("prev_path" if p == "prev" else "path"), F.col("seq").alias(f"{p}_seq"), F.col("op").alias(f"{p}_op"), F.col("container").alias(f"{p}_container"), F.col("kind").alias(f"{p}_kind"))
+    both = raw.withColumnRenamed("seq", "next_seq").join(side("prev"), ["app_id", "version", "prev_path", "prev_seq"]).join(side("next"), [*KEY, "next_seq"])
+    return both.select("*", cross).select(*out)
+
+
+def _open_ends(raw: DataFrame, m: Models, ops: DataFrame) -> DataFrame | None:
+    """Where walks that leave their file go on; None if none does."""
+    if raw.isEmpty():
+        return None  # most programs: nothing more to join
+    beyond = m.bindings.where("path <> root_path and root is not null").select("app_id", "version", F.col("path").alias("path"), F.col("lhs").alias("open_var"), "at", "mode", "site", "root_path", "root")
+    go = raw.drop("prev_seq").join(beyond, [*KEY, "open_var"]).where("case mode when 1 then size(sites) = 0 else at < bound and not array_contains(sites, site) end")
+    go = go.select(*KEY, F.col("next_seq").alias("seq"), F.col("root_path").alias("at_path"), F.col("root").alias("var"), F.when(F.col("mode") == 1, F.col("at")).otherwise(F.lit(END)).alias("bound"), F.when(F.col("mode") == 1, F.col("sites")).otherwise(F.concat(F.array("site"), "sites")).alias("sites"), (F.col("hops") + 1).alias("hops"))
+    ends = written(go.join(_homes(ops), _HOME), "open-ends")
+    return None if ends.isEmpty() else ends
 
 
 def operation_chains(ops: DataFrame) -> DataFrame:
@@ -203,10 +359,14 @@ def operation_chains(ops: DataFrame) -> DataFrame:
 
 def chain_depth(links: DataFrame) -> DataFrame:
     """For each operation the longest chain of dependencies that ends at it; an error if the links have a cycle."""
-    depth = written(links.select(*KEY, F.col("prev_op").alias("op"), F.lit(0).alias("depth")).unionByName(links.select(*KEY, F.col("next_op").alias("op"), F.lit(1).alias("depth"))).groupBy(*KEY, "op").agg(F.max("depth").alias("depth")), "depth")
-    most = depth.groupBy(*KEY).count().agg(F.max("count")).first()[0] or 0
+    if "prev_path" not in links.columns:
+        links = links.withColumn("prev_path", F.col("path"))
+    links = links.select(*KEY, "prev_path", "prev_op", "next_op")
+    depth = links.select("app_id", "version", F.col("prev_path").alias("path"), F.col("prev_op").alias("op"), F.lit(0).alias("depth")).unionByName(links.select(*KEY, F.col("next_op").alias("op"), F.lit(1).alias("depth")))
+    depth = written(depth.groupBy(*KEY, "op").agg(F.max("depth").alias("depth")), "depth")
+    most = depth.groupBy("app_id", "version").count().agg(F.max("count")).first()[0] or 0
     for _ in range(most + 1):  # without a cycle a chain has each operation once
-        step = links.join(depth.withColumnRenamed("op", "prev_op"), [*KEY, "prev_op"]).select(*KEY, F.col("next_op").alias("op"), (F.col("depth") + 1).alias("deeper"))
+        step = links.join(depth.select("app_id", "version", F.col("path").alias("prev_path"), F.col("op").alias("prev_op"), "depth"), ["app_id", "version", "prev_path", "prev_op"]).select(*KEY, F.col("next_op").alias("op"), (F.col("depth") + 1).alias("deeper"))
         step = step.groupBy(*KEY, "op").agg(F.max("deeper").alias("deeper"))
         new = written(depth.join(step, [*KEY, "op"], "left").select(*KEY, "op", F.col("depth").alias("was"), F.greatest("depth", F.coalesce("deeper", F.lit(0))).alias("depth")), "depth")
         depth = new.drop("was")
@@ -217,32 +377,42 @@ def chain_depth(links: DataFrame) -> DataFrame:
 
 # -- forward pass --------------------------------------------------------------------------------
 def reach(m: Models, ops: DataFrame, options: Options = Options()) -> DataFrame:  # noqa: B008
-    """Variables that hold an operation's result or a part of it: (key, op, var, prefix of the path, from where)."""
-    start = ops.where("not synthetic and not scalar and result_var is not null").select(*KEY, "op", F.col("result_var").alias("var"), F.expr(f"cast(array() as {STEPS})").alias("prefix"), F.col("seq").alias("at"))
+    """Variables that hold an operation's result or a part of it: (key, op, var_path, var, prefix of the path, from where).
+
+    ``var_path`` is the variable's file: results go into functions as arguments and out of them as returned values.
+    """
+    program, words = ["app_id", "version"], F.array().cast("array<string>")
+    start = ops.where("not synthetic and not scalar and result_var is not null").select(*KEY, "op", F.col("path").alias("var_path"), F.col("result_var").alias("var"), F.expr(f"cast(array() as {STEPS})").alias("prefix"), words.alias("sites"), F.col("seq").alias("at")).distinct()
     seen = fresh = written(start, "held")
-    if not options.aliases:
-        return seen
-    given = m.aliases.where("root is not null").select(*KEY, F.col("lhs"), F.col("root").alias("var"), F.col("steps"), F.col("seq"))
-    for turn in rounds(options):
-        step = fresh.join(given, [*KEY, "var"]).where("seq >= at").select(*KEY, "op", F.col("lhs").alias("var"), F.concat("prefix", "steps").alias("prefix"), F.col("seq").alias("at"))
-        step = step.groupBy(*KEY, "op", "var", "prefix").agg(F.min("at").alias("at"))
-        fresh = written(step.join(seen.select(*KEY, "op", "var", "prefix").distinct(), [*KEY, "op", "var", "prefix"], "left_anti").where(F.size("prefix") < 24), "held")
-        if fresh.isEmpty():
-            break
-        seen = seen.unionByName(fresh)
-        if turn % 16 == 0:
-            seen = written(seen, "held")
-    return seen
+    state = [*KEY, "op", "var_path", "var", "prefix", "sites"]
+    if options.aliases:
+        none = F.lit(None).cast("string")
+        local = m.aliases.where("root is not null").select(*program, F.col("path").alias("var_path"), F.col("root").alias("var"), F.col("path").alias("to_path"), "lhs", "steps", F.col("seq").alias("place"), F.lit(0).alias("mode"), none.alias("site"))
+        given = local.unionByName(m.bindings.where("root is not null").select(*program, F.col("root_path").alias("var_path"), F.col("root").alias("var"), F.col("path").alias("to_path"), "lhs", "steps", F.col("at").alias("place"), "mode", "site"))
+        for turn in rounds(options):
+            step = fresh.join(given, [*program, "var_path", "var"]).where("case mode when 0 then place >= at when 1 then place >= at and not array_contains(sites, site) else size(sites) = 0 or element_at(sites, 1) = site end")
+            sites = F.when(F.col("mode") == 1, F.concat(F.array("site"), "sites")).when(F.col("mode") == 2, F.slice("sites", 2, END)).otherwise(F.col("sites"))
+            step = step.select(*KEY, "op", F.col("to_path").alias("var_path"), F.col("lhs").alias("var"), F.concat("prefix", "steps").alias("prefix"), sites.alias("sites"), F.when(F.col("mode") == 1, F.lit(-1)).otherwise(F.col("place")).alias("at"))
+            step = step.groupBy(*state).agg(F.min("at").alias("at"))
+            known = seen.groupBy(*state).agg(F.min("at").alias("known"))
+            fresh = written(step.join(known, state, "left").where((F.col("known").isNull() | (F.col("at") < F.col("known"))) & (F.size("prefix") < 24)).drop("known"), "held")
+            if fresh.isEmpty():
+                break
+            seen = seen.unionByName(fresh)
+            if turn % 16 == 0:
+                seen = written(seen, "held")
+    return seen.groupBy(*KEY, "op", "var_path", "var", "prefix").agg(F.min("at").alias("at"))
 
 
 def accesses(m: Models, ops: DataFrame, held: DataFrame) -> DataFrame:
-    """Property paths that are read of each operation's objects: (key, op, container, seq, elem, block, steps, evidence).
+    """Property paths that are read of each operation's objects: (key, op, container, use_path, seq, elem, block, steps, evidence).
 
-    Paths that lead through the field a lookup stage makes belong to that stage's operation.
+    ``use_path`` is the file in which they are read.  Paths that lead through the field a lookup stage makes belong to that stage's operation.
     """
     op = ops.where("not synthetic").select(*KEY, "op", "container", "multi", "element")
-    path = held.join(m.uses.withColumnRenamed("root", "var"), [*KEY, "var"]).where("seq >= at or role = 'write'")
-    path = path.select(*KEY, "op", "seq", "elem", "block", "role", "literal_type", F.concat("prefix", "steps").alias("steps"))
+    uses = m.uses.withColumnRenamed("root", "var").withColumnRenamed("path", "var_path")
+    path = held.join(uses, ["app_id", "version", "var_path", "var"]).where("seq >= at or role = 'write'")
+    path = path.select(*KEY, "op", F.col("var_path").alias("use_path"), "seq", "elem", "block", "role", "literal_type", F.concat("prefix", "steps").alias("steps"))
     path = path.join(op, [*KEY, "op"])
     # Methods that a cursor or array of results has are not fields; an index into the results is one of them.
     indexed = F.col("multi") & (F.get("steps", F.lit(0))["kind"] == "index")
@@ -255,13 +425,13 @@ def accesses(m: Models, ops: DataFrame, held: DataFrame) -> DataFrame:
     steps = F.transform(F.split("dotted", "[.]"), lambda p: F.struct(p.alias("name"), F.lit("prop").alias("kind")))
     steps = F.when(F.col("many"), F.concat(steps, F.array(F.struct(F.lit("[]").alias("name"), F.lit("index").alias("kind"))))).otherwise(steps)
     named = named.select(*KEY, "seq", steps.alias("steps")).join(ops.where("call = 'aggregate'").select(*KEY, "seq", "op", "container", "elem", "block"), [*KEY, "seq"])
-    path = path.unionByName(named.select(*KEY, "op", "seq", "elem", "block", F.lit("stage").alias("role"), F.lit(None).cast("string").alias("literal_type"), "steps", "container"))
+    path = path.unionByName(named.select(*KEY, "op", F.col("path").alias("use_path"), "seq", "elem", "block", F.lit("stage").alias("role"), F.lit(None).cast("string").alias("literal_type"), "steps", "container"))
     stage = ops.where("synthetic").select(*KEY, F.col("op").alias("stage_op"), (F.floor(F.col("op") / 100) * 100).alias("op"), F.col("container").alias("stage_container"), F.col("as_field").alias("head"))
     joined = path.withColumn("head", F.get("steps", F.lit(0))["name"]).join(stage, [*KEY, "op", "head"], "left")
     into = F.col("stage_op").isNotNull()
     rest = F.slice("steps", 2, 64)
     rest = F.when(F.element_at(F.concat(rest, F.array(F.struct(F.lit("").alias("name"), F.lit("prop").alias("kind")))), 1)["kind"] == "index", F.slice(rest, 2, 64)).otherwise(rest)
-    out = joined.select(*KEY, F.coalesce("stage_op", "op").alias("op"), F.coalesce("stage_container", "container").alias("container"), "seq", "elem", "block", "role", "literal_type", F.when(into, rest).otherwise(F.col("steps")).alias("steps"))
+    out = joined.select(*KEY, F.coalesce("stage_op", "op").alias("op"), F.coalesce("stage_container", "container").alias("container"), "use_path", "seq", "elem", "block", "role", "literal_type", F.when(into, rest).otherwise(F.col("steps")).alias("steps"))
     return out.where(F.exists("steps", lambda s: s["kind"] == "prop"))
 
 
@@ -322,27 +492,37 @@ def fields(m: Models, ops: DataFrame, reads: DataFrame, options: Options = Optio
 
 # -- references ----------------------------------------------------------------------------------
 def references(m: Models, ops: DataFrame, held: DataFrame, links: DataFrame) -> DataFrame:
-    """Join conditions: (key, prev_op, next_op, holder, field, referenced, referenced_field, cmp, upper_bound, reverse)."""
+    """Join conditions: (key, prev_path, prev_op, next_op, holder, field, referenced, referenced_field, cmp, upper_bound, reverse).
+
+    A condition on the asked container's ``_id`` shows a reference of the known one, a known ``_id`` that is asked for one
+    of the asked container; where neither is ``_id`` the known field refers to the asked one, a key of its own.
+    """
     f = filter_fields(m, ops).where("root is not null").select(*KEY, F.col("op").alias("next_op"), F.col("container").alias("asked"), F.col("seq").alias("next_seq"), F.col("field").alias("asked_field"), "many", F.col("root").alias("var"), "steps")
-    h = held.join(ops.where("not synthetic").select(*KEY, "op", F.col("container").alias("known"), "multi"), [*KEY, "op"]).withColumnRenamed("op", "prev_op")
-    c = f.join(h, [*KEY, "var"]).where("next_op <> prev_op and at <= next_seq")
-    c = c.join(links.select(*KEY, "prev_op", "next_op"), [*KEY, "prev_op", "next_op"], "left_semi")
+    f = f.join(ops.where("not synthetic").select(*KEY, F.col("op").alias("next_op"), F.col("multi").alias("asks_many")).distinct(), [*KEY, "next_op"])
+    h = held.join(ops.where("not synthetic").select(*KEY, "op", F.col("container").alias("known"), "multi"), [*KEY, "op"]).select("app_id", "version", F.col("path").alias("prev_path"), F.col("op").alias("prev_op"), F.col("var_path").alias("path"), "var", "prefix", "at", "known", "multi")
+    c = f.join(h, [*KEY, "var"]).where("(prev_path <> path or next_op <> prev_op) and at <= next_seq")
+    on = [*KEY, "prev_path", "prev_op", "next_op"]
+    c = c.join(links.select(*on), on, "left_semi")
     full = F.concat("prefix", "steps")
     collected = F.col("many") | F.exists(full, lambda s: s["kind"] == "index") & ~F.col("multi")
-    c = c.select(*KEY, "prev_op", "next_op", "known", "asked", "asked_field", steps_path(full).alias("known_field"), collected.alias("collected"), "many").where("known_field <> '' and known <> asked")
-    forward = c.where("asked_field = '_id' and known_field <> '_id'").select(*KEY, "prev_op", "next_op", F.col("known").alias("holder"), F.col("known_field").alias("field"), F.col("asked").alias("referenced"), F.col("asked_field").alias("referenced_field"), F.when(F.col("many"), "in").otherwise("eq").alias("cmp"), F.when(F.col("collected"), "many").otherwise("one").alias("upper_bound"), F.lit(False).alias("reverse"))
-    backward = c.where("asked_field <> '_id' and known_field = '_id'").select(*KEY, "prev_op", "next_op", F.col("asked").alias("holder"), F.col("asked_field").alias("field"), F.col("known").alias("referenced"), F.col("known_field").alias("referenced_field"), F.when(F.col("many"), "in").otherwise("eq").alias("cmp"), F.lit("one").alias("upper_bound"), F.lit(True).alias("reverse"))
+    c = c.select(*on, "known", "asked", "asked_field", steps_path(full).alias("known_field"), collected.alias("collected"), "many", "asks_many").where("known_field <> '' and known <> asked")
+    by_key = F.when(F.col("many"), "in").otherwise("eq").alias("cmp")
+    pick = lambda df, held_by, to, upper, reverse: df.select(*on, F.col(held_by).alias("holder"), F.col(f"{held_by}_field").alias("field"), F.col(to).alias("referenced"), F.col(f"{to}_field").alias("referenced_field"), by_key, upper.alias("upper_bound"), F.lit(reverse).alias("reverse"))
+    one = F.when(F.col("collected"), "many").otherwise("one")
+    forward = pick(c.where("asked_field = '_id' and known_field <> '_id'"), "known", "asked", one, False)
+    backward = pick(c.where("asked_field <> '_id' and known_field = '_id'"), "asked", "known", F.lit("one"), True)
+    natural = pick(c.where("asked_field <> '_id' and known_field <> '_id'"), "known", "asked", F.when(F.col("collected") | F.col("asks_many"), "many").otherwise("one"), False)
     s = expand_pipelines(m, ops.where("not synthetic"))
     unwound = m.args.where(r"key rlike '^[0-9]+[.][$]unwind'").select(*KEY, "seq", F.expr("substring(literal, 2)").alias("as_field"), F.lit(True).alias("unwound"))
     s = s.join(unwound, [*KEY, "seq", "as_field"], "left")
-    to_id = F.col("foreignField") == "_id"
+    to_id = (F.col("foreignField") == "_id") | (F.col("localField") != "_id")
     # A stage that finds the holders of an id and is then unwound stands for the one holder of each object.
-    stages = s.select(*KEY, F.col("base_op").alias("prev_op"), F.col("op").alias("next_op"), F.when(to_id, F.col("container")).otherwise(F.col("referenced")).alias("holder"), F.when(to_id, F.col("localField")).otherwise(F.col("foreignField")).alias("field"), F.when(to_id, F.col("referenced")).otherwise(F.col("container")).alias("referenced"), F.lit("_id").alias("referenced_field"), F.lit("lookup").alias("cmp"), F.when(F.coalesce("unwound", F.lit(False)) & ~to_id, "one").otherwise("many").alias("upper_bound"), (~to_id).alias("reverse"))
-    return forward.unionByName(backward).unionByName(stages)
+    stages = s.select(*KEY, F.col("path").alias("prev_path"), F.col("base_op").alias("prev_op"), F.col("op").alias("next_op"), F.when(to_id, F.col("container")).otherwise(F.col("referenced")).alias("holder"), F.when(to_id, F.col("localField")).otherwise(F.col("foreignField")).alias("field"), F.when(to_id, F.col("referenced")).otherwise(F.col("container")).alias("referenced"), F.when(to_id, F.col("foreignField")).otherwise(F.lit("_id")).alias("referenced_field"), F.lit("lookup").alias("cmp"), F.when(F.coalesce("unwound", F.lit(False)) & ~to_id, "one").otherwise("many").alias("upper_bound"), (~to_id).alias("reverse"))
+    return forward.unionByName(backward).unionByName(natural).unionByName(stages)
 
 
 def join_pairs(m: Models, ops: DataFrame, links: DataFrame, refs: DataFrame, options: Options = Options()) -> DataFrame:  # noqa: B008
-    """Joins: (key, prev_op, next_op, host, referenced, join_type), sequential ones by the rule and one a lookup stage.
+    """Joins: (key, prev_path, prev_op, next_op, host, referenced, join_type), sequential ones by the rule and one a lookup stage.
 
     The operation that receives the data is the join; the host is what is read first.
     """
@@ -350,10 +530,10 @@ def join_pairs(m: Models, ops: DataFrame, links: DataFrame, refs: DataFrame, opt
     if options.join_rule == "cross_container":
         reads = reads.where("cross_container")
     elif options.join_rule == "key_equality":
-        reads = reads.join(refs.select(*KEY, "prev_op", "next_op"), [*KEY, "prev_op", "next_op"], "left_semi")
-    plain = reads.select(*KEY, "prev_op", "next_op", F.col("prev_container").alias("host"), F.col("next_container").alias("referenced"), F.lit("sequential").alias("join_type"))
+        reads = reads.join(refs.select(*KEY, "prev_path", "prev_op", "next_op"), [*KEY, "prev_path", "prev_op", "next_op"], "left_semi")
+    plain = reads.select(*KEY, "prev_path", "prev_op", "next_op", F.col("prev_container").alias("host"), F.col("next_container").alias("referenced"), F.lit("sequential").alias("join_type"))
     s = expand_pipelines(m, ops.where("not synthetic"))
-    return plain.unionByName(s.select(*KEY, F.col("base_op").alias("prev_op"), F.col("op").alias("next_op"), F.col("container").alias("host"), "referenced", F.lit("pipeline").alias("join_type")))
+    return plain.unionByName(s.select(*KEY, F.col("path").alias("prev_path"), F.col("base_op").alias("prev_op"), F.col("op").alias("next_op"), F.col("container").alias("host"), "referenced", F.lit("pipeline").alias("join_type")))
 
 
 def merge_structures(found: DataFrame, scope: str = "container") -> DataFrame:
@@ -374,7 +554,7 @@ class Access:
         self.m, self.options, self.api = m, options, api
         self.ops = written(all_operations(m, api), "ops")
         self.links = written(backward_links(m, self.ops, options, api), "links")
-        self.held = reach(m, self.ops, options)
+        self.held = written(reach(m, self.ops, options), "held-all")
         self.reads = written(accesses(m, self.ops, self.held), "reads")
         self.refs = written(references(m, self.ops, self.held if options.aliases else reach(m, self.ops), self.links), "refs")
         self.joins = written(join_pairs(m, self.ops, self.links, self.refs, options), "joins")
@@ -382,22 +562,62 @@ class Access:
     def fields(self, by: list[str] | None = None) -> DataFrame:
         return fields(self.m, self.ops, self.reads, self.options, by)
 
+    def structures(self) -> DataFrame:
+        return merge_structures(self.fields(), self.options.merge_scope)
+
 
 def trace(a: Access) -> DataFrame:
-    """The steps of the extraction: (step, rule, subject, update)."""
+    """The steps of the extraction: (step, rule, subject, update).  Fields of containers that a join reads are a step of their own."""
     row = lambda step, rule, df, subject, update: df.select(F.lit(step).alias("step"), F.lit(rule).alias("rule"), subject.alias("subject"), update.alias("update")).distinct()
-    f = a.fields()
+    f = a.fields().join(a.joins.select("app_id", "version", F.col("referenced").alias("container"), F.lit(True).alias("joined")).distinct(), ["app_id", "version", "container"], "left")
+    plain, full = "type_kind = 'attribute' and not field like '%.%'", F.concat_ws(".", "container", "field")
+    kind = F.coalesce("prim_type", "type_kind")
     return (
-        row(2, "operation", a.ops, F.col("container"), F.concat(F.lit("create "), F.col("kind")))
+        row(1, "model", a.m.model, F.col("app_id"), F.lit("create empty"))
+        .unionByName(row(2, "operation", a.ops, F.col("container"), F.concat(F.lit("create "), F.col("kind"))))
         .unionByName(row(3, "dependency", a.joins, F.col("referenced"), F.concat(F.lit("join with "), F.col("host"))))
         .unionByName(row(4, "container", a.ops.where("kind = 'R'"), F.col("container"), F.lit("container and structure")))
-        .unionByName(row(5, "field", f.where("type_kind = 'attribute' and not field like '%.%'"), F.concat_ws(".", "container", "field"), F.col("prim_type")))
-        .unionByName(row(6, "nested field", f.where("type_kind <> 'attribute' or field like '%.%'"), F.concat_ws(".", "container", "field"), F.coalesce("prim_type", "type_kind")))
+        .unionByName(row(5, "field", f.where(f"joined is null and {plain}"), full, F.col("prim_type")))
+        .unionByName(row(6, "nested field", f.where(f"joined is null and not ({plain})"), full, kind))
+        .unionByName(row(7, "field of a joined container", f.where("joined"), full, kind))
         .unionByName(row(8, "reference", a.refs, F.concat_ws(".", "holder", "field"), F.concat_ws(".", "referenced", "referenced_field")))
     )
 
 
+def ops_in_block_range(a: Access) -> DataFrame:
+    """Operations with every block that encloses them: (key, op, block), a range join of nodes' places with blocks' spans."""
+    nodes = a.m.nodes.select(*KEY, "seq", "block")
+    spans = nodes.groupBy(*KEY, "block").agg(F.min("seq").alias("low"), F.max("seq").alias("high"))
+    parent = a.m.elements.where("kind = 'block'").select(*KEY, F.col("elem").alias("block"))
+    op = a.ops.where("not synthetic").select(*KEY, "op", "seq")
+    return op.join(spans.join(parent, [*KEY, "block"]), KEY).where("seq between low and high").select(*KEY, "op", "block").distinct()
+
+
+def asof_definition(m: Models) -> DataFrame:
+    """For each use of a variable the last place before it that gave it a value: (key, seq, root, defined)."""
+    given = m.aliases.select(*KEY, F.col("lhs").alias("root"), "seq", F.col("seq").alias("given"))
+    both = m.uses.select(*KEY, "root", "seq", F.lit(None).cast("int").alias("given")).distinct().unionByName(given)
+    order = W.partitionBy(*KEY, "root").orderBy("seq", F.col("given").isNotNull()).rowsBetween(W.unboundedPreceding, -1)
+    return both.withColumn("defined", F.last("given", ignorenulls=True).over(order)).where("given is null and defined is not null").select(*KEY, "seq", "root", "defined")
+
+
+def path_prefixes(reads: DataFrame) -> DataFrame:
+    """Every prefix of every property path that is read: (app_id, version, container, prefix, n)."""
+    names = F.transform(F.filter("steps", lambda x: x["kind"] == "prop"), lambda x: x["name"])
+    each = reads.select("app_id", "version", "container", names.alias("names")).where("size(names) > 0")
+    each = each.select("app_id", "version", "container", F.explode(F.transform(F.sequence(F.lit(1), F.size("names")), lambda i: F.array_join(F.slice("names", 1, i), "."))).alias("prefix"))
+    return each.groupBy("app_id", "version", "container", "prefix").agg(F.count("*").alias("n"))
+
+
+def distinct_fields(found: DataFrame, exact: bool = False) -> DataFrame:
+    """How many fields the containers of each program have: by a sketch, or exactly."""
+    name = F.concat_ws(".", "container", "field")
+    n = F.countDistinct(name) if exact else F.approx_count_distinct(name, 0.02)
+    return found.groupBy("app_id", "version").agg(n.alias("n_fields"))
+
+
 def list_statements(a: Access) -> DataFrame:
+    """The text of every statement that accesses the store, with its line."""
     return a.ops.where("not synthetic").select(*KEY, "line", "kind", "container", "text")
 
 

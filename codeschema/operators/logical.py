@@ -77,21 +77,48 @@ def render(schema: DataFrame, fmt: str = "text") -> DataFrame:
     if fmt == "json":
         item = F.struct("feature", "kind", "type", "upper", "target")
     elif fmt == "ddl":
-        plain = F.when(F.col("type") == "long", "bigint").otherwise(F.col("type"))
-        spark_type = F.when(F.col("type") == "struct", "string").when((F.col("upper") == "many") & ~F.col("type").startswith("array"), F.concat(F.lit("array<"), plain, F.lit(">"))).otherwise(F.regexp_replace(plain, "array<long>", "array<bigint>"))
-        item = F.struct("feature", spark_type.alias("t"))
+        return _ddl(s)
     else:
         item = F.struct("feature", F.concat_ws(" ", F.col("kind"), F.col("type"), F.when(F.col("upper") == "many", "*"), F.concat(F.lit("-> "), "target")).alias("t"))
     lines = s.groupBy("app_id", "entity", "variation").agg(F.sort_array(F.collect_set(item)).alias("f"))
     if fmt == "json":
         body = F.to_json("f")
-    elif fmt == "ddl":
-        body = F.array_join(F.transform("f", lambda x: F.concat(x["feature"], F.lit(" "), x["t"])), ", ")
     else:
         body = F.array_join(F.transform("f", lambda x: F.concat(x["feature"], F.lit(": "), x["t"])), "; ")
     return lines.select("app_id", "entity", "variation", body.alias("line"))
 
 
+def _ddl(s: DataFrame) -> DataFrame:
+    """Spark types of each entity; embedded entities are structs, from the deepest level up."""
+    plain = F.when(F.col("type") == "long", "bigint").otherwise(F.regexp_replace("type", "array<long>", "array<bigint>"))
+    depth = F.size(F.split("entity", "[.]"))
+    levels = s.agg(F.max(depth)).first()[0] or 0
+    done = None
+    for level in range(levels, 0, -1):
+        here = s.where(depth == level)
+        if done is None:
+            here = here.withColumn("inner", F.lit(None).cast("string"))
+        else:
+            here = here.join(done.groupBy("app_id", F.col("entity").alias("target")).agg(F.max_by("line", "variation").alias("inner")), ["app_id", "target"], "left")
+        kind = F.when(F.col("type") == "struct", F.concat(F.lit("struct<"), F.regexp_replace(F.coalesce("inner", F.lit("")), "(^|, )([^ ,<>]+) ", "$1$2: "), F.lit(">"))).otherwise(plain)
+        kind = F.when((F.col("upper") == "many") & ~F.col("type").startswith("array"), F.concat(F.lit("array<"), kind, F.lit(">"))).otherwise(kind)
+        line = here.groupBy("app_id", "entity", "variation").agg(F.array_join(F.sort_array(F.collect_set(F.concat_ws(" ", "feature", kind))), ", ").alias("line"))
+        done = line if done is None else done.unionByName(line)
+    return done if done is not None else s.select("app_id", "entity", "variation", F.lit("").alias("line"))
+
+
+def schema_intersect(a: DataFrame, b: DataFrame) -> DataFrame:
+    """Features that both schemas have alike."""
+    pick = lambda s: s.select("entity", "feature", "kind", "type", "upper", "target")
+    return pick(a).intersect(pick(b))
+
+
+def schema_except(a: DataFrame, b: DataFrame) -> DataFrame:
+    """Features of the first schema that the second one lacks or has otherwise."""
+    pick = lambda s: s.select("entity", "feature", "kind", "type", "upper", "target")
+    return pick(a).exceptAll(pick(b)).distinct()
+
+
 def variations(schema: DataFrame) -> DataFrame:
     return schema.groupBy("app_id", "entity").agg(F.countDistinct("variation").alias("n_variations"))
 
@@ -104,15 +131,20 @@ def overloaded_entities(schema: DataFrame, threshold: float = 0.9) -> DataFrame:
 
 
 def versions_of(a: Access) -> DataFrame:
-    """Fields of each version with their shapes, for evolution."""
-    return a.fields().select("app_id", "version", "container", "field", F.concat_ws(":", "type_kind", "prim_type").alias("shape"))
+    """Fields of each version with their shapes and what they refer to, for evolution."""
+    refs = a.refs.groupBy("app_id", "version", F.col("holder").alias("container"), "field").agg(F.min("referenced").alias("target"))
+    f = a.fields().join(refs, ["app_id", "version", "container", "field"], "left")
+    return f.select("app_id", "version", "container", "field", F.concat_ws(":", "type_kind", "prim_type").alias("shape"), "target")
 
 
 def schema_evolution(found: DataFrame) -> DataFrame:
-    """Fields added, removed or retyped from each version to the next one of the program (input: ``versions_of``)."""
+    """Fields added, removed, retyped or with another reference from each version to the next one of the program (input:
+    ``versions_of``)."""
+    if "target" not in found.columns:
+        found = found.withColumn("target", F.lit(None).cast("string"))
     steps = found.select("app_id", "version").distinct().withColumn("next", F.lead("version").over(W.partitionBy("app_id").orderBy("version"))).where("next is not null")
-    old = found.join(steps, ["app_id", "version"]).select("app_id", F.col("next").alias("version"), "container", "field", F.col("shape").alias("old"))
-    new = found.join(steps.select("app_id", F.col("next").alias("version")), ["app_id", "version"]).select("app_id", "version", "container", "field", F.col("shape").alias("new"))
+    old = found.join(steps, ["app_id", "version"]).select("app_id", F.col("next").alias("version"), "container", "field", F.col("shape").alias("old"), F.col("target").alias("old_target"))
+    new = found.join(steps.select("app_id", F.col("next").alias("version")), ["app_id", "version"]).select("app_id", "version", "container", "field", F.col("shape").alias("new"), F.col("target").alias("new_target"))
     both = old.join(new, ["app_id", "version", "container", "field"], "full")
-    change = F.when(F.col("old").isNull(), "added").when(F.col("new").isNull(), "removed").when(F.col("old") != F.col("new"), "retyped")
+    change = F.when(F.col("old").isNull(), "added").when(F.col("new").isNull(), "removed").when(F.col("old") != F.col("new"), "retyped").when(~F.col("old_target").eqNullSafe(F.col("new_target")), "reference changed")
     return both.withColumn("change", change).where("change is not null")

@@ -38,6 +38,29 @@ def lower_bounds(schema: DataFrame, profiled: DataFrame) -> DataFrame:
     return s.join(profiled.select("entity", "feature", F.col("lower").alias("data_lower")), ["entity", "feature"]).withColumn("agree", F.col("code_lower") == F.col("data_lower"))
 
 
+def code_data_agreement(schema: DataFrame, profiled: DataFrame) -> DataFrame:
+    """Features by what shows them: (entity, feature, found, code_type, data_type, agree).
+
+    ``found``: code, data or both.  A default type, a reference's and an aggregate's say nothing of the values, so ``agree`` is
+    null there; whole numbers agree with any integer type.
+    """
+    code = schema.select("entity", "feature", "kind", F.col("type").alias("code_type"), "evidence").distinct()
+    data = profiled.select(F.when(F.col("feature").contains("."), F.concat_ws(".", "entity", F.regexp_extract("feature", r"^(.*)\.[^.]+$", 1))).otherwise(F.col("entity")).alias("entity"), F.substring_index("feature", ".", -1).alias("feature"), F.col("type").alias("data_type"))
+    both = code.join(data, ["entity", "feature"], "full")
+    found = F.when(F.col("code_type").isNull(), "data").when(F.col("data_type").isNull(), "code").otherwise("both")
+    number = F.when(F.col("data_type").isin("int", "bigint"), "long").otherwise(F.col("data_type"))
+    agree = F.when((found == "both") & (F.col("kind") == "attribute") & (F.col("evidence") == "literal"), F.col("code_type") == number)
+    return both.select("entity", "feature", found.alias("found"), "code_type", "data_type", agree.alias("agree"))
+
+
+def score_rollup(schema: DataFrame, truth: DataFrame) -> DataFrame:
+    """How many features are right, found and true, by kind and entity, by kind, and in all (``*``)."""
+    pick = lambda s, name: s.select("entity", "feature", "kind").distinct().withColumn(name, F.lit(1))
+    both = pick(schema, "got").join(pick(truth, "due"), ["entity", "feature", "kind"], "full").na.fill(0, ["got", "due"])
+    g = both.rollup("kind", "entity").agg(F.sum(F.col("got") * F.col("due")).alias("n_right"), F.sum("got").alias("n_found"), F.sum("due").alias("n_true"))
+    return g.na.fill("*", ["kind", "entity"])
+
+
 def corpus_scope(m, ops: DataFrame) -> DataFrame:
     """Files, functions, lines and operations by kind."""
     files = m.files.agg(F.count("*").alias("n_files"), F.sum(F.size(F.split("content", "\n"))).alias("n_lines"))

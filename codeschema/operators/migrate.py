@@ -7,12 +7,14 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-BROADCAST_ROWS = 100_000  # a referenced side of at most so many rows may be sent to all executors
+from .rewrite import duplicate_name
+
+BROADCAST_ROWS, BROADCAST_BYTES = 100_000, 64 << 20  # a referenced side of at most so many rows and bytes may be sent to all executors
 
 
 @dataclass(frozen=True)
 class Duplication:
-    """What to copy: ``fields`` of ``referenced`` into ``host`` under ``name``.
+    """What to copy: ``fields`` of ``referenced`` into ``host`` under ``name``; ``key``: what the reference is compared with.
 
     The reference is ``path`` of the host (an id, an array of ids, or an id inside an array of objects: ``array.key``), or, if
     ``reverse``, the field ``path`` of the referenced collection holds ids of hosts.
@@ -26,6 +28,12 @@ class Duplication:
     many: bool = False
     reverse: bool = False
     inside: str | None = None
+    key: str = "_id"
+
+
+def duplication_of(plan) -> Duplication:
+    """The copy that a removal plan (a row of ``removal_plans``) stands for."""
+    return Duplication(plan["host"], plan["referenced"], plan["holder_field"], tuple(plan["fields"]), duplicate_name(plan["names"]), many=plan["shape"].startswith("array"), reverse=plan["reverse"], inside=plan["inside"], key=plan["key_field"])
 
 
 def _value(d: Duplication) -> Column:
@@ -33,45 +41,67 @@ def _value(d: Duplication) -> Column:
     return F.col(d.fields[0]) if len(d.fields) == 1 else F.struct(*d.fields)
 
 
+def _free(stem: str, *frames: DataFrame) -> str:
+    """A column name that no frame has, in any case."""
+    have, name = {c.lower() for f in frames for c in f.columns}, f"__{stem}"
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
+def fits_broadcast(df: DataFrame, most_rows: int = BROADCAST_ROWS, most_bytes: int = BROADCAST_BYTES) -> bool:
+    """Whether a frame is counted and measured to be small; no more than ``most_rows`` + 1 rows are looked at."""
+    seen = df.limit(most_rows + 1).select(F.length(F.to_json(F.struct(*[F.col(f"`{c}`") for c in df.columns]))).alias("n")).agg(F.count("*").alias("rows"), F.sum("n").alias("bytes")).first()
+    return seen["rows"] <= most_rows and (seen["bytes"] or 0) <= most_bytes
+
+
 def apply_to_data(host: DataFrame, referenced: DataFrame, d: Duplication, strategy: str = "auto") -> DataFrame:
     """``host`` with the duplicate: NULL (or left out of arrays) where a reference leads nowhere.
 
-    auto: a referenced side that is counted to be small is broadcast; otherwise both sides are shuffled by the reference.  Arrays are
-    exploded with their places and put together again in order; empty and NULL arrays stay as they are.
+    auto and broadcast: a referenced side that is measured to be small is broadcast; otherwise, and for shuffle, both sides are
+    shuffled by the reference.  Arrays are exploded with their places and put together again in order; empty and NULL
+    arrays stay as they are.  A key that several referenced objects have stands for the least of them, so hosts never multiply.
     """
-    r = referenced.select(F.col("_id").alias("__ref"), _value(d).alias("__value")) if not d.reverse else None
-    if d.reverse:
-        held = referenced.select(F.explode(d.path).alias("__host"), F.col("_id").alias("__ref"), _value(d).alias("__value")) if d.many or dict(referenced.dtypes)[d.path].startswith("array") else referenced.select(F.col(d.path).alias("__host"), F.col("_id").alias("__ref"), _value(d).alias("__value"))
-        folded = held.where("__host is not null").groupBy("__host").agg(F.sort_array(F.collect_list(F.struct("__ref", "__value"))).alias("__all"))
-        values = F.transform("__all", lambda x: x["__value"])
-        return host.join(folded, host["_id"] == F.col("__host"), "left").withColumn(d.name, F.coalesce(values, F.array().cast(f"array<{_type(referenced, d)}>")) if d.many else F.try_element_at(values, F.lit(1))).drop("__host", "__all")
-    small = strategy in ("broadcast", "map") or strategy == "auto" and referenced.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    r = F.broadcast(r) if small else r
+    ref, value, at, own, all_ = (_free(x, host, referenced) for x in ("ref", "value", "at", "own", "all"))
+    is_array = lambda df, path: dict(df.dtypes).get(path, "").startswith("array")
+    kind = referenced.select(_value(d).alias("v")).schema[0].dataType.simpleString()
+    empty = F.array().cast(f"array<{kind}>")
+    if d.reverse or d.many and not d.inside and not is_array(host, d.path):
+        # One object stands for many: the holders are folded by what they hold.
+        held_by = F.col(d.path) if d.reverse else F.col(d.key)
+        held = referenced.select(F.explode(held_by).alias(own) if d.reverse and is_array(referenced, d.path) else held_by.alias(own), F.col("_id").alias(ref), _value(d).alias(value))
+        folded = held.where(F.col(own).isNotNull()).groupBy(own).agg(F.sort_array(F.collect_list(F.struct(ref, value))).alias(all_))
+        values = F.transform(all_, lambda x: x[value])
+        return host.join(folded, host["_id" if d.reverse else d.path] == F.col(own), "left").withColumn(d.name, F.coalesce(values, empty) if d.many else F.try_element_at(values, F.lit(1))).drop(own, all_)
+    r = referenced.select(F.col(d.key).alias(ref), _value(d).alias(value)).where(F.col(ref).isNotNull()).groupBy(ref).agg(F.min(value).alias(value))
+    if strategy in ("broadcast", "map", "auto") and fits_broadcast(r):
+        r = F.broadcast(r)
     if d.inside:
-        return _inside(host, r, d)
+        return _inside(host, r, d, (ref, value, at, own, all_))
     if not d.many:
-        return host.join(r, host[d.path] == F.col("__ref"), "left").withColumn(d.name, F.col("__value")).drop("__ref", "__value")
-    ids = host.select(F.col("_id").alias("__id"), F.posexplode(d.path).alias("__at", "__ref"))
-    found = ids.join(r, "__ref").groupBy("__id").agg(F.sort_array(F.collect_list(F.struct("__at", "__value"))).alias("__all"))
-    values = F.transform("__all", lambda x: x["__value"])
-    empty = F.when(F.col(d.path).isNotNull(), F.array().cast(f"array<{_type(referenced, d)}>"))
-    return host.join(found, host["_id"] == F.col("__id"), "left").withColumn(d.name, F.coalesce(values, empty)).drop("__id", "__all")
-
+        return host.join(r, host[d.path] == F.col(ref), "left").withColumn(d.name, F.col(value)).drop(ref, value)
+    ids = host.select(F.col("_id").alias(own), F.posexplode(d.path).alias(at, ref))
+    found = ids.join(r, ref).groupBy(own).agg(F.sort_array(F.collect_list(F.struct(at, value))).alias(all_))
+    values = F.transform(all_, lambda x: x[value])
+    return host.join(found, host["_id"] == F.col(own), "left").withColumn(d.name, F.coalesce(values, F.when(F.col(d.path).isNotNull(), empty))).drop(own, all_)
 
-def _type(referenced: DataFrame, d: Duplication) -> str:
-    return referenced.select(_value(d).alias("v")).schema[0].dataType.simpleString()
 
-
-def _inside(host: DataFrame, r: DataFrame, d: Duplication) -> DataFrame:
-    """The duplicate goes into each object of the array ``inside``, beside its reference."""
-    items = host.select(F.col("_id").alias("__id"), F.posexplode(d.inside).alias("__at", "__item"))
+def _inside(host: DataFrame, r: DataFrame, d: Duplication, names: tuple[str, ...]) -> DataFrame:
+    """The duplicate goes into each object of the array ``inside``, or into the single object there, beside its reference."""
+    ref, value, at, own, all_ = names
     key = d.path.rpartition(".")[2]
-    joined = items.join(r, F.col(f"__item.{key}") == F.col("__ref"), "left")
-    back = joined.groupBy("__id").agg(F.sort_array(F.collect_list(F.struct("__at", F.col("__item").withField(d.name, F.col("__value")).alias("__item")))).alias("__all"))
-    new = F.transform("__all", lambda x: x["__item"])
-    kind = joined.select(F.col("__item").withField(d.name, F.col("__value")).alias("x")).schema[0].dataType.simpleString()
-    out = host.join(back, host["_id"] == F.col("__id"), "left")
-    return out.withColumn(d.inside, F.coalesce(new, F.when(F.col(d.inside).isNotNull(), F.array().cast(f"array<{kind}>")))).drop("__id", "__all")
+    if not dict(host.dtypes)[d.inside.partition(".")[0]].startswith("array"):
+        top, _, below = f"{d.inside}.{d.name}".partition(".")
+        return host.join(r, F.col(d.path) == F.col(ref), "left").withColumn(top, F.when(F.col(top).isNotNull(), F.col(top).withField(below, F.col(value)))).drop(ref, value)
+    item = _free("item", host)
+    items = host.select(F.col("_id").alias(own), F.posexplode(d.inside).alias(at, item))
+    joined = items.join(r, F.col(f"{item}.{key}") == F.col(ref), "left")
+    put = F.col(item).withField(d.name, F.col(value))
+    back = joined.groupBy(own).agg(F.sort_array(F.collect_list(F.struct(at, put.alias(item)))).alias(all_))
+    new = F.transform(all_, lambda x: x[item])
+    kind = joined.select(put.alias("x")).schema[0].dataType.simpleString()
+    out = host.join(back, host["_id"] == F.col(own), "left")
+    return out.withColumn(d.inside, F.coalesce(new, F.when(F.col(d.inside).isNotNull(), F.array().cast(f"array<{kind}>")))).drop(own, all_)
 
 
 def verify_duplication(after: DataFrame, referenced: DataFrame, d: Duplication) -> DataFrame:
@@ -87,7 +117,7 @@ def run_original(host: DataFrame, referenced: DataFrame, d: Duplication) -> Data
     if d.reverse:
         held = referenced.select(F.explode(d.path).alias("__host"), F.col("_id").alias("ref_id"), *names)
         return host.select("_id").join(held, host["_id"] == F.col("__host")).select("_id", *[f"ref_{f}" for f in d.fields])
-    r = referenced.select(F.col("_id").alias("__ref"), *names)
+    r = referenced.select(F.col(d.key).alias("__ref"), *names)
     if d.many:
         return host.select("_id", F.explode(d.path).alias("__ref")).join(r, "__ref").select("_id", *[f"ref_{f}" for f in d.fields])
     return host.select("_id", F.col(d.path).alias("__ref")).join(r, "__ref").select("_id", *[f"ref_{f}" for f in d.fields])
@@ -109,13 +139,39 @@ def check_equivalence(host: DataFrame, referenced: DataFrame, updated: DataFrame
     return a.exceptAll(b).withColumn("only_in", F.lit("original")).unionByName(b.exceptAll(a).withColumn("only_in", F.lit("refactored")))
 
 
-def sync_duplicates(updated: DataFrame, changes: DataFrame, d: Duplication) -> DataFrame:
-    """Hosts with plain duplicates after a batch of changed referenced objects (``_id`` and fields)."""
-    c = changes.select(F.col("_id").alias("__ref"), _value(d).alias("__value"), F.lit(True).alias("__changed"))
-    out = updated.join(c, updated[d.path] == F.col("__ref"), "left")
-    return out.withColumn(d.name, F.when(F.coalesce("__changed", F.lit(False)), F.col("__value")).otherwise(F.col(d.name))).drop("__ref", "__value", "__changed")
-
+def sync_duplicates(updated: DataFrame, changes: DataFrame, d: Duplication, referenced: DataFrame | None = None) -> DataFrame:
+    """Hosts after a batch of changed referenced objects (``_id``, the reference and the fields, as they are now).
 
-def publish_view(updated: DataFrame, name: str) -> None:
-    """Readers of the view get the refactored collection from now on."""
-    updated.createOrReplaceTempView(name)
+    A plain duplicate takes the change itself.  Arrays, duplicates inside embedded objects and reverse ones are made anew from
+    ``referenced`` (its state after the batch), for the hosts that a change concerns and no others.
+    """
+    if not (d.many or d.inside or d.reverse):
+        ref, value, changed = (_free(x, updated, changes) for x in ("ref", "value", "changed"))
+        c = changes.select(F.col(d.key).alias(ref), _value(d).alias(value)).groupBy(ref).agg(F.min(value).alias(value)).withColumn(changed, F.lit(True))
+        out = updated.join(c, updated[d.path] == F.col(ref), "left")
+        return out.withColumn(d.name, F.when(F.coalesce(changed, F.lit(False)), F.col(value)).otherwise(F.col(d.name))).drop(ref, value, changed)
+    if referenced is None:
+        raise ValueError("duplicates of this shape are made anew: the referenced collection is needed")
+    is_array = lambda df, path: dict(df.dtypes).get(path, "").startswith("array")
+    if d.reverse:
+        concerned = changes.select((F.explode(d.path) if is_array(changes, d.path) else F.col(d.path)).alias("_id"))
+    else:
+        holds = F.col(d.path)  # of an array of objects: the array of their references
+        refs = updated.select("_id", (F.explode(holds) if d.inside and is_array(updated, d.inside) or is_array(updated, d.path) else holds).alias("ref"))
+        concerned = refs.join(changes.select(F.col(d.key).alias("ref")), "ref", "left_semi").select("_id")
+    concerned = concerned.where("_id is not null").distinct()
+    stale = updated.join(concerned, "_id", "left_semi")
+    bare = stale if d.inside else stale.drop(d.name)
+    fresh = apply_to_data(bare, referenced, d, "shuffle")
+    return updated.join(concerned, "_id", "left_anti").select(*updated.columns).unionByName(fresh.select(*updated.columns))
+
+
+def sync_operations(plans: DataFrame) -> DataFrame:
+    """plan_id, operation: the update that the application has to run when a referenced object (``row``) has changed."""
+    name = F.when(F.size("names") == 1, F.get("names", F.lit(0))).otherwise(F.concat(F.substring_index(F.get("names", F.lit(0)), "_", 1), F.lit("_info")))
+    value = F.when(F.size("fields") == 1, F.concat(F.lit("row."), F.get("fields", F.lit(0)))).otherwise(F.concat(F.lit("{ "), F.array_join(F.transform("fields", lambda f: F.concat(f, F.lit(": row."), f)), ", "), F.lit(" }")))
+    which = F.when(F.col("reverse"), F.concat(F.lit("{ _id: { $in: row."), F.col("holder_field"), F.lit(" } }"))).otherwise(F.concat(F.lit("{ '"), F.col("holder_field"), F.lit("': row."), F.col("key_field"), F.lit(" }")))
+    put = F.concat(F.lit("{ $set: { '"), F.concat_ws(".", "inside", name), F.lit("': "), value, F.lit(" } }"))
+    each = F.concat(F.lit("for (const host of await db.collection('"), F.col("host"), F.lit("').find("), which, F.lit(").toArray()) { await duplicate"), F.initcap("referenced"), F.lit("(db, host); }"))
+    plain = F.concat(F.lit("await db.collection('"), F.col("host"), F.lit("').updateMany("), which, F.lit(", "), put, F.lit(");"))
+    return plans.select("plan_id", F.when(F.col("shape").startswith("array"), each).otherwise(plain).alias("operation"))

@@ -9,6 +9,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..frontend.inject import inject
+from ..schema import STEPS
 from ..store import written
 
 KEY = ["app_id", "version", "path"]
@@ -52,6 +53,26 @@ class Models:
     def elements(self) -> DataFrame:
         return self.table("elements")
 
+    @cached_property
+    def bindings(self) -> DataFrame:
+        """Flows between functions, in one file or several: arguments to parameters, returned values to results.
+
+        (app_id, version, path, lhs, at, root_path, root, steps, literal, mode, site): ``lhs`` of ``path`` holds what ``root`` of
+        ``root_path`` held; mode 1 enters a function at the call ``site``, mode 2 leaves it.  A function of the caller's
+        own file is meant before one of that name in another file.
+        """
+        program = ["app_id", "version"]
+        f = self.units.where("kind = 'function' and name <> ''").select(*program, F.col("path").alias("in_path"), F.col("name").alias("callee"), "unit", "params")
+        own = f.select(*program, F.col("in_path").alias("path"), "callee", F.lit(True).alias("own")).distinct()
+        c = self.table("resolved").join(f, [*program, "callee"]).join(own, [*KEY, "callee"], "left").where("own is null or path = in_path")
+        c = written(c.select(*KEY, "seq", "in_path", "unit", "params", F.concat_ws(":", "path", "seq").alias("site")), "called")
+        given = c.join(self.args.where("key = '' and (root is not null or literal is not null)"), [*KEY, "seq"])
+        given = given.withColumn("name", F.get("params", F.col("arg"))).where("name <> ''")
+        into = given.select(*program, F.col("in_path").alias("path"), F.concat_ws("@", "name", "unit").alias("lhs"), F.col("seq").alias("at"), F.col("path").alias("root_path"), "root", "steps", F.when(F.col("literal_type") == "string", F.col("literal")).alias("literal"), F.lit(1).alias("mode"), "site")
+        back = c.join(self.calls.where("result is not null").select(*KEY, "seq", "result", "result_seq"), [*KEY, "seq"])
+        back = back.select(*KEY, F.col("result").alias("lhs"), F.coalesce("result_seq", "seq").alias("at"), F.col("in_path").alias("root_path"), F.concat_ws("@", F.lit("return"), "unit").alias("root"), F.expr(f"cast(array() as {STEPS})").alias("steps"), F.lit(None).cast("string").alias("literal"), F.lit(2).alias("mode"), "site")
+        return written(into.unionByName(back), "bindings")
+
     def errors(self) -> DataFrame:
         return self.model.where("error is not null").select(*KEY, "error")
 
@@ -87,9 +108,11 @@ def flow_nodes(m: Models) -> DataFrame:
     return m.nodes.select(*KEY, "seq", "unit", "kind").unionByName(ends)
 
 
-def flow_edges(m: Models) -> DataFrame:
-    """Edges: ``next`` inside a unit, ``true``/``false`` into branches, ``back`` of loops, ``call`` and ``return`` of units.
+def flow_edges(m: Models, callbacks: str = "nested") -> DataFrame:
+    """Edges (key, src, dst_path, dst, kind): ``next`` inside a unit, ``true``/``false`` into branches, ``back`` of loops, ``call``
+    and ``return`` of functions in this file or another one, and of callbacks.
 
+    ``callbacks``: ``nested`` takes a callback for what comes next after its call, ``skip`` leaves it apart, as it runs later.
     Within a unit a node goes to the next one that its branch does not exclude; a branch's last node goes to
     the first node behind the selection.
     """
@@ -121,12 +144,14 @@ def flow_edges(m: Models) -> DataFrame:
     spans = m.nodes.groupBy(*KEY, "unit").agg(F.min("seq").alias("low"), F.max("seq").alias("high"))
     starts = spans.select(*KEY, (-2 * F.col("unit") - 1).alias("src"), F.col("low").alias("dst"), F.lit("next").alias("kind"))
     ends = spans.select(*KEY, F.col("high").alias("src"), (-2 * F.col("unit") - 2).alias("dst"), F.lit("next").alias("kind"))
-    nested = m.units.where("call_seq is not null").select(*KEY, F.col("call_seq").alias("src"), (-2 * F.col("unit") - 1).alias("dst"), F.lit("call").alias("kind"))
-    named = m.table("resolved").join(m.units.where("kind = 'function'").select("app_id", "version", F.col("path").alias("in_path"), F.col("name").alias("callee"), "unit"), ["app_id", "version", "callee"])
-    named = named.where("path = in_path").select(*KEY, F.col("seq").alias("src"), (-2 * F.col("unit") - 1).alias("dst"), F.lit("call").alias("kind"))
-    calls = nested.unionByName(named)
-    returns = calls.select(*KEY, (F.col("dst") - 1).alias("src"), F.col("src").alias("dst"), F.lit("return").alias("kind"))
-    return steps.unionByName(other.select(*KEY, "src", "dst", "kind")).unionByName(back).unionByName(starts).unionByName(ends).unionByName(calls).unionByName(returns)
+    nested = m.units.where("call_seq is not null" if callbacks == "nested" else "false").select(*KEY, F.col("call_seq").alias("src"), F.col("path").alias("dst_path"), (-2 * F.col("unit") - 1).alias("dst"), F.lit("call").alias("kind"))
+    units = m.units.where("kind = 'function'").select("app_id", "version", F.col("path").alias("dst_path"), F.col("name").alias("callee"), "unit")
+    own = units.select("app_id", "version", F.col("dst_path").alias("path"), "callee", F.lit(True).alias("own")).distinct()
+    named = m.table("resolved").join(units, ["app_id", "version", "callee"]).join(own, [*KEY, "callee"], "left").where("own is null or path = dst_path")
+    calls = nested.unionByName(named.select(*KEY, F.col("seq").alias("src"), "dst_path", (-2 * F.col("unit") - 1).alias("dst"), F.lit("call").alias("kind")))
+    returns = calls.select("app_id", "version", F.col("dst_path").alias("path"), (F.col("dst") - 1).alias("src"), F.col("path").alias("dst_path"), F.col("src").alias("dst"), F.lit("return").alias("kind"))
+    inside = steps.unionByName(other.select(*KEY, "src", "dst", "kind")).unionByName(back).unionByName(starts).unionByName(ends)
+    return inside.select(*KEY, "src", F.col("path").alias("dst_path"), "dst", "kind").unionByName(calls).unionByName(returns)
 
 
 def cross_file_calls(m: Models) -> DataFrame:
@@ -150,14 +175,18 @@ def basic_blocks(m: Models) -> DataFrame:
 
 
 def reachable(edges: DataFrame, start: DataFrame) -> DataFrame:
-    """(key, src, dst, dist): what each start node reaches; level by level, each node once, until nothing is new."""
-    step = edges.select(*KEY, F.col("src").alias("mid"), F.col("dst").alias("to")).distinct()
-    seen = written(start.select(*KEY, F.col("seq").alias("src"), F.col("seq").alias("dst"), F.lit(0).alias("dist")), "reach")
+    """(key, src, dst_path, dst, dist): what each start node reaches, in other files too; level by level, each node once,
+    until nothing is new."""
+    if "dst_path" not in edges.columns:
+        edges = edges.withColumn("dst_path", F.col("path"))
+    step = written(edges.select("app_id", "version", F.col("path").alias("at_path"), F.col("src").alias("at"), F.col("dst_path").alias("to_path"), F.col("dst").alias("to")).distinct(), "edges")
+    seen = written(start.select(*KEY, F.col("seq").alias("src"), F.col("path").alias("dst_path"), F.col("seq").alias("dst"), F.lit(0).alias("dist")), "reach")
     fresh, hop = seen, 0
     while True:
         hop += 1
-        found = fresh.join(step, [*[fresh[k] == step[k] for k in KEY], fresh["dst"] == step["mid"]]).select(*[fresh[k] for k in KEY], "src", F.col("to").alias("dst")).distinct()
-        fresh = written(found.join(seen, [*KEY, "src", "dst"], "left_anti").select("*", F.lit(hop).alias("dist")), "reach")
+        at = fresh.select(*KEY, "src", F.col("dst_path").alias("at_path"), F.col("dst").alias("at"))
+        found = at.join(step, ["app_id", "version", "at_path", "at"]).select(*KEY, "src", F.col("to_path").alias("dst_path"), F.col("to").alias("dst")).distinct()
+        fresh = written(found.join(seen, [*KEY, "src", "dst_path", "dst"], "left_anti").select("*", F.lit(hop).alias("dist")), "reach")
         if fresh.isEmpty():
             return seen
         seen = seen.unionByName(fresh)
@@ -167,7 +196,7 @@ def reachable(edges: DataFrame, start: DataFrame) -> DataFrame:
 
 def export_graph(m: Models, fmt: str = "rows") -> DataFrame:
     """Edges for drawing, as rows or as lines of DOT."""
-    edges = flow_edges(m).select(*KEY, "src", "dst", "kind")
+    edges = flow_edges(m).select(*KEY, "src", "dst_path", "dst", "kind")
     if fmt == "rows":
         return edges
-    return edges.select(*KEY, F.format_string('  "%s:%d" -> "%s:%d" [label="%s"];', "path", "src", "path", "dst", "kind").alias("line"))
+    return edges.select(*KEY, F.format_string('  "%s:%d" -> "%s:%d" [label="%s"];', "path", "src", "dst_path", "dst", "kind").alias("line"))

@@ -9,6 +9,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..store import written
 from ..functions import stem
 
 
@@ -26,7 +27,7 @@ def _paths(schema: T.StructType, base: str = "", inside: bool = False) -> list[t
 def profile_collection(df: DataFrame, entity: str, exact: bool = True) -> DataFrame:
     """Of each top-level or embedded field: type, how many objects have it, least and most members, distinct values.
 
-    One scan with partial aggregates; ``exact=False`` estimates distinct values by sketches.
+    One scan with partial aggregates and sketches; ``exact`` counts distinct values besides, in long form (column, value).
     """
     found = [(p, t) for p, t, inside in _paths(df.schema) if not inside]
     aggs = [F.count("*").alias("n")]
@@ -36,14 +37,21 @@ def profile_collection(df: DataFrame, entity: str, exact: bool = True) -> DataFr
         if isinstance(t, T.ArrayType):
             aggs += [F.min(F.size(c)).alias(f"low_{i}"), F.max(F.size(c)).alias(f"high_{i}")]
         elif not isinstance(t, T.StructType):
-            aggs += [(F.countDistinct(c) if exact else F.approx_count_distinct(c)).alias(f"distinct_{i}")]
+            aggs += [F.approx_count_distinct(c).alias(f"distinct_{i}")]
     row = df.agg(*aggs)
     rows = []
     for i, (p, t) in enumerate(found):
         array, nested = isinstance(t, T.ArrayType), isinstance(t, T.StructType)
         low = F.when(F.col(f"present_{i}") < F.col("n"), 0).otherwise(F.col(f"low_{i}") if array else F.lit(1))
         rows.append(F.struct(F.lit(entity).alias("entity"), F.lit(p).alias("feature"), F.lit(t.simpleString() if not nested else "struct").alias("type"), F.col("n").alias("n_objects"), F.col(f"present_{i}").alias("n_present"), low.cast("int").alias("lower"), (F.col(f"high_{i}") if array else F.lit(1)).cast("int").alias("upper"), (F.lit(None).cast("long") if array or nested else F.col(f"distinct_{i}")).alias("n_distinct")))
-    return row.select(F.explode(F.array(*rows)).alias("x")).select("x.*")
+    out = row.select(F.explode(F.array(*rows)).alias("x")).select("x.*")
+    plain = [p for p, t in found if not isinstance(t, (T.ArrayType, T.StructType, T.MapType))]
+    if not exact or not plain:
+        return out
+    cells = df.select(F.explode(F.array(*[F.struct(F.lit(p).alias("feature"), F.col(p).cast("string").alias("v")) for p in plain])).alias("c")).select("c.*").where("v is not null")
+    counted = cells.distinct().groupBy("feature").agg(F.count("*").alias("exactly"))
+    known = F.when(F.col("feature").isin(plain), F.coalesce("exactly", F.lit(0)))
+    return out.join(counted, "feature", "left").withColumn("n_distinct", known).select(*out.columns)
 
 
 def profile_schema(frames: dict[str, DataFrame], exact: bool = True) -> DataFrame:
@@ -82,7 +90,7 @@ def inclusion_candidates(frames: dict[str, DataFrame], by_name: bool = False) ->
     """
     ints = [(e, c) for e, df in sorted(frames.items()) for c, t in df.dtypes if t in ("int", "bigint")]
     values = reduce(DataFrame.unionByName, [frames[e].select(F.lit(f"{e}.{c}").alias("column"), F.col(c).cast("long").alias("v")) for e, c in ints]).where("v is not null")
-    distinct = values.groupBy("column", "v").agg(F.count("*").alias("n"))
+    distinct = written(values.groupBy("column", "v").agg(F.count("*").alias("n")), "distinct")  # the tables are read once
     stats = distinct.groupBy("column").agg(F.count("*").alias("n_values"), F.max("n").alias("most"), F.min("v").alias("low"), F.max("v").alias("high"))
     unique = stats.where("most = 1").select(F.col("column").alias("key"), F.col("low").alias("key_low"), F.col("high").alias("key_high"))
     pairs = stats.alias("s").join(unique, (F.col("s.low") >= F.col("key_low")) & (F.col("s.high") <= F.col("key_high")) & (F.substring_index("column", ".", 1) != F.substring_index("key", ".", 1))).select("column", "key", "n_values")
@@ -102,9 +110,9 @@ def detect_access_points(files: DataFrame, calls: tuple[str, ...] = ("findOne",
 
 
 def script_calls(pages: DataFrame) -> DataFrame:
-    """The number each page's script passes to ``track``."""
-    script = F.regexp_extract("html", r"(?s)<script[^>]*>(.*?)</script>", 1)
-    return pages.select("page_id", F.regexp_extract(script, r"track\((\d+)\)", 1).cast("long").alias("track"))
+    """The numbers that the scripts of each page, all of them, pass to ``track``."""
+    scripts = F.array_join(F.regexp_extract_all("html", F.lit(r"(?s)<script[^>]*>(.*?)</script>"), 1), "\n")
+    return pages.select("page_id", F.explode(F.regexp_extract_all(scripts, F.lit(r"track\((\d+)\)"), 1)).alias("track")).withColumn("track", F.col("track").cast("long"))
 
 
 

@@ -50,6 +50,15 @@ def docs(spark: SparkSession, d: str) -> DataFrame:
 
 COLLECTIONS = {"customers": customers, "orders": orders, "parts": parts, "suppliers": suppliers, "events": events, "docs": docs}
 
+#: The size of the published data set, by what each collection stands for.
+PUBLISHED = {"customers": 10, "orders": 20, "parts": 60, "suppliers": 8}
+
+
+def published(spark: SparkSession, d: str) -> dict[str, DataFrame]:
+    """The collections cut to the published sizes by least key; references that lead out of them stay, as dangling ones."""
+    return {name: COLLECTIONS[name](spark, d).orderBy("_id").limit(n) for name, n in PUBLISHED.items()}
+
+
 #: The seven join queries; the sixth has two joins.
 JOINS = {
     "j1": Duplication("customers", "orders", "orders", ("orderdate",), "order_orderdate", many=True),

@@ -13,7 +13,7 @@ MODEL = (
     "nodes array<struct<seq:int,unit:int,block:int,elem:int,kind:string,branch:array<string>,loops:array<int>,line:int,text:string>>, "
     f"uses array<struct<seq:int,elem:int,block:int,root:string,steps:{STEPS},role:string,literal_type:string>>, "
     f"aliases array<struct<seq:int,lhs:string,root:string,steps:{STEPS}>>, "
-    "calls array<struct<seq:int,unit:int,chain:int,pos:int,name:string,n_chain:int,container:string,receiver:string,result:string,element:boolean,callback:int,text:string>>, "
+    "calls array<struct<seq:int,unit:int,chain:int,pos:int,name:string,n_chain:int,container:string,container_var:string,receiver:string,result:string,result_seq:int,element:boolean,callback:int,text:string>>, "
     f"args array<struct<seq:int,arg:int,key:string,root:string,steps:{STEPS},literal:string,literal_type:string>>, "
     "resolved array<struct<seq:int,callee:string>>"
 )

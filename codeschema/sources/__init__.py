@@ -29,10 +29,22 @@ def read_documents(spark: SparkSession, path: str, schema: str | None = None) ->
     return reader.json(path)
 
 
-def write_model(df: DataFrame, path: str, buckets: int = 64) -> None:
-    """A model table, partitioned by a bounded bucket of its application."""
-    df.withColumn("app_bucket", F.pmod(F.xxhash64("app_id"), F.lit(buckets))).write.mode("overwrite").partitionBy("app_bucket").parquet(path)
-
-
-def write_noop(df: DataFrame) -> None:
-    df.write.format("noop").mode("overwrite").save()
+def write_documents(df: DataFrame, path: str) -> None:
+    """A collection as JSON documents, one a line; fields that are null are left out."""
+    df.write.mode("overwrite").json(path)
+
+
+def read_graph(nodes: DataFrame, edges: DataFrame) -> dict[str, DataFrame]:
+    """Collections from a property graph: nodes (label, _id, and properties), edges (label, source label, source, target).
+
+    Each node label is a collection; each edge label is an array of references of its source.
+    """
+    out = {}
+    for label in sorted(r[0] for r in nodes.select("label").distinct().collect()):  # a row a kind of node
+        frame = nodes.where(F.col("label") == label).drop("label")
+        kinds = sorted(r[0] for r in edges.where(F.col("source_label") == label).select("label").distinct().collect())
+        for kind in kinds:
+            held = edges.where((F.col("source_label") == label) & (F.col("label") == kind)).groupBy(F.col("source").alias("_id")).agg(F.sort_array(F.collect_set("target")).alias(kind))
+            frame = frame.join(held, "_id", "left").withColumn(kind, F.coalesce(kind, F.array().cast(dict(held.dtypes)[kind])))
+        out[label] = frame
+    return out

@@ -8,17 +8,34 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
+_paths: dict[str, list[str]] = {}
+
+
 def shared_folder(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``; a folder of our own only where the session names none."""
+    """``spark.checkpoint.dir``.  A folder of our own is made only where driver and executors are one process and the session
+    names none; on a cluster that is an error, as executors could not read it."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir has to name a folder that driver and executors share")
         found = tempfile.mkdtemp(prefix="codeschema-")
         spark.conf.set("spark.checkpoint.dir", found)
     return found.rstrip("/")
 
 
 def written(df: DataFrame, label: str) -> DataFrame:
-    """``df`` written out and read back: computed once, and its lineage ends there."""
+    """``df`` written out and read back: computed once, and its lineage ends there.  ``release`` removes what was written."""
     spark, path = df.sparkSession, f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex[:12]}"
     df.write.parquet(path)
+    _paths.setdefault(spark.sparkContext.applicationId, []).append(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def release(spark: SparkSession) -> int:
+    """Removes all that ``written`` has left in the shared folder for this application; nothing made from it may be used after."""
+    paths = _paths.pop(spark.sparkContext.applicationId, [])
+    jvm = spark.sparkContext._jvm
+    for p in paths:
+        target = jvm.org.apache.hadoop.fs.Path(p)
+        target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+    return len(paths)

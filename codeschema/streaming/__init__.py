@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -42,11 +43,31 @@ def sessions(ops: DataFrame, gap: str = "12 hours", late: str = "1 hour") -> Dat
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Everything that is there now, processed as a stream into a table in memory."""
+    """Everything that is there now, processed as a stream into files in the shared folder, and read from them.
+
+    ``complete``: each batch writes the whole result, the last one counts; ``append``: batches add up.
+    """
     spark = stream.sparkSession
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex[:12]}"
+    done: list[int] = []
+
+    def put(df: DataFrame, batch: int) -> None:
+        df.write.mode("overwrite").parquet(f"{path}/batch={batch}")
+        done.append(batch)
+
+    q = stream.writeStream.foreachBatch(put).option("checkpointLocation", f"{path}-state").outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    parts = sorted(set(done))[-1:] if mode == "complete" else sorted(set(done))
+    if not parts:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*[f"{path}/batch={i}" for i in parts])
+
+
+def first_last(ops: DataFrame, late: str = "1 hour") -> DataFrame:
+    """The first and the last operation of each user and container so far, kept as state: (user_id, container, first_kind, last_kind, n)."""
+    at = F.struct("ts", "event_id", "kind")
+    g = ops.withWatermark("ts", late).groupBy("user_id", "container").agg(F.min(at).alias("a"), F.max(at).alias("z"), F.count("*").alias("n"))
+    return g.select("user_id", "container", F.col("a.kind").alias("first_kind"), F.col("z.kind").alias("last_kind"), "n")
 
 
 def enriched(changes: DataFrame, static: DataFrame, on: str) -> DataFrame:
