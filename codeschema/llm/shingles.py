@@ -41,6 +41,27 @@ class WordHasher:
         return np.fromiter(map(known.__getitem__, chain.from_iterable(split)), np.uint64, sum(map(len, split)))
 
 
+class PairHasher:
+    """Two independent 64-bit hashes of words; those of words met before are kept."""
+
+    def __init__(self, most_words: int = 250_000) -> None:
+        self.most, self.known, self.pairs = most_words, {}, np.zeros((0, 2), np.uint64)
+
+    def __call__(self, split: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray]:
+        """Both hashes of all words of all texts, one after the other."""
+        words = set(chain.from_iterable(split))
+        new = [w for w in words if w not in self.known]
+        if len(self.known) + len(new) > self.most:
+            self.known, self.pairs, new = {}, self.pairs[:0], list(words)
+        if new:
+            digest = xxhash.xxh3_128_intdigest
+            self.known.update(zip(new, range(len(self.pairs), len(self.pairs) + len(new)), strict=True))
+            both = np.frombuffer(b"".join([digest(w, 7).to_bytes(16, "little") for w in new]), np.uint64).reshape(-1, 2)
+            self.pairs = np.concatenate([self.pairs, both])
+        at = np.fromiter(map(self.known.__getitem__, chain.from_iterable(split)), np.int64, sum(map(len, split)))
+        return self.pairs[at, 0], self.pairs[at, 1]
+
+
 def runs(hashes: np.ndarray, n: int) -> np.ndarray:
     """A hash for each place of the n words that begin there; the last n - 1 places are meaningless."""
     with np.errstate(over="ignore"):

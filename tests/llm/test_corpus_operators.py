@@ -327,12 +327,38 @@ def test_passages_equal_brute_force(spark):
 
 def test_runs_are_sorted_merged_and_compacted(spark):
     data = passage_fixture()
-    index = substring_dedup.FingerprintLog(spark)
+    index = substring_dedup.FingerprintLog(spark, fan_out=2)
     got = digested(substring_dedup.deduplicated(docs(spark, data), batches=7, index=index))
-    assert got == brute_passages(data) and len(index.runs) <= substring_dedup.FAN_OUT
-    for f in spark.read.parquet(index.runs[0]).inputFiles():
-        a = [r.anchor for r in spark.read.parquet(f).collect()]
-        assert a == sorted(set(a))
+    assert got == brute_passages(data) and index.compactions >= 2 and all(len(x) <= 2 for x in index.runs.values())
+    for kind, first in (("anchors", "anchor"), ("windows", "w1"), ("texts", "key")):
+        for f in spark.read.parquet(*index.runs[kind]).inputFiles():
+            a = [r[first] for r in spark.read.parquet(f).collect()]
+            assert a == sorted(a)
+
+
+def test_later_batches_meet_older_runs(spark):
+    """A passage that one text has alone in the first batch, twice in later ones; copies of whole texts over batches."""
+    words = [f"w{i}" for i in range(200)]
+    join = lambda a, b: " ".join(words[a:b])
+    data = [(1, join(0, 60)), (2, join(60, 100)), (3, "a " + join(10, 45)), (4, join(60, 100)), (5, join(20, 50) + " b " + join(70, 95)), (6, "z")]
+    index, got = substring_dedup.FingerprintLog(spark, fan_out=1), []
+    for part in (data[:2], data[2:4], data[4:]):
+        light, changed = index.ingest(docs(spark, part))
+        got.append({r.ord: (r.n_removed, r.kept) for r in changed.collect()} | {r.ord: "copy" for r in light.where("copy").collect()})
+    assert got == [{}, {3: (35, "a"), 4: "copy"}, {5: (55, "b")}]
+    assert index.compactions == 2 and index.read("anchors").where("n = 1").count() > 0
+    merged = index.read("windows").groupBy("w1", "w2").count()
+    assert merged.where("count > 1").isEmpty()
+
+
+def test_own_repeats_by_words():
+    rng = np.random.default_rng(3)
+    words = [b"%d" % x for x in rng.integers(0, 3, 90)] + [b"x"] * 50 + [b"%d" % (i % 7) for i in range(100)]
+    tuples = [tuple(words[i : i + 20]) for i in range(len(words) - 19)]
+    others = np.array([5, 60])
+    bad = {tuples[i] for i in others}
+    due = [i for i, t in enumerate(tuples) if t in tuples[:i] or t in bad]
+    assert substring_dedup.own_repeats(words, others).tolist() == due
 
 
 def test_passage_cases(spark):
