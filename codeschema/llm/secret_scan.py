@@ -1,22 +1,28 @@
 """Secret scans: fixed patterns, and a battery of randomness tests with false-discovery control.
 
-Patterns give the base spans.  Besides, every long run of token characters is tested.  Its encoding is
-inferred as the smallest alphabet that holds it; against that alphabet a chi-squared test of uniformity, a
-runs test and a serial-correlation test (on the symbols' places in the alphabet) must not speak against
-randomness.  The evidence for a secret is the likelihood ratio of that uniform source to a source of
-ordinary tokens (sticky character classes, letters as in text): under the latter the chance of a ratio of x
-or more is at most 1/x, so the ratio is a p-value that grows sharper with length.  Benjamini-Hochberg then
-runs over all candidates of the corpus in each class of length; it needs no more than a histogram of evidence.
+Patterns give the base spans.  Besides, every long run of token characters is tested.  Its encoding is inferred as
+the smallest alphabet that holds it; against that alphabet the battery measures the uniformity of its symbols
+(chi-squared), the runs about the alphabet's middle and of its classes of characters, and the serial correlation of
+the symbols' places.  Two distributions of these measures are simulated for each encoding and length, with fixed seeds: for uniform
+symbols, and for ordinary tokens (sticky character classes, letters as in text).  They are combined in the
+direction that tells the two apart; the p-value is the chance that an ordinary token gets as far towards
+randomness, from the simulated tokens and, beyond them, the normal tail through their mean and spread.  A run that
+speaks against randomness itself is no candidate.  Benjamini-Hochberg on these p-values then runs over all
+runs of the corpus in each class of length; it needs no more than a histogram of them.  Encodings in which
+ordinary tokens are as uniform as random ones (numbers) get no small p-values, so they need no exception.
 
 Offsets are code points, ends exclusive.  Defined cases: a null text is an empty one and has no span;
 texts of any length are scanned whole; an empty table gives no rows; repeated rows each get their spans.
+Runs of over 256 symbols are measured whole and compared with tokens of 256.
 """
 
 from __future__ import annotations
 
 import math
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -35,81 +41,116 @@ KINDS = ("assign", "access", "hex", "random")
 CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
 _DIGITS, _LOWER, _UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 ENCODINGS = {"decimal": _DIGITS, "hex": _DIGITS + "abcdef", "HEX": _DIGITS + "ABCDEF", "lower": _LOWER, "upper": _UPPER, "base32": _UPPER + "234567", "alnum_lower": _DIGITS + _LOWER, "alnum_upper": _DIGITS + _UPPER, "letters": _UPPER + _LOWER, "base62": _UPPER + _LOWER + _DIGITS, "base64": _UPPER + _LOWER + _DIGITS + "+/", "base64url": _UPPER + _LOWER + _DIGITS + "-_", "mixed": _UPPER + _LOWER + _DIGITS + "+/-_="}
-NEVER = {"decimal", "lower", "upper", "letters"}  # numbers and words
 # Shares of letters in English text, in percent, from a to z.
 LETTERS = (8.2, 1.5, 2.8, 4.3, 12.7, 2.2, 2.0, 6.1, 7.0, 0.15, 0.77, 4.0, 2.4, 6.7, 7.5, 1.9, 0.095, 6.0, 6.3, 9.1, 2.8, 0.98, 2.4, 0.15, 2.0, 0.074)
 STAY = 0.85  # chance that an ordinary token goes on in the same class of characters
 LENGTH_CLASSES = (24, 40)  # ends of the classes of length for the false-discovery control
+LENGTHS = (12, 14, 16, 18, 20, 24, 28, 32, 40, 48, 64, 96, 128, 192, 256)  # for which tokens are simulated
+SIMULATED = 8000
 MOST_BITS = 400
 RATE, RANDOM_LEAST_P = 0.001, 1e-3
 
-_CLASS = {c: 0 for c in _LOWER} | {c: 1 for c in _UPPER} | {c: 2 for c in _DIGITS} | {c: 3 for c in "+/-_="}
-_WITHIN = {c: math.log2(f / sum(LETTERS)) for c, f in zip(_LOWER, LETTERS, strict=True)}
-_WITHIN |= {c.upper(): p for c, p in list(_WITHIN.items())} | {c: math.log2(0.1) for c in _DIGITS} | {c: math.log2(0.2) for c in "+/-_="}
+_CLASSES = (_LOWER, _UPPER, _DIGITS, "+/-_=")
+_SHARES = [np.array(LETTERS), np.array(LETTERS), np.ones(10), np.ones(5)]
 _SETS = [(name, frozenset(chars), {c: i for i, c in enumerate(chars)}) for name, chars in ENCODINGS.items()]
-_GO, _TURN = math.log2(STAY), math.log2((1 - STAY) / 3)
 
 
-def _tail(z: float) -> float:
-    """Chance of a normal variable above z."""
-    return 0.5 * math.erfc(z / math.sqrt(2))
+def measures(x: np.ndarray, chars: str) -> np.ndarray:
+    """Tokens (rows of places in an alphabet) x 4: uniformity, runs about the middle, runs of classes, serial correlation, each
+    about standard normal for uniform symbols."""
+    (rows, n), size = x.shape, len(chars)
+    counts = np.bincount((x + size * np.arange(rows)[:, None]).ravel(), minlength=rows * size).reshape(rows, size)
+    chi = (counts.astype(np.float64) ** 2).sum(axis=1) * size / n - n
+    uniform = (chi - (size - 1)) / math.sqrt(2 * (size - 1) * (n - 1) / n)
+    high = x >= size / 2
+    n1 = high.sum(axis=1).astype(np.float64)
+    mean = 1 + 2 * n1 * (n - n1) / n
+    spread = np.sqrt(np.maximum((mean - 1) * (mean - 2) / (n - 1), 0))
+    runs = 1 + (high[:, 1:] != high[:, :-1]).sum(axis=1)
+    turns = np.where(spread > 0, (runs - mean) / np.where(spread > 0, spread, 1), -math.sqrt(n))
+    kind = np.array([next(i for i, members in enumerate(_CLASSES) if c in members) for c in chars])
+    change = 1 - ((np.bincount(kind) / size) ** 2).sum()
+    switches = (kind[x][:, 1:] != kind[x][:, :-1]).sum(axis=1)
+    classes = (switches - change * (n - 1)) / math.sqrt(max(change * (1 - change) * (n - 1), 1e-9)) if change else np.zeros(rows)
+    d = x - x.mean(axis=1, keepdims=True)
+    total = (d * d).sum(axis=1)
+    r = np.where(total > 0, (d[:, 1:] * d[:, :-1]).sum(axis=1) / np.where(total > 0, total, 1), 1.0)
+    return np.stack([uniform, turns, classes, (r + 1 / n) * math.sqrt(n)], axis=1)
+
+
+def ordinary(chars: str, n: int, rows: int, rng: np.random.Generator) -> np.ndarray:
+    """Simulated ordinary tokens over an alphabet: classes of characters that last, letters by their shares in text."""
+    place = {c: i for i, c in enumerate(chars)}
+    groups = []
+    for members, shares in zip(_CLASSES, _SHARES, strict=True):
+        some = [(place[c], w) for c, w in zip(members, shares, strict=True) if c in place]
+        if some:
+            p = np.array([w for _, w in some])
+            groups.append((np.array([i for i, _ in some]), p / p.sum()))
+    kind = np.empty((rows, n), np.int64)
+    kind[:, 0] = rng.integers(0, len(groups), rows)
+    for j in range(1, n):
+        step = rng.integers(1, max(2, len(groups)), rows)
+        kind[:, j] = np.where(rng.random(rows) < STAY, kind[:, j - 1], (kind[:, j - 1] + step) % len(groups))
+    out = np.empty((rows, n), np.int64)
+    for g, (places, p) in enumerate(groups):
+        at = kind == g
+        out[at] = rng.choice(places, int(at.sum()), p=p)
+    return out
 
 
-def battery(values: list[int], size: int) -> tuple[float, float, float]:
-    """p-values of uniformity (chi-squared), runs about the middle, and serial correlation."""
-    n, x = len(values), np.array(values, np.float64)
-    counts = np.bincount(values, minlength=size)
-    chi = float(((counts - n / size) ** 2).sum() * size / n)
-    # Exact mean and variance for few symbols: under uniformity the statistic is a sum over equal pairs.
-    spread = math.sqrt(2 * (size - 1) * (n - 1) / n)
-    p_uniform = _tail((chi - (size - 1)) / spread)
-    high = x >= size / 2
-    n1, n2 = int(high.sum()), n - int(high.sum())
-    if n1 and n2:
-        runs, mean = 1 + int(np.count_nonzero(high[1:] != high[:-1])), 1 + 2 * n1 * n2 / n
-        var = (mean - 1) * (mean - 2) / (n - 1)
-        p_runs = 2 * _tail(abs(runs - mean) / math.sqrt(var)) if var > 0 else 1.0
-    else:
-        p_runs = 2.0 ** (1 - n)
-    d = x - x.mean()
-    total = float((d * d).sum())
-    r = float((d[1:] * d[:-1]).sum()) / total if total else 1.0
-    p_serial = 2 * _tail(abs(r + 1 / n) * math.sqrt(n))
-    return p_uniform, min(1.0, p_runs), min(1.0, p_serial)
+class Nulls:
+    """What the measures of one encoding and length are like for ordinary tokens and for random ones."""
+
+    def __init__(self, name: str, n: int) -> None:
+        chars, rng = ENCODINGS[name], np.random.default_rng([len(ENCODINGS[name]), n, sum(map(ord, name))])
+        common = measures(ordinary(chars, n, SIMULATED, rng), chars)
+        random = measures(rng.integers(0, len(chars), (SIMULATED, n)), chars)
+        self.center = random.mean(axis=0)
+        self.inverse = np.linalg.inv(np.cov(random.T) + 1e-9 * np.eye(4))
+        self.farthest = float(np.quantile([self.against(x) for x in random], 1 - RANDOM_LEAST_P))
+        self.way = np.linalg.solve(np.cov(common.T) + np.cov(random.T) + 1e-9 * np.eye(4), self.center - common.mean(axis=0))
+        scores = np.sort(common @ self.way)
+        self.scores, self.mean, self.spread = scores, float(scores.mean()), max(float(scores.std()), 1e-9)
+        # Where the two are alike there is nothing to tell them by.
+        self.apart = float(self.center @ self.way - self.mean) > self.spread
 
+    def against(self, measured: np.ndarray) -> float:
+        """How far the measures speak against randomness: symbols too unequal, runs too few, neighbours too much alike."""
+        d = measured - self.center
+        d = np.array([max(d[0], 0.0), min(d[1], 0.0), min(d[2], 0.0), max(d[3], 0.0)])
+        return float(d @ self.inverse @ d)
 
-def fisher(ps: tuple[float, ...]) -> float:
-    """One p-value from independent ones: the chi-squared tail with an even number of degrees."""
-    half = -sum(math.log(max(p, 1e-300)) for p in ps)
-    term, total = 1.0, 1.0
-    for i in range(1, len(ps)):
-        term *= half / i
-        total += term
-    return min(1.0, math.exp(-half) * total)
+    def p_value(self, measured: np.ndarray) -> float:
+        """Chance that an ordinary token gets as far towards randomness; 1 for what random symbols would hardly give."""
+        if not self.apart or self.against(measured) > self.farthest:
+            return 1.0
+        score = float(measured @ self.way)
+        beyond = len(self.scores) - int(np.searchsorted(self.scores, score))
+        tail = 0.5 * math.erfc((score - self.mean) / self.spread / math.sqrt(2))
+        return max(tail, (beyond + 1) / (len(self.scores) + 1) if beyond else 0.0)
+
+
+@cache
+def nulls(name: str, n: int) -> Nulls:
+    return Nulls(name, n)
 
 
 def evidence(token: str) -> int | None:
-    """Bits by which a uniform source explains the token better than an ordinary one; None if it isn't random."""
+    """The p-value of the token's battery in bits (-log2, rounded down); None if nothing speaks for a secret."""
     core = token.rstrip("=")
     chars = set(core)
-    if len(core) < 12 or len(chars) < 6:
+    if len(core) < LENGTHS[0] or len(chars) < 6:
         return None
     for name, members, place in _SETS:
         if chars <= members:
             break
     else:
         return None
-    if name in NEVER:
-        return None
-    size = len(place)
-    bits, last = -len(core) * math.log2(size), None
-    for c in core:
-        kind = _CLASS[c]
-        bits -= _WITHIN[c] + (-2.0 if last is None else _GO if kind == last else _TURN)
-        last = kind
-    if bits < 1 or fisher(battery([place[c] for c in core], size)) < RANDOM_LEAST_P:
-        return None
-    return min(MOST_BITS, int(bits))
+    n = LENGTHS[bisect_right(LENGTHS, len(core)) - 1]
+    p = nulls(name, n).p_value(measures(np.array([[place[c] for c in core]]), ENCODINGS[name])[0])
+    bits = MOST_BITS if p < 2.0**-MOST_BITS else int(-math.log2(p))
+    return bits if bits > 0 else None
 
 
 def base_spans(text: str) -> list[tuple[int, int, int]]:
