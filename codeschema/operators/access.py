@@ -9,6 +9,7 @@ from collections.abc import Iterator
 from functools import reduce
 from itertools import count
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
@@ -108,53 +109,58 @@ def _kernel(options: Options, api: list) -> object:
     """Map-only walk inside each file; ways that lead to other files are given as open ends."""
     kinds = {a[0]: a for a in api}
 
-    def links(row: dict) -> Iterator[dict]:
-        ops = [c for c in row["calls"] if c["container"] is not None and c["name"] in kinds]
+    def links(row: dict[str, list]) -> Iterator[dict]:
+        calls = list(zip(*(row[f"calls_{c}"] for c in _READ["calls"]), strict=True))
+        ops = [c for c in calls if c[2] is not None and c[1] in kinds]
         if not ops:
             return
-        branch = {n["seq"]: n["branch"] for n in row["nodes"]}
-        loops = {n["seq"]: set(n["loops"]) for n in row["nodes"]}
+        # A node's number is its place.
+        branch, loops = row["nodes_branch"], row["nodes_loops"]
         functions = defaultdict(list)
-        for u in row["units"]:
-            if u["kind"] == "function" and u["name"]:
-                functions[u["name"]].append(u)
-        callee = {r["seq"]: r["callee"] for r in row["resolved"]}
+        for unit, kind, name, params in zip(*(row[f"units_{c}"] for c in _READ["units"]), strict=True):
+            if kind == "function" and name:
+                functions[name].append((unit, params))
+        callee = dict(zip(row["resolved_seq"], row["resolved_callee"], strict=True))
         # What may give a variable its value: (place, place from which it holds, mode, variable or operation).
-        sources, outside = defaultdict(list), {f"{p}@{u['unit']}" for us in functions.values() for u in us for p in u["params"] if p}
+        sources, outside = defaultdict(list), {f"{p}@{unit}" for us in functions.values() for unit, params in us for p in params if p}
         by_seq = {}
-        for c in row["calls"]:
-            held = c["result_seq"] if c["result_seq"] is not None else c["seq"]
-            by_seq[c["seq"]] = c
-            if c["result"] and c["container"] is not None and c["name"] in kinds and not kinds[c["name"]][5]:
-                sources[c["result"]].append((c["seq"], held, 3, c["seq"]))
-            if c["result"] and c["seq"] in callee:
-                for u in functions[callee[c["seq"]]]:
-                    sources[c["result"]].append((held, held, 2, (f"return@{u['unit']}", c["seq"])))
-                if not functions[callee[c["seq"]]]:
-                    outside.add(c["result"])
-        for a in row["aliases"]:
-            sources[a["lhs"]].append((a["seq"], a["seq"], 0, a["root"]))
+        for c in calls:
+            seq, name, container, _, result, result_seq = c
+            by_seq[seq] = c
+            if not result:
+                continue
+            held = seq if result_seq is None else int(result_seq)
+            if container is not None and name in kinds and not kinds[name][5]:
+                sources[result].append((seq, held, 3, seq))
+            if seq in callee:
+                found = functions.get(callee[seq])
+                for unit, _ in found or ():
+                    sources[result].append((held, held, 2, (f"return@{unit}", seq)))
+                if not found:
+                    outside.add(result)
+        for seq, lhs, root in zip(row["aliases_seq"], row["aliases_lhs"], row["aliases_root"], strict=True):
+            sources[lhs].append((seq, seq, 0, root))
         roots = defaultdict(set)
-        for u in row["uses"]:
-            if u["role"] == "arg":
-                roots[u["seq"]].add(u["root"])
-        for a in row["args"]:
-            if a["root"]:
-                roots[a["seq"]].add(a["root"])
-                if a["key"] == "" and a["seq"] in callee:
-                    for u in functions[callee[a["seq"]]]:
-                        if a["arg"] < len(u["params"]) and u["params"][a["arg"]]:
-                            sources[f"{u['params'][a['arg']]}@{u['unit']}"].append((a["seq"], a["seq"], 1, a["root"]))
+        for seq, root, role in zip(row["uses_seq"], row["uses_root"], row["uses_role"], strict=True):
+            if role == "arg":
+                roots[seq].add(root)
+        for seq, arg, key, root in zip(*(row[f"args_{c}"] for c in _READ["args"]), strict=True):
+            if root:
+                roots[seq].add(root)
+                if key == "" and seq in callee:
+                    for unit, params in functions.get(callee[seq], ()):
+                        if arg < len(params) and params[arg]:
+                            sources[f"{params[arg]}@{unit}"].append((seq, seq, 1, root))
 
         def counts(q: int, bound: int, op: int) -> bool:
             if options.walk == "linear":
                 return q < bound
             if any(_flip(x) in branch[op] for x in branch[q]):
                 return False
-            return q < bound or bool(loops[q] & loops[op]) and q != op
+            return q < bound or q != op and not set(loops[q]).isdisjoint(loops[op])
 
         for c in ops:
-            op, hits, open_ = c["seq"], {}, {}
+            op, hits, open_ = c[0], {}, {}
             seen: dict[tuple, int] = {}
             todo = deque((v, op, 0, ()) for v in sorted(roots[op]))
             while todo:
@@ -182,9 +188,9 @@ def _kernel(options: Options, api: list) -> object:
                             todo.append((what, q, hops + 1, sites[1:]))
                     elif what[1] not in sites:
                         todo.append((what[0], END, hops + 1, (what[1], *sites)))
-            own = {"app_id": row["app_id"], "version": row["version"], "path": row["path"], "next_seq": op, "next_container": c["container"], "next_var": c["container_var"], "next_kind": kinds[c["name"]][1]}
+            own = {"app_id": row["app_id"], "version": row["version"], "path": row["path"], "next_seq": op, "next_container": c[2], "next_var": c[3], "next_kind": kinds[c[1]][1]}
             for q, (hops, v) in sorted(hits.items()):
-                yield {**own, "prev_seq": q, "via_var": v, "hops": hops, "prev_container": by_seq[q]["container"], "prev_var": by_seq[q]["container_var"], "prev_kind": kinds[by_seq[q]["name"]][1]}
+                yield {**own, "prev_seq": q, "via_var": v, "hops": hops, "prev_container": by_seq[q][2], "prev_var": by_seq[q][3], "prev_kind": kinds[by_seq[q][1]][1]}
             for (v, sites), (bound, hops) in sorted(open_.items()):
                 yield {**own, "open_var": v, "bound": bound, "hops": hops, "sites": [f"{row['path']}:{x}" for x in sites]}
 
@@ -192,13 +198,34 @@ def _kernel(options: Options, api: list) -> object:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i in range(0, batch.num_rows, 32):  # few models are Python objects at once
-                out = [x for row in batch.slice(i, 32).to_pylist() for x in links(row)]
+            weights, at = np.diff(batch.column("nodes_branch").offsets.to_numpy()), 0
+            ends = np.cumsum(weights)
+            while at < batch.num_rows:  # few models are Python objects at once
+                stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + 50_000, "right")))
+                some = batch.slice(at, stop - at)
+                columns = {n: _python(some.column(n)) for n in some.schema.names}
+                out = [x for row in zip(*columns.values(), strict=True) for x in links(dict(zip(columns, row, strict=True)))]
                 yield pa.RecordBatch.from_pylist(out, schema=schema)
+                at = stop
 
     return run
 
 
+#: What the kernel reads of a model: each field is a list of its own, so nothing else leaves the stored model.
+_READ = {"units": ("unit", "kind", "name", "params"), "nodes": ("branch", "loops"), "uses": ("seq", "root", "role"), "aliases": ("seq", "lhs", "root"), "calls": ("seq", "name", "container", "container_var", "result", "result_seq"), "args": ("seq", "arg", "key", "root"), "resolved": ("seq", "callee")}
+
+
+def _python(column: pa.Array) -> list:
+    """A column as Python values; lists by their flat values, which is several times as fast as value by value."""
+    if pa.types.is_list(column.type):
+        flat, ends = _python(column.flatten()), column.offsets.to_numpy()
+        ends = (ends - ends[0]).tolist()
+        return [flat[a:b] for a, b in zip(ends, ends[1:])]
+    if pa.types.is_string(column.type) or not column.null_count:
+        return column.to_numpy(zero_copy_only=False).tolist()
+    return column.to_pylist()
+
+
 def rounds(options: Options) -> Iterator[int]:
     """Numbers of the rounds of a walk, which its caller ends; an error beyond ``max_rounds``, if that is given."""
     for turn in count(1):
@@ -314,7 +341,7 @@ def backward_links(m: Models, ops: DataFrame, options: Options = Options(), api:
     out = [*KEY, "prev_path", "prev_op", "next_op", "prev_seq", "next_seq", "prev_container", "next_container", "prev_kind", "next_kind", "via_var", "hops", "cross_container"]
     cross = (F.col("prev_container") != F.col("next_container")).alias("cross_container")
     if options.strategy == "kernel":
-        raw = written(m.model.select(*KEY, "units", "nodes", "uses", "aliases", "calls", "args", "resolved").mapInArrow(_kernel(options, api or DEFAULT_API), _WALK), "walked")
+        raw = written(m.model.select(*KEY, *[F.col(f"{t}.{c}").alias(f"{t}_{c}") for t, cs in _READ.items() for c in cs]).mapInArrow(_kernel(options, api or DEFAULT_API), _WALK), "walked")
         inside = raw.where("open_var is null")
         unnamed = inside.where("prev_var is not null or next_var is not null")
         plain = inside.where("prev_var is null and next_var is null").select("*", F.col("path").alias("prev_path"), (F.col("prev_seq") * 100).cast("long").alias("prev_op"), (F.col("next_seq") * 100).cast("long").alias("next_op"), cross).select(*out)
