@@ -5,8 +5,9 @@ refine, for each query, a histogram of scores until one score value, the k-th la
 pass keeps what lies above it and breaks ties at it by the smaller id.  No pass moves more than a few
 counts or k rows per query and batch, so nothing depends on how many rows tie.
 
-Queries are handled in blocks of bounded size (``block``), because a query set that is a share of the
-rows grows with them; a block is all that is ever broadcast.
+Queries are handled in blocks of bounded size (``block`` queries, ``BLOCK_BYTES`` of components), because a query set
+that is a share of the rows grows with them; a block is all that is ever broadcast.  Where there are several, each
+one's result is written and its broadcast released before the next, so neither plan nor memory grows with their number.
 
 Defined cases: vectors that are null, or hold null or non-finite components, and rows without id take
 no part; only vectors of the query's length are its candidates; rows with the query's id are its own.
@@ -17,7 +18,6 @@ exact integers while norms' products stay under 2**53.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -25,7 +25,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .base import scratch
+
 _HITS = "qno long, query_id long, vec_id long, score long"
+_OUT = "query_id long, rank int, vec_id long, score long"
+BLOCK_BYTES = 16 << 20
 
 
 def _usable(df: DataFrame, id_col: str, vec_col: str) -> DataFrame:
@@ -49,22 +53,27 @@ def exact_topk(vectors: DataFrame, queries: DataFrame, k: int = 10, scale: float
     """query_id, rank, vec_id, score: the k best rows of ``vectors`` for every row of ``queries``."""
     spark = vectors.sparkSession
     rows, asked = _usable(vectors, id_col, vec_col), _usable(queries, id_col, vec_col)
-    total = asked.count()
-    parts = max(1, -(-total // block))
-    found = []
+    size = asked.agg(F.count("*").alias("n"), F.max(F.size("v")).alias("widest")).first()
+    block = max(1, min(block, BLOCK_BYTES // (8 * max(1, size["widest"] or 1))))
+    parts = max(1, -(-size["n"] // block))
+    norm = rows.select(F.max(F.aggregate("v", F.lit(0.0), lambda a, x: a + F.pow(F.floor(x * scale), 2))).alias("m")).first()["m"] or 0.0
+    order, folder, done = W.partitionBy("qno").orderBy(F.desc("score"), "vec_id"), scratch(spark, "topk"), []
     for part in range(parts):
         mine = asked if parts == 1 else asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(parts)) == part)
         held = sorted((r["vec_id"], tuple(r["v"])) for r in mine.collect())  # about ``block`` rows
-        if held:
-            found.append(_one_block(rows, held, k, scale, bins))
-    if not found:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    hits = reduce(DataFrame.unionAll, found)
-    order = W.partitionBy("part", "qno").orderBy(F.desc("score"), "vec_id")
-    return hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
-
-
-def _one_block(rows: DataFrame, held: list, k: int, scale: float, bins: int) -> DataFrame:
+        if not held:
+            continue
+        hits, shared = _one_block(rows, held, k, scale, bins, norm)
+        best = hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+        if parts == 1:
+            return best
+        done.append(f"{folder}/{part:06d}")
+        best.write.parquet(done[-1])
+        shared.unpersist()
+    return spark.read.schema(_OUT).parquet(*done) if done else spark.createDataFrame([], _OUT)
+
+
+def _one_block(rows: DataFrame, held: list, k: int, scale: float, bins: int, norm: float) -> tuple[DataFrame, object]:
     spark = rows.sparkSession
     qids = np.array([i for i, _ in held], np.int64)
     groups: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -86,7 +95,6 @@ def _one_block(rows: DataFrame, held: list, k: int, scale: float, bins: int) ->
                         yield at, ids[i : i + 4096], s
 
     own = np.iinfo(np.int64).min
-    norm = rows.select(F.max(F.aggregate("v", F.lit(0.0), lambda a, x: a + F.pow(F.floor(x * scale), 2))).alias("m")).first()["m"] or 0.0
     bound = np.array([0] * len(held), np.int64)
     for at, q in groups.values():
         bound[at] = np.ceil(np.sqrt((q**2).sum(axis=1) * norm)).astype(np.int64) + 1
@@ -140,7 +148,7 @@ def _one_block(rows: DataFrame, held: list, k: int, scale: float, bins: int) ->
                 out.append((np.full(len(j), q), np.full(len(j), qids[q]), ids[j], s[row, j]))
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), pa.int64()) for c in zip(*out, strict=True)], names=["qno", "query_id", "vec_id", "score"])
 
-    return rows.mapInArrow(kept, _HITS).withColumn("part", F.lit(int(qids[0])))
+    return rows.mapInArrow(kept, _HITS), shared
 
 
 ORACLE = """

@@ -254,14 +254,17 @@ class Scorer:
         return np.where(np.isfinite(best), sigmoid(np.where(np.isfinite(best), best + self.net.shift, 0.0)), self.net.prior)
 
 
-def fit(docs: DataFrame, labels: DataFrame, per_label: int = 1500) -> Network | None:
-    """A network from labelled texts that are not held out; both tables by doc_id."""
+def fit(docs: DataFrame, labels: DataFrame, per_label: int = 1500, most_chars: int = 100_000) -> Network | None:
+    """A network from labelled texts that are not held out; both tables by doc_id.
+
+    Bounds of the fit: about ``per_label`` texts of each label, none of more than ``most_chars`` characters.
+    """
     marks = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     marks = marks.where(~held_out())
     shares = marks.agg(F.avg((F.col("toxic") > 0).cast("double")).alias("share")).first()["share"]
     known = training_sample(marks, per_label, F.col("toxic"), "doc_id")
     # A bounded sample of ids picks the texts.
-    rows = docs.select("doc_id", "text").where(F.col("text").isNotNull()).join(F.broadcast(known), "doc_id").orderBy("doc_id", "text").collect()
+    rows = docs.select("doc_id", "text").where(F.length("text") <= most_chars).join(F.broadcast(known), "doc_id").orderBy("doc_id", "text").collect()
     net = train([r["text"] for r in rows], [int(r["toxic"] > 0) for r in rows])
     if net and 0 < shares < 1:
         net.shift = float(np.log(shares / (1 - shares)) - np.log(net.prior / (1 - net.prior)))

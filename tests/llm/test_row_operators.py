@@ -334,6 +334,36 @@ def test_unfitted_and_fitted_models_stay_apart(spark):
     assert {r.lang_pred for r in language_id.predictions(df, path).collect()} == {"th", "le"}
 
 
+def test_language_predictions_equal_brute_force(spark):
+    """Scores of whole documents by a plain forward sum over each word's segmentations."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    path = P.path("piece_bpe_32k.model")
+    model = language_id.train(docs, path)
+    langs, p, prior = model
+    v = language_id.Vocabulary(path)
+    number = {x: i for i, x in enumerate(v.pieces)}
+
+    def word(text):
+        sums = [np.ones(len(langs))]
+        for j in range(1, len(text) + 1):
+            acc = np.zeros(len(langs))
+            for n in range(1, min(j, v.longest) + 1):
+                piece = number.get(text[j - n : j], v.unknown if n == 1 else None)
+                if piece is not None:
+                    acc = acc + sums[j - n] * p[piece]
+            sums.append(acc)
+        return np.log(np.maximum(sums[-1], 1e-300))
+
+    got = {r.doc_id: r for r in language_id.identify(docs, model, path).collect()}
+    for r in docs.where("length(text) < 3000").limit(60).collect():
+        words = [w for w in map(language_id.spelled, r.text.split()) if w]
+        if not words or max(map(len, words)) > 40:
+            continue
+        logs = sum(map(word, words)) + prior
+        assert got[r.doc_id].lang_pred == langs[int(np.argmax(logs))]
+        assert np.isclose(got[r.doc_id].lang_score, 1 / np.exp(logs - logs.max()).sum())
+
+
 def test_many_labels_are_bounded(spark):
     df = spark.createDataFrame([(i, "x", f"l{i % 50}" if i % 2 else "big") for i in range(400)], "doc_id long, text string, lang string")
     got = {r[0] for r in language_id.training_sample(df, 1000, F.col("lang"), "doc_id", most_groups=3).select("lang").distinct().collect()}
@@ -401,6 +431,57 @@ def test_windows_cover_everything():
         assert seen == set(range(n)) and len(set(starts.tolist())) == len(starts)
 
 
+def plain_toxicity(net, text: str) -> float:
+    """The network's score of a text, word by word and window by window, without batches or shared inputs."""
+    words, p, H = text.lower().split(), net.p, toxicity.HIDDEN
+    logistic = lambda v: 1 / (1 + np.exp(-v))
+
+    def vector(word):
+        plain = toxicity.stripped(word)
+        grams, _ = toxicity.trigrams([plain])
+        return np.concatenate([p["word"][net.words.get(plain, len(net.words))], np.mean([p["gram"][g] for g in grams], axis=0)])
+
+    def states(window, d):
+        h, out = np.zeros(H), []
+        for x in window:
+            x = x @ p[f"x_{d}"] + p[f"b_{d}"]
+            r = logistic(x[:H] + (h @ p[f"u_{d}"])[:H])
+            z = logistic(x[H : 2 * H] + (h @ p[f"u_{d}"])[H:])
+            h = z * h + (1 - z) * np.tanh(x[2 * H :] + r * (h @ p[f"n_{d}"]))
+            out.append(h)
+        return out
+
+    best = -np.inf
+    starts = [*range(0, max(1, len(words) - toxicity.SPAN), toxicity.STRIDE), max(0, len(words) - toxicity.SPAN)]
+    for s in starts:
+        window = [vector(w) for w in words[s : s + toxicity.SPAN]]
+        both = [np.concatenate(x) for x in zip(states(window, "f"), states(window[::-1], "b")[::-1], strict=True)]
+        marks = [np.tanh(h @ p["attend"] + p["attend_b"]) @ p["query"] for h in both]
+        shares = np.exp(np.array(marks) - max(marks))
+        pooled = sum(w * h for w, h in zip(shares / shares.sum(), both, strict=True))
+        best = max(best, pooled @ p["out"] + p["out_b"][0])
+    return logistic(best + net.shift)
+
+
+def test_toxicity_equals_plain_version():
+    import pyarrow.parquet as pq
+
+    texts = [t for t in pq.read_table("/root/testdata/sf0.001/documents.parquet", columns=["text"]).column(0).to_pylist() if t and t.split()][:25]
+    net = toxicity.train(texts, [i % 2 for i in range(len(texts))], least_texts=1, updates=20)
+    net.shift = -0.7
+    texts += ["one", "a b c", " ".join(["x", "yé!"] * 40)]
+    assert np.allclose(toxicity.Scorer(net).scores(texts), [plain_toxicity(net, t) for t in texts], atol=2e-4)
+
+
+def test_toxicity_held_out_on_documents(spark):
+    """The query on the held-out fold of the largest given table (825 labelled texts): measured recall 0.887, 0.5 % wrongly marked."""
+    d = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    got = toxicity.predictions(docs, labels).where("held_out").join(labels, "doc_id").groupBy("toxic").agg(F.avg("predicted").alias("marked"), F.count("*").alias("n"))
+    marked = {r.toxic: r.marked for r in got.collect()}
+    assert marked[1] >= 0.85 and marked[0] <= 0.02
+
+
 def test_toxicity_learns_and_cases(spark):
     rng = np.random.default_rng(2)
     words = [f"w{chr(97 + i % 26)}{chr(97 + i // 26)}o" for i in range(120)]
