@@ -708,25 +708,25 @@ def stored(spark: SparkSession, d: str, name: str, make: Callable[[], DataFrame]
     return _stored[key]
 
 
-def _sides(spark, d, j: str):
+def sides(spark, d, j: str):
     x = shop.JOINS[j]
     side = lambda name: stored(spark, d, name, lambda: shop.COLLECTIONS[name](spark, d))
     return side(x.host), side(x.referenced), x
 
 
-def _updated(spark, d, j: str) -> DataFrame:
+def updated(spark, d, j: str) -> DataFrame:
     """The host with its duplicate, written once."""
-    host, ref, x = _sides(spark, d, j)
+    host, ref, x = sides(spark, d, j)
     return stored(spark, d, f"{j}-updated", lambda: migrate.apply_to_data(host, ref, x))
 
 
 def _original(j: str, spark, d):
-    host, ref, x = _sides(spark, d, j)
+    host, ref, x = sides(spark, d, j)
     return migrate.run_original(host, ref, x)
 
 
 def _refactored(j: str, spark, d):
-    return migrate.run_refactored(_updated(spark, d, j), shop.JOINS[j])
+    return migrate.run_refactored(updated(spark, d, j), shop.JOINS[j])
 
 
 for _j in shop.JOINS:
@@ -736,7 +736,7 @@ for _j in shop.JOINS:
 
 @query("dup_broadcast", _SQL["j5"])
 def dup_broadcast(spark, d):
-    host, ref, x = _sides(spark, d, "j5")
+    host, ref, x = sides(spark, d, "j5")
     return migrate.run_refactored(migrate.apply_to_data(host, ref, x, "broadcast"), x)
 
 
@@ -762,13 +762,13 @@ def nested_dup_array(spark, d):
 @query("verify_duplication", values("join_name, _id", "('none', CAST(1 AS BIGINT))") + " WHERE false")
 def verify_duplication(spark, d):
     """Hosts of all eight updates whose duplicate is not what the reference gives: none."""
-    return reduce(DataFrame.unionByName, [migrate.verify_duplication(_updated(spark, d, j), _sides(spark, d, j)[1], x).select(F.lit(j).alias("join_name"), "_id") for j, x in shop.JOINS.items()])
+    return reduce(DataFrame.unionByName, [migrate.verify_duplication(updated(spark, d, j), sides(spark, d, j)[1], x).select(F.lit(j).alias("join_name"), "_id") for j, x in shop.JOINS.items()])
 
 
 @query("check_equivalence", values("join_name, _id", "('none', CAST(1 AS BIGINT))") + " WHERE false")
 def check_equivalence(spark, d):
     """Rows that only the query before or only the one after the removal gives, for all eight joins: none."""
-    return reduce(DataFrame.unionByName, [migrate.check_equivalence(*_sides(spark, d, j)[:2], _updated(spark, d, j), x).select(F.lit(j).alias("join_name"), "_id") for j, x in shop.JOINS.items()])
+    return reduce(DataFrame.unionByName, [migrate.check_equivalence(*sides(spark, d, j)[:2], updated(spark, d, j), x).select(F.lit(j).alias("join_name"), "_id") for j, x in shop.JOINS.items()])
 
 
 @query("sync_duplicates", "SELECT o_orderkey AS _id, CASE WHEN c_custkey % 10 = 0 THEN c_name || '*' ELSE c_name END AS customer_name FROM orders JOIN customer ON c_custkey = o_custkey")
@@ -785,15 +785,15 @@ _changed = lambda df: df.withColumn("name", F.when(F.col("_id") % 10 == 0, F.con
 @query("sync_arrays", "SELECT l_orderkey AS _id, CASE WHEN p_partkey % 10 = 0 THEN p_name || '*' ELSE p_name END AS ref_name FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) JOIN part ON p_partkey = l_partkey")
 def sync_arrays(spark, d):
     """Arrays of duplicated names after every tenth part was renamed."""
-    x, parts = shop.JOINS["j4"], written(_changed(_sides(spark, d, "j4")[1]), "parts-changed")
-    return migrate.run_refactored(migrate.sync_duplicates(_updated(spark, d, "j4"), parts.where("_id % 10 = 0"), x, parts), x)
+    x, parts = shop.JOINS["j4"], written(_changed(sides(spark, d, "j4")[1]), "parts-changed")
+    return migrate.run_refactored(migrate.sync_duplicates(updated(spark, d, "j4"), parts.where("_id % 10 = 0"), x, parts), x)
 
 
 @query("sync_reverse", "SELECT o_orderkey AS _id, CASE WHEN c_custkey % 10 = 0 THEN c_name || '*' ELSE c_name END AS ref_name FROM orders JOIN customer ON c_custkey = o_custkey")
 def sync_reverse(spark, d):
     """Duplicates of what refers to the host, after every tenth customer was renamed."""
-    x, customers = shop.JOINS["j3"], written(_changed(_sides(spark, d, "j3")[1]), "customers-changed")
-    return migrate.run_refactored(migrate.sync_duplicates(_updated(spark, d, "j3"), customers.where("_id % 10 = 0"), x, customers), x)
+    x, customers = shop.JOINS["j3"], written(_changed(sides(spark, d, "j3")[1]), "customers-changed")
+    return migrate.run_refactored(migrate.sync_duplicates(updated(spark, d, "j3"), customers.where("_id % 10 = 0"), x, customers), x)
 
 
 @query("sync_embedded", "SELECT l_orderkey AS _id, l_partkey AS part, CAST(l_quantity AS DOUBLE) AS qty, CASE WHEN p_partkey % 10 = 0 THEN p_name || '*' ELSE p_name END AS part_name FROM lineitem JOIN part ON p_partkey = l_partkey")

@@ -144,7 +144,7 @@ def test_relationship_types(spark):
 def test_rendering(spark):
     s = logical.to_logical(analyze(corpora.running_example(spark)))
     text = {r.entity: r.line for r in logical.render(s).collect()}
-    assert "order_id: reference string -> orders" in text["customers.recent"]
+    assert "order_id: reference string -> orders" in text["customers.recent"] and "recent struct<channel: string, order_id: string>" in {r.entity: r.line for r in logical.render(s, "ddl").collect()}["customers"]
     assert spark.createDataFrame([], {r.entity: r.line for r in logical.render(s, "ddl").collect()}["orders"]).columns == ["_id", "priority"]
     assert logical.render(s, "json").count() == 3 and logical.render(s, "dot").count() == 2
 
@@ -176,6 +176,117 @@ def test_dangling_references_and_empty_arrays(spark):
     assert {r["_id"]: r.dup for r in many.collect()} == {1: ["x", "x"], 2: [], 3: None}
 
 
+def test_repeated_keys_and_clashing_names(spark):
+    host = spark.createDataFrame([(1, 10, "h", "v")], "_id long, one long, __ref string, __value string")
+    ref = spark.createDataFrame([(10, "b"), (10, "a"), (None, "z")], "_id long, name string")
+    for strategy in ("shuffle", "broadcast"):
+        got = migrate.apply_to_data(host, ref, migrate.Duplication("h", "r", "one", ("name",), "dup"), strategy).collect()
+        assert [(r["_id"], r.dup, r["__ref"], r["__value"]) for r in got] == [(1, "a", "h", "v")]
+
+
+def test_broadcast_is_measured(spark):
+    df = spark.range(10).select(F.col("id").alias("_id"), F.lit("x" * 1000).alias("name"))
+    assert migrate.fits_broadcast(df) and not migrate.fits_broadcast(df, most_rows=9) and not migrate.fits_broadcast(df, most_bytes=5000)
+
+
+def test_natural_keys_on_data(spark):
+    host = spark.createDataFrame([(1, "a"), (2, "b"), (3, None)], "_id long, code string")
+    ref = spark.createDataFrame([(7, "a", "x"), (8, "a", "y"), (9, "b", "z")], "_id long, code string, name string")
+    one = migrate.apply_to_data(host, ref, migrate.Duplication("h", "r", "code", ("name",), "dup", key="code"))
+    assert {r["_id"]: r.dup for r in one.collect()} == {1: "x", 2: "z", 3: None}
+    many = migrate.apply_to_data(host, ref, migrate.Duplication("h", "r", "code", ("name",), "dup", many=True, key="code"))
+    assert {r["_id"]: r.dup for r in many.collect()} == {1: ["x", "y"], 2: ["z"], 3: []}
+
+
+def test_duplicate_inside_one_object(spark):
+    host = spark.createDataFrame([(1, (10, "web")), (2, (99, "shop")), (3, None)], "_id long, recent struct<order_id: long, channel: string>")
+    ref = spark.createDataFrame([(10, "high")], "_id long, priority string")
+    got = migrate.apply_to_data(host, ref, migrate.Duplication("c", "o", "recent.order_id", ("priority",), "order_priority", inside="recent"))
+    assert {r["_id"]: r.recent and r.recent.order_priority for r in got.collect()} == {1: "high", 2: None, 3: None}
+
+
+def rewritten(spark, text: str) -> tuple[str, bool]:
+    a = analyze(files(spark, text))
+    row = rewrite.apply_to_code(a.m.files, joins.removal_plans(a), a.ops).first()
+    return row.content, row.review
+
+
+def test_rewriting_changes_its_own_places_only(spark):
+    ask = "const a = await db.collection('c').findOne({ _id: k }); const b = await db.collection('d').findOne({ _id: a.ref });"
+    text = f"async function one(db, k) {{ {ask} use(a.n, b.y, 'b.y'); /* b.y */ }}\nasync function two(db, k) {{ {ask} return 1; }}\nfunction three(b) {{ return b.y; }}\n"
+    new, review = rewritten(spark, text)
+    assert not review
+    assert "use(a.n, a.d_y, 'b.y'); /* b.y */" in new and new.count("db.collection('d')") == 1
+    assert new.splitlines()[1:] == text.splitlines()[1:]
+
+
+def test_rewriting_refuses_what_it_cannot_do(spark):
+    ask = "async function f(db, k) { const a = await db.collection('c').findOne({ _id: k }); const b = await db.collection('d').findOne({ _id: a.ref });"
+    for rest in ("use(a.n, b.y); send(b); }", "use(a.n, b.y); if (b) { use(1); } }", "use(a.n, b.y); return b; }"):
+        assert rewritten(spark, f"{ask} {rest}") == (f"{ask} {rest}", True)
+    across = "async function load(db, id) { return db.collection('d').findOne({ _id: id }); } async function f(db, k) { const a = await db.collection('c').findOne({ _id: k }); const b = await load(db, a.ref); use(a.n, b.y); }"
+    assert rewritten(spark, across) == (across, True)
+
+
+def test_rewriting_callbacks_loops_and_pipelines(spark):
+    new, review = rewritten(spark, "db.collection('c').findOne({ _id: 1 }, (err, a) => { db.collection('d').findOne({ _id: a.ref }, (e, b) => { use(a.n, b.y); }); });")
+    assert not review and new == "db.collection('c').findOne({ _id: 1 }, (err, a) => { use(a.n, a.d_y); });"
+    new, review = rewritten(spark, "async function f(db) { const a = await db.collection('c').findOne({}); const b = await db.collection('d').find({ _id: { $in: a.refs } }).toArray(); for (const x of b) { use(a.n, x.y); } }")
+    assert not review and new == "async function f(db) { const a = await db.collection('c').findOne({}); for (const x of a.d_y) { use(a.n, x); } }"
+    pipe = "db.collection('c').aggregate([{ $match: { k: 1 } }, { $lookup: { from: 'd', localField: 'r', foreignField: '_id', as: 'ds' } }, { $sort: { k: 1 } }]).toArray().then(rows => { for (const x of rows) { use(x.a, x.ds[0].b); } });"
+    new, review = rewritten(spark, pipe)
+    assert not review and "$lookup" not in new and "[{ $match: { k: 1 } }, { $sort: { k: 1 } }]" in new and "use(x.a, x.d_b[0])" in new
+
+
+def test_unsafe_code_is_refused_on_all_layers(spark):
+    text = "async function f(db, k) { const a = await db.collection('customers').findOne({ _id: k }); const b = await db.collection('orders').findOne({ _id: a.last }); use(a.name, b.status); if (b) { use(1); } }"
+    a = analyze(files(spark, text))
+    plan = joins.removal_plans(a).first()
+    frames = {"customers": spark.createDataFrame([(1, 2)], "_id long, last long"), "orders": spark.createDataFrame([(2, "s")], "_id long, status string")}
+    with pytest.raises(ValueError):
+        remove_join(a, logical.to_logical(a), frames, plan.plan_id)
+    code, _, data = remove_join(a, logical.to_logical(a), frames, plan.plan_id, force=True)
+    assert code.first().content == text and data["customers"].first().order_status == "s"
+
+
+def test_kinds_of_flows(spark):
+    method = "class Repo { async load(db, id) { const row = await db.collection('d').findOne({ _id: id }); return row; } async show(db, k) { const a = await db.collection('c').findOne({ _id: k }); const b = await this.load(db, a.ref); use(a.n, b.y); } }"
+    assert [(r.prev_container, r.next_container) for r in analyze(files(spark, method)).links.collect()] == [("c", "d")]
+    deep = "async function one(db, x) { return db.collection('d').findOne({ _id: x }); } async function two(db, y) { const r = await one(db, y); return r; } async function f(db, k) { const a = await db.collection('c').findOne({ _id: k }); const b = await two(db, a.ref); use(a.n, b.y); }"
+    a = analyze(files(spark, deep))
+    assert [(r.hops) for r in a.links.collect()] == [2] and "d.y" in found(a)
+    again = "async function walk(db, x) { const r = await db.collection('d').findOne({ _id: x }); if (r) { return walk(db, r.next); } return r; }"
+    assert analyze(files(spark, again)).links.where("prev_op = next_op").count() == 0  # a walk through recursion ends
+
+
+def test_template_expressions_have_their_places():
+    rows, error = inject_text("const s = `a ${b.c} d ${f(`x ${e.g}`)}`;")
+    assert error is None and {(u["root"], u["steps"][0]["name"]) for u in rows["uses"] if u["steps"]} >= {("b@0", "c"), ("e@0", "g")}
+    assert [c["text"] for c in rows["calls"]] == ["f(`x ${e.g}`)"]
+
+
+def test_merged_models_follow_deletions(spark):
+    old = Models(files(spark, "a(1);", "b(2);", "c(3);"))
+    new = files(spark, "a(1);", "b(4);")
+    m = rewrite.merged_models(old, new)
+    assert sorted(r.literal for r in m.args.collect()) == ["1", "4"]
+
+
+def test_files_are_dealt_over_tasks(spark):
+    from codeschema.frontend.inject import spread
+
+    assert spread(files(spark, *["use(1);"] * 20).coalesce(1)).rdd.getNumPartitions() >= 4
+
+
+def test_written_tables_can_be_released(spark, tmp_path):
+    from codeschema import store
+
+    keep, store._paths[spark.sparkContext.applicationId] = store._paths.get(spark.sparkContext.applicationId, []), []
+    path = written(spark.range(3).toDF("x"), "short").inputFiles()[0]
+    assert store.release(spark) == 1 and not __import__("os").path.exists(path.replace("file://", ""))
+    store._paths[spark.sparkContext.applicationId] = keep
+
+
 def test_volume_does_not_change_the_schema(spark):
     key = lambda d: sorted(map(tuple, logical.to_logical(analyze(corpora.catalog_modules(spark, d))).select("entity", "feature", "type").collect()))
     assert key(SF) == key("/root/testdata/sf0.01")
@@ -196,6 +307,7 @@ def test_late_events_are_dropped(spark, tmp_path):
         time.sleep(0.05)
     stream = spark.readStream.schema("ts timestamp, user_id long, container string, kind string").option("maxFilesPerTrigger", 1).parquet(str(src))
     out = streaming.run_to_table(streaming.tumbling(stream), "late_ops", "append")
+    assert spark.catalog.listTables() == [] or not any(t.name.startswith("late_ops") for t in spark.catalog.listTables())
     assert sum(r.n for r in out.collect()) == 4  # the late one is gone, the last window is open
 
 
