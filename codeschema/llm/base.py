@@ -122,15 +122,17 @@ def bloom_filter(wanted: DataFrame, column: str, most_bits: int = MOST_BITS) ->
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = np.concatenate(_bit_places(batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64), bits))
-            word, where = np.unique(at >> np.uint64(6), return_inverse=True)
-            value = np.zeros(len(word), np.uint64)
-            np.bitwise_or.at(value, where, np.uint64(1) << (at & np.uint64(63)))
+            at.sort()
+            word = at >> np.uint64(6)
+            first = np.flatnonzero(np.append(True, word[1:] != word[:-1])) if len(at) else np.zeros(0, np.int64)
+            value = np.bitwise_or.reduceat(np.uint64(1) << (at & np.uint64(63)), first) if len(at) else np.zeros(0, np.uint64)
+            word = word[first]
             yield pa.RecordBatch.from_arrays([pa.array(word.astype(np.int64)), pa.array(value.view(np.int64))], names=["word", "value"])
 
     some = wanted.select(F.col(column).cast("long").alias("v")).where("v is not null").mapInArrow(run, "word long, value long")
     out = np.zeros(bits // 64, np.uint64)
-    for r in some.groupBy("word").agg(F.expr("bit_or(value)").alias("value")).toLocalIterator():
-        out[r["word"]] = np.int64(r["value"]).astype(np.uint64)
+    found = some.groupBy("word").agg(F.expr("bit_or(value)").alias("value")).toArrow()  # as many rows as the filter has words, at most
+    out[found.column("word").to_numpy()] = found.column("value").to_numpy().view(np.uint64)
     return out
 
 
