@@ -36,13 +36,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .base import bloom_filter, bloom_hits, free_name, in_pieces, passed, remove_path, scratch, slices, written
-from .shingles import PairHasher, WordHasher, mix, runs, window_minima, words_of
+from .shingles import PairHasher, mix, runs, window_minima, words_of
 
 WINDOW, GRAM, FAN_OUT = 20, 6, 4
 MOST_ANCHOR_BITS = 1 << 29  # 64 MB: bounds what is broadcast; beyond it more windows are compared, none is lost
 SALTS = 8  # tasks over which the copies of one text are dealt
 UNKNOWN = -(1 << 63)
-_ONE, _BOTH = WordHasher(), PairHasher()
+_BOTH = PairHasher()
 
 
 def anchors_of(hashes: np.ndarray, sizes: list[int], window: int = WINDOW, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -81,7 +81,7 @@ def catalogue(rows: DataFrame) -> DataFrame:
                 split = [words_of(t) for t in texts[i:j]]
                 joined = [b" ".join(w) for w in split]
                 sizes = [len(w) for w in split]
-                owner, _, prints, places = anchors_of(_ONE(split), sizes)
+                owner, _, prints, places = anchors_of(_BOTH(split)[0], sizes)
                 ends = np.searchsorted(owner, np.arange(len(split) + 1))
                 anchors, loops = [], []
                 for d in range(len(split)):
@@ -114,13 +114,13 @@ def picked_windows(rows: DataFrame, bits: np.ndarray, of_rows: np.ndarray | None
             for i, j in slices([t or "" for t in texts], 1_000_000):
                 split = [words_of(t) for t in texts[i:j]]
                 sizes = [len(w) for w in split]
-                owner, starts, prints, places = anchors_of(_ONE(split), sizes)
+                one, two = _BOTH(split)
+                owner, starts, prints, places = anchors_of(one, sizes)
                 turn = np.append(True, places[1:] != places[:-1]) if len(places) else np.zeros(0, bool)
                 keep = bloom_hits(shared.value, prints[turn].view(np.int64))[np.cumsum(turn) - 1] if len(turn) else turn
                 offset = np.cumsum([0, *sizes])
                 at = (offset[owner] + starts)[keep]
                 owner, starts = owner[keep], starts[keep]
-                one, two = _BOTH(split)
                 w1, w2 = runs(one, WINDOW)[at], runs(two, WINDOW)[at]
                 _, first = np.unique(mix(w1 + mix(owner.astype(np.uint64))), return_index=True)
                 first.sort()
@@ -260,11 +260,15 @@ class FingerprintLog:
             first = own.join(before, ["w1", "w2"], "left").select("w1", "w2", F.coalesce(F.least("first", "before"), "first").alias("first"), "last")
         else:
             first = own
-        later = windows.join(first.where("first < last").select("w1", "w2", "first"), ["w1", "w2"]).where("first < ord").select("ord", "h", "start")
+        # Most windows have no equal: a filter keeps them out of the join.
+        twice = written(first.where("first < last").select("w1", "w2", "first"), "twice", f"{batch}-twice")
+        some = passed(windows, "w1", bloom_filter(twice, "w1", MOST_ANCHOR_BITS))
+        later = some.join(twice, ["w1", "w2"]).where("first < ord").select("ord", "h", "start")
         repeats = written(later.groupBy("ord", "h").agg(F.collect_list("start").alias("starts")), "repeats", f"{batch}-repeats")
         remove_path(self.spark, f"{batch}-windows")
         self.runs["windows"].append(self._write("windows", own))
         remove_path(self.spark, f"{batch}-own")
+        remove_path(self.spark, f"{batch}-twice")
 
         touched = light.where("not copy").select("ord", "h", "loops").distinct().join(repeats, ["ord", "h"], "left").where("starts is not null or loops").select("ord", "h", "starts")
         touched = written(touched, "touched", f"{batch}-touched")
