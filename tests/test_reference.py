@@ -369,3 +369,12 @@ def test_blocks_are_climbed_to_the_top(spark):
     blocks = linked(spark, [(100 + i, "block", 1000 + i, 0, None) for i in range(8)] + [(1000 + i, "call", None, 0, 101 + i) for i in range(7)], "elem int, kind string, parent int, unit int, block int")
     a = SimpleNamespace(m=SimpleNamespace(elements=blocks, units=linked(spark, [("callback", 0)], "kind string, unit int")))
     assert {r.above for r in joins._blocks_above(a).where("block = 100").collect()} == set(range(100, 108))
+
+
+@pytest.mark.parametrize("n, joined", [(200_000, "SortMergeJoin"), (10, "BroadcastHashJoin")])
+def test_stored_rows_are_not_broadcast_by_the_size_of_their_files(spark, n, joined):
+    row = lambda: spark.range(n).select(F.floor(F.col("id") / 8).alias("k"), F.format_string("o%d.js", F.floor(F.col("id") / 50_000)).alias("path"), F.lit("orders").alias("container"))
+    a, b = written(row(), "left"), written(row().withColumnRenamed("path", "other"), "right")
+    both = a.where("k >= 0").join(b.select("k", "other"), "k")
+    assert both.count() == sum(min(8, n - k) ** 2 for k in range(0, n, 8))
+    assert joined in both._jdf.queryExecution().sparkPlan().toString()
