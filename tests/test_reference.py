@@ -7,6 +7,7 @@ from types import SimpleNamespace
 
 import pytest
 from codeschema import Options, analyze, paper_options, remove_join
+from codeschema import queries as Q
 from codeschema.frontend.inject import inject_text
 from codeschema.frontend.parser import parse
 from codeschema.frontend.tokens import tokenize
@@ -18,6 +19,7 @@ from codeschema.store import written
 from conftest import SF
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 
@@ -378,3 +380,9 @@ def test_stored_rows_are_not_broadcast_by_the_size_of_their_files(spark, n, join
     both = a.where("k >= 0").join(b.select("k", "other"), "k")
     assert both.count() == sum(min(8, n - k) ** 2 for k in range(0, n, 8))
     assert joined in both._jdf.queryExecution().sparkPlan().toString()
+
+
+@pytest.mark.parametrize("name", ["basic_blocks"])
+def test_query_needs_its_table(spark, tmp_path, name):
+    with pytest.raises(AnalysisException):
+        Q.QUERIES[name](spark, str(tmp_path)).collect()
