@@ -69,9 +69,13 @@ def data_variations(df: DataFrame, json_column: str | None = None) -> DataFrame:
 
 
 def catalog(frames: dict[str, DataFrame]) -> DataFrame:
-    """(entity, feature, type) of every top-level column: a row a column."""
-    spark = next(iter(frames.values())).sparkSession
-    return spark.createDataFrame([(e, c, t) for e, df in sorted(frames.items()) for c, t in df.dtypes], "entity string, feature string, type string")
+    """(entity, feature, type, n_present) of every top-level column: a row a column, with how many objects have a value there."""
+    parts = []
+    for e, df in sorted(frames.items()):
+        row = df.agg(*[F.count(F.col(f"`{c}`")).alias(f"present_{i}") for i, c in enumerate(df.columns)])
+        cells = [F.struct(F.lit(e).alias("entity"), F.lit(c).alias("feature"), F.lit(t).alias("type"), F.col(f"present_{i}").alias("n_present")) for i, (c, t) in enumerate(df.dtypes)]
+        parts.append(row.select(F.inline(F.array(*cells))))
+    return written(reduce(DataFrame.unionByName, parts), "catalog")
 
 
 def references_by_name(columns: DataFrame) -> DataFrame:

@@ -11,12 +11,12 @@ from codeschema import queries as Q
 from codeschema.frontend.inject import inject_text
 from codeschema.frontend.parser import parse
 from codeschema.frontend.tokens import tokenize
-from codeschema.operators import joins, logical, migrate, models, rewrite, shop
+from codeschema.operators import joins, logical, migrate, models, profile, rewrite, shop
 from codeschema.operators.access import Access, backward_links, chain_depth, find_operations, reach
 from codeschema.operators.models import Models
 from codeschema.sources import as_files, corpora
 from codeschema.store import written
-from conftest import SF
+from conftest import SF, TABLES
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.errors import AnalysisException
@@ -386,3 +386,17 @@ def test_stored_rows_are_not_broadcast_by_the_size_of_their_files(spark, n, join
 def test_query_needs_its_table(spark, tmp_path, name):
     with pytest.raises(AnalysisException):
         Q.QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_catalog_counts_the_values_of_tables(spark):
+    rows = spark.createDataFrame([(1, None), (2, "a"), (3, "b")], "k long, v string")
+    got = profile.catalog({"t": rows, "empty": rows.where("k > 3")}).collect()
+    assert {tuple(r) for r in got} == {("t", "k", "bigint", 3), ("t", "v", "string", 2), ("empty", "k", "bigint", 0), ("empty", "v", "string", 0)}
+
+
+@pytest.mark.parametrize("name, some", [("catalog_columns", TABLES), ("references_by_name", TABLES), ("references_by_name_shop", ["customer", "orders", "lineitem", "part", "supplier", "events", "documents"])])
+def test_catalog_queries_read_rows(spark, name, some, monkeypatch):
+    seen = []
+    monkeypatch.setattr(profile, "written", lambda df, label: seen.append(df) or written(df, label))
+    Q.QUERIES[name](spark, SF)
+    assert {f"{t}.parquet" for t in some} <= {f.rsplit("/", 1)[-1] for f in seen[0].inputFiles()}
