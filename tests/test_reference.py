@@ -382,7 +382,7 @@ def test_stored_rows_are_not_broadcast_by_the_size_of_their_files(spark, n, join
     assert joined in both._jdf.queryExecution().sparkPlan().toString()
 
 
-@pytest.mark.parametrize("name", ["basic_blocks", "container_hierarchy", "relationship_types", "schema_except", "schema_intersect", "singular_names"])
+@pytest.mark.parametrize("name", ["basic_blocks", "container_hierarchy", "relationship_types", "schema_except", "schema_intersect", "singular_names", "sql_frontend"])
 def test_query_needs_its_table(spark, tmp_path, name):
     with pytest.raises(AnalysisException):
         Q.QUERIES[name](spark, str(tmp_path)).collect()
