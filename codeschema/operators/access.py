@@ -69,7 +69,7 @@ def bind_containers(m: Models) -> DataFrame | None:
         hit = step.where("literal is not null").select(*KEY, "seq", F.col("literal").alias("named"))
         found = hit if found is None else found.unionByName(hit)
         step = step.where("root is not null").select(*KEY, "seq", F.col("root_path").alias("at_path"), F.col("root").alias("var")).distinct()
-        fresh = written(step.join(seen, step.columns, "left_anti"), "unnamed")
+        fresh = written(step.join(seen.hint("merge"), step.columns, "left_anti"), "unnamed")
         if fresh.isEmpty():
             return written(found.distinct(), "named")
         seen = seen.unionByName(fresh)
@@ -277,7 +277,7 @@ def _walk(events: DataFrame, fresh: DataFrame, options: Options, whole: bool = T
         step = step.where("mode <> 3 and to_var is not null").select(*_HOME, "not_in", "op_loops", "own_branch", F.col("to_path").alias("at_path"), F.col("to_var").alias("var"), sites.alias("sites"), bound.alias("bound"), (F.col("hops") + 1).alias("hops"))
         step = step.groupBy(*state).agg(F.max("bound").alias("bound"), F.min("hops").alias("hops"), F.first("not_in").alias("not_in"), F.first("op_loops").alias("op_loops"), F.first("own_branch").alias("own_branch"))
         known = seen.groupBy(*state).agg(F.max("bound").alias("known"))
-        fresh = written(step.join(known, state, "left").where("known is null or known < bound").drop("known"), "walk")
+        fresh = written(step.join(known.hint("merge"), state, "left").where("known is null or known < bound").drop("known"), "walk")
         if fresh.isEmpty():
             break
         seen = seen.unionByName(fresh.select(*state, "bound"))
@@ -422,7 +422,7 @@ def reach(m: Models, ops: DataFrame, options: Options = Options()) -> DataFrame:
             step = step.select(*KEY, "op", F.col("to_path").alias("var_path"), F.col("lhs").alias("var"), F.concat("prefix", "steps").alias("prefix"), sites.alias("sites"), F.when(F.col("mode") == 1, F.lit(-1)).otherwise(F.col("place")).alias("at"))
             step = step.groupBy(*state).agg(F.min("at").alias("at"))
             known = seen.groupBy(*state).agg(F.min("at").alias("known"))
-            fresh = written(step.join(known, state, "left").where((F.col("known").isNull() | (F.col("at") < F.col("known"))) & (F.size("prefix") < 24)).drop("known"), "held")
+            fresh = written(step.join(known.hint("merge"), state, "left").where((F.col("known").isNull() | (F.col("at") < F.col("known"))) & (F.size("prefix") < 24)).drop("known"), "held")
             if fresh.isEmpty():
                 break
             seen = seen.unionByName(fresh)

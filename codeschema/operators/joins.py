@@ -67,7 +67,7 @@ def _blocks_above(a: Access) -> DataFrame:
     out = step = b.select(*KEY, "block", F.col("block").alias("above"))
     while True:
         step = step.withColumnRenamed("above", "mid").join(own.select(*KEY, F.col("block").alias("mid"), "above"), [*KEY, "mid"]).where("mid <> above").select(*KEY, "block", "above")
-        step = written(step.join(out, [*KEY, "block", "above"], "left_anti").distinct(), "blocks")
+        step = written(step.join(out.hint("merge"), [*KEY, "block", "above"], "left_anti").distinct(), "blocks")
         if step.isEmpty():
             return out.distinct()
         out = out.unionByName(step)

@@ -11,7 +11,7 @@ from codeschema import queries as Q
 from codeschema.frontend.inject import inject_text
 from codeschema.frontend.parser import parse
 from codeschema.frontend.tokens import tokenize
-from codeschema.operators import joins, logical, migrate, models, profile, rewrite, shop
+from codeschema.operators import access, joins, logical, migrate, models, profile, rewrite, shop
 from codeschema.operators.access import Access, backward_links, chain_depth, find_operations, reach
 from codeschema.operators.models import Models
 from codeschema.sources import as_files, corpora
@@ -400,3 +400,12 @@ def test_catalog_queries_read_rows(spark, name, some, monkeypatch):
     monkeypatch.setattr(profile, "written", lambda df, label: seen.append(df) or written(df, label))
     Q.QUERIES[name](spark, SF)
     assert {f"{t}.parquet" for t in some} <= {f.rsplit("/", 1)[-1] for f in seen[0].inputFiles()}
+
+
+def test_what_a_walk_knows_is_not_broadcast(spark, monkeypatch):
+    """Not even after the first round, when unions hide the stored tables from the planner."""
+    plans = []
+    monkeypatch.setattr(access, "written", lambda df, label: label == "held" and plans.append(df._jdf.queryExecution().sparkPlan().toString()) or written(df, label))
+    m = Models(files(spark, "async function f(db) { const a = await db.collection('c').findOne({}); const b = a; const d = b; use(d.x); }"))
+    assert reach(m, written(find_operations(m), "ops")).where("var = 'd@1'").count() == 1
+    assert len(plans) > 2 and not any("LeftOuter, BuildRight" in p for p in plans)
