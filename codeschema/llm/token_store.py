@@ -109,7 +109,8 @@ def write_store(docs: DataFrame, path: str, tokenizer_path: str, end_id: int, wi
     staged = spark.read.schema(staged.schema).parquet(staged_at)
 
     chunk = staged.select(F.explode(F.arrays_zip("new", "new_ids")).alias("c")).select(F.col("c.new").alias("digest"), F.col("c.new_ids").alias("ids"))
-    once = chunk.groupBy("digest").agg(F.first("ids").alias("ids"))
+    # A task gives a chunk once, so grouping before the exchange would only sort them one time more.
+    once = chunk.repartition("digest").groupBy("digest").agg(F.first("ids").alias("ids"))
     once.select("digest", (F.length("ids") / width).cast("int").alias("n_ids"), "ids", F.lit(width).alias("width")).write.mode("overwrite").option("compression", "zstd").parquet(f"{path}/chunks")
 
     ordered = staged.select("doc_id", "n_tokens", "digests").repartitionByRange("doc_id", "n_tokens", "digests").sortWithinPartitions("doc_id", "n_tokens", "digests")
