@@ -241,7 +241,9 @@ def _events(m: Models, ops: DataFrame) -> DataFrame:
     """What may give a variable its value: (app_id, version, at_path, var, at, holds, mode, to_path, to_var, site, branch, loops)."""
     none = F.lit(None).cast("string")
     node = m.nodes.select(*KEY, "seq", "branch", "loops")
-    local = m.aliases.join(node, [*KEY, "seq"]).select("app_id", "version", F.col("path").alias("at_path"), F.col("lhs").alias("var"), F.col("seq").alias("at"), F.col("seq").alias("holds"), F.lit(0).alias("mode"), F.col("path").alias("to_path"), F.col("root").alias("to_var"), none.alias("site"), "branch", "loops")
+    # A node's number is its place, so an assignment finds its node without a join.
+    placed = m.model.select(*KEY, F.explode(F.transform("aliases", lambda a: F.struct(a["seq"].alias("seq"), a["lhs"].alias("lhs"), a["root"].alias("root"), F.get("nodes", a["seq"]).alias("n")))).alias("x")).where("x.n is not null")
+    local = placed.select("app_id", "version", F.col("path").alias("at_path"), F.col("x.lhs").alias("var"), F.col("x.seq").alias("at"), F.col("x.seq").alias("holds"), F.lit(0).alias("mode"), F.col("path").alias("to_path"), F.col("x.root").alias("to_var"), none.alias("site"), F.col("x.n.branch").alias("branch"), F.col("x.n.loops").alias("loops"))
     made = ops.where("not synthetic and not scalar and result_var is not null").select("app_id", "version", F.col("path").alias("at_path"), F.col("result_var").alias("var"), F.col("seq").alias("at"), F.coalesce("result_seq", "seq").alias("holds"), F.lit(3).alias("mode"), F.col("path").alias("to_path"), none.alias("to_var"), none.alias("site"), "branch", "loops").distinct()
     back = m.bindings.where("mode = 2").join(node.withColumnRenamed("seq", "at"), [*KEY, "at"]).select("app_id", "version", F.col("path").alias("at_path"), F.col("lhs").alias("var"), "at", F.col("at").alias("holds"), "mode", F.col("root_path").alias("to_path"), F.col("root").alias("to_var"), "site", "branch", "loops")
     words = F.array().cast("array<string>")

@@ -46,6 +46,42 @@ def test_statements_keep_their_tokens(parts):
     assert [t.text for s in tree.kids for t in tokens[s.a : s.b]] == [t.text for t in tokenize(text)]
 
 
+def test_files_of_one_shape_are_parsed_once(spark):
+    """Models of texts that differ in numbers only equal those of the parser, whether filled or parsed, and only two of a shape are parsed."""
+    from codeschema.frontend.inject import inject_text
+    from codeschema.frontend.shapes import Shapes, shape_of
+    from codeschema.schema import MODEL
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    schema = to_arrow_schema(spark.createDataFrame([], MODEL).schema)
+    forms = ["const o = await db.collection('orders').findOne({{ _id: {a} }});\nuse(o.list[{b}], a{a}, '{a} x', {b}.5, 0x{a});", "f({a}, {{ k: [{b}, {a}] }}); if (o.n == {a}) g(x => x.y * {b});", "let s = '\\{a}'; const c = '{b}'; db.collection(c).insertOne({{ '{a}': {b} }});", "f({a}", "`${{ {a} }}`;", "x = 819000000000{b};", "if (a) {{ return {a} }}" + " " * 380 + "q({b});"]
+    texts = [f.format(a=a, b=b) for f in forms for a, b in ((1, 22), (333, 4), (56, 56), (7, 7), (0, 7), (123456789012345, 9), (1, 1))] + ["", "f();", "f();"]
+    parsed = []
+
+    def parse(text):
+        parsed.append(text)
+        return inject_text(text)
+
+    shapes, rows, same = Shapes(parse, schema), {}, []
+    for i, text in enumerate(texts):
+        got = shapes.find(text)
+        if isinstance(got[0], int):
+            same.append((i, *got))
+        else:
+            rows[i] = got
+    assert len(same) == 4 and shape_of("f(1.5, 1e3, 0x10, a1, 007)") is None
+    names = ["app_id", "version", "path", "error"]
+    filled = shapes.filled({k: [None] * len(same) for k in names}, [s[1] for s in same], [s[2] for s in same]).to_pylist()
+    rows |= {s[0]: ({k: v for k, v in row.items() if k not in names}, None) for s, row in zip(same, filled, strict=True)}
+    assert [rows[i] for i in range(len(texts))] == [inject_text(t) for t in texts]
+    parsed.clear()
+    for i in range(100):
+        shapes.find(f"h({i + 1});")
+    assert len(parsed) == 3  # two texts and their shape
+    several = files(spark, *texts)
+    assert sorted(str(r) for r in Models(several).model.where("error is null").selectExpr("path", "calls", "args").collect()) == sorted(str(r) for r in spark.createDataFrame([("t", 1, f"f{i}.js", None, *[r[0][k] for k in ("units", "elements", "nodes", "uses", "aliases", "calls", "args", "resolved")]) for i, r in rows.items() if r[1] is None], MODEL).selectExpr("path", "calls", "args").collect())
+
+
 def test_strings_and_comments_are_no_code():
     for name in ("comment", "string"):
         rows, _ = inject_text(corpora.MICRO[name])
