@@ -12,15 +12,18 @@ from __future__ import annotations
 import json
 import re
 import unicodedata
-from itertools import chain
+from itertools import compress, repeat
+from operator import is_
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 from .base import slices
 
 # How the two kinds of models split texts.
 BYTE_LEVEL = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-END_OF_WORD = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+END_OF_WORD = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}\x00]+|\x00"
 _MARK = "\0"  # stands for the end-of-word suffix; texts that hold it go through the library
 _LONG_SPACE = re.compile(r"\s{4096}")
 _CODECS: dict[str, BpeCodec] = {}
@@ -88,19 +91,35 @@ class BpeCodec:
         if not self.by_word:
             return [self.by_library(t) if self._unusual(t) else self._ranked(t).astype("<u4").tobytes() for t in texts]
         out: list[bytes] = []
-        for i, j in slices(texts, 1_000_000):
-            parts = [t.split(" ") for t in texts[i:j]]
-            self._learn(set(chain.from_iterable(parts)))
-            out += [b"".join(map(self.known.__getitem__, p)) for p in parts]
+        for i, j in slices(texts, 2_000_000):
+            parts = pc.split_pattern(pa.array(texts[i:j], pa.string()), " ")
+            words = parts.flatten().dictionary_encode()
+            ids = self._known(words.dictionary.to_numpy(zero_copy_only=False).tolist())
+            size = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+            flat = np.frombuffer(b"".join(ids), "<u4")
+            # Ids of each occurrence, one after the other: where its word's are, and their number.
+            at = words.indices.to_numpy()
+            many = size[at]
+            ends = np.concatenate([[0], np.cumsum(many)])
+            raw = flat[np.arange(ends[-1]) + np.repeat((np.cumsum(size) - size)[at] - ends[:-1], many)].tobytes()
+            cuts = (4 * ends[parts.offsets.to_numpy()]).tolist()
+            out += [raw[a:b] for a, b in zip(cuts, cuts[1:])]
         return out
 
-    def _learn(self, words: set[str]) -> None:
+    def _known(self, words: list[str]) -> list[bytes]:
+        """Ids of distinct words."""
+        found = list(map(self.known.get, words))
+        new = list(compress(words, map(is_, found, repeat(None))))
+        if not new:
+            return found
+        self._learn(words, new)
+        learnt = map(self.known.__getitem__, new)
+        return [next(learnt) if x is None else x for x in found]
+
+    def _learn(self, words: list[str], new: list[str]) -> None:
         known = self.known
-        new = [w for w in words if w not in known]
         if len(known) + len(new) > self.most:  # words of this slice stay, so frequent ones do
             self.known = known = {w: known[w] for w in words if w in known}
-        if not new:
-            return
         joined = _MARK.join(new)
         if joined.count(_MARK) >= len(new) or len(joined) > 4096 and _LONG_SPACE.search(joined):  # some word holds the mark, or long white space: one by one
             known.update((w, self.by_library(w)) for w in new)
@@ -109,9 +128,16 @@ class BpeCodec:
         odd = [w for w in new if "\u03a3" in w or "<|" in w] if "\u03a3" in joined or "<|" in joined else []
         low = (joined if joined.isascii() else unicodedata.normalize("NFC", joined)).lower().split(_MARK)
         counts = np.ones(len(new), np.int64)
-        for i in [i for i, w in enumerate(low) if not w.isalpha()]:
-            some = self.split(low[i])
-            low[i], counts[i] = _MARK.join(some), len(some)
+        mixed = [i for i, w in enumerate(low) if not w.isalpha()]
+        at, done = 0, 0
+        some = self.split(_MARK.join([low[i] for i in mixed]))  # all of them at once; a mark is a part of its own
+        for i in mixed:
+            try:
+                at = some.index(_MARK, done)
+            except ValueError:
+                at = len(some)
+            low[i], counts[i] = _MARK.join(some[done:at]), at - done
+            done = at + 1
         low.append("")
         ids = self._ranked(_MARK.join(low))
         cuts = np.concatenate([[0], np.flatnonzero(self.ends[ids]) + 1])

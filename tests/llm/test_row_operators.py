@@ -495,3 +495,19 @@ def test_toxicity_learns_and_cases(spark):
     assert got[902].predicted == 1 and got[900].score == got[901].score and 0 <= got[900].score <= 1
     assert all(r.score == 0 for r in toxicity.predictions(docs, labels.where("false")).collect())
     assert toxicity.predictions(docs.where("false"), labels).count() == 0
+
+
+def test_words_are_looked_up_once_a_slice():
+    """Each distinct word of a slice is looked up once, however often it occurs, and the ids are the library's."""
+    import public_tokenizers
+    from codeschema.llm.bpe_codec import BpeCodec
+
+    class Counting(BpeCodec):
+        def _known(self, words):
+            asked.append(sorted(words))
+            return super()._known(words)
+
+    asked, coder = [], Counting(public_tokenizers.path("word_bpe_49k.json"))
+    texts = ["One two  two, it's\x01odd\n1.5", None, "", " ", "two, One One", "<|endoftext|>", "\0 two", "ΑΣ ΑΣ"] * 3
+    assert coder.encode(texts) == [coder.by_library(t or "") for t in texts]
+    assert asked == [sorted({w for t in texts for w in (t or "").split(" ")})]
