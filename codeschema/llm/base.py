@@ -102,6 +102,17 @@ def held_out(column: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(column).cast("string").cast("binary")) % 5 == 0, F.lit(True))
 
 
+_CACHES: dict[str, Callable[[], None]] = {}
+
+
+def only_caches(owner: str, clear: Callable[[], None] | None = None) -> None:
+    """Empties what other operators have kept in this worker process, which outlives their tasks; ``clear`` empties the owner's."""
+    for other in [x for x in _CACHES if x != owner]:
+        _CACHES.pop(other)()
+    if clear is not None:
+        _CACHES[owner] = clear
+
+
 # -- a filter of bounded size before a shuffle ----------------------------------------------------
 MOST_BITS = 1 << 27  # 16 MB: what is broadcast never gets larger, it only lets more rows pass
 

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .base import free_name, held_out, in_pieces, slices
+from .base import free_name, held_out, in_pieces, only_caches, slices
 
 MARK, UNKNOWN_P, FLOOR = "▁", 1e-7, 1e-8
 _BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -293,6 +293,7 @@ def identify(docs: DataFrame, model: tuple[list[str], np.ndarray, np.ndarray], v
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         name, langs, p, prior = shared.value
+        only_caches("language_id", _SCORERS.clear)
         if name not in _SCORERS:
             _SCORERS.clear()
             _SCORERS[name] = Scorer(vocabulary_path, p, prior) if langs else None

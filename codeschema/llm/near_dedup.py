@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import bloom_filter, free_name, in_pieces, passed, slices, written
+from .base import bloom_filter, free_name, in_pieces, only_caches, passed, slices, written
 from .shingles import WordHasher, mix, runs, words_of
 
 WORDS, LEAST, BANDS, ROWS = 5, 0.8, 36, 6
@@ -40,6 +40,7 @@ _HASHER = WordHasher()
 
 def shingled(split: list[list[bytes]], n: int = WORDS) -> list[tuple[np.ndarray, np.ndarray]]:
     """(distinct shingles, how often each occurs) of each text."""
+    only_caches("near_dedup", _HASHER.clear)
     hashes = _HASHER(split)
     grams = runs(hashes, n)
     out, at = [], 0

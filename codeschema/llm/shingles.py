@@ -29,6 +29,9 @@ class WordHasher:
     def __init__(self, seed: int = 0, most_words: int = 250_000) -> None:
         self.seed, self.most, self.known = seed, most_words, {}
 
+    def clear(self) -> None:
+        self.known = {}
+
     def __call__(self, split: list[list[bytes]]) -> np.ndarray:
         """Hashes of all words of all texts, one after the other."""
         words = set(chain.from_iterable(split))

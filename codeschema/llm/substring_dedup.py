@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import bloom_filter, bloom_hits, free_name, in_pieces, passed, remove_path, scratch, slices, written
+from .base import bloom_filter, bloom_hits, free_name, in_pieces, only_caches, passed, remove_path, scratch, slices, written
 from .shingles import PairHasher, mix, runs, window_minima, words_of
 
 WINDOW, GRAM, FAN_OUT = 20, 6, 4
@@ -75,6 +75,7 @@ def catalogue(rows: DataFrame) -> DataFrame:
     anchor comes twice), anchors (distinct)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only_caches("substring_dedup")
         for batch in in_pieces(batches, 2):
             texts = batch.column(2).to_pylist()
             for i, j in slices([t or "" for t in texts], 2_000_000):
@@ -109,6 +110,7 @@ def picked_windows(rows: DataFrame, bits: np.ndarray, of_rows: np.ndarray | None
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if some_rows is not None:
             batches = (b.filter(pa.array(bloom_hits(some_rows.value, b.column(3).to_numpy(zero_copy_only=False).astype(np.int64)))) for b in batches)
+        only_caches("substring_dedup")
         for batch in in_pieces(batches, 2):
             texts = batch.column(2).to_pylist()
             for i, j in slices([t or "" for t in texts], 1_000_000):

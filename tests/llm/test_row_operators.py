@@ -497,6 +497,19 @@ def test_toxicity_learns_and_cases(spark):
     assert toxicity.predictions(docs.where("false"), labels).count() == 0
 
 
+def test_caches_of_other_operators_are_emptied():
+    from codeschema.llm.base import only_caches
+
+    kept = {"a": {1: 2}, "b": {3: 4}}
+    only_caches("a", kept["a"].clear)
+    only_caches("a", kept["a"].clear)
+    assert kept["a"]
+    only_caches("b", kept["b"].clear)
+    assert not kept["a"] and kept["b"]
+    only_caches("c")
+    assert not kept["b"]
+
+
 def test_words_are_looked_up_once_a_slice():
     """Each distinct word of a slice is looked up once, however often it occurs, and the ids are the library's."""
     import public_tokenizers
