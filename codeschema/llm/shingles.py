@@ -44,25 +44,52 @@ class WordHasher:
         return np.fromiter(map(known.__getitem__, chain.from_iterable(split)), np.uint64, sum(map(len, split)))
 
 
-class PairHasher:
-    """Two independent 64-bit hashes of words; those of words met before are kept."""
-
-    def __init__(self, most_words: int = 250_000) -> None:
-        self.most, self.known, self.pairs = most_words, {}, np.zeros((0, 2), np.uint64)
-
-    def __call__(self, split: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray]:
-        """Both hashes of all words of all texts, one after the other."""
-        words = set(chain.from_iterable(split))
-        new = [w for w in words if w not in self.known]
-        if len(self.known) + len(new) > self.most:
-            self.known, self.pairs, new = {}, self.pairs[:0], list(words)
-        if new:
-            digest = xxhash.xxh3_128_intdigest
-            self.known.update(zip(new, range(len(self.pairs), len(self.pairs) + len(new)), strict=True))
-            both = np.frombuffer(b"".join([digest(w, 7).to_bytes(16, "little") for w in new]), np.uint64).reshape(-1, 2)
-            self.pairs = np.concatenate([self.pairs, both])
-        at = np.fromiter(map(self.known.__getitem__, chain.from_iterable(split)), np.int64, sum(map(len, split)))
-        return self.pairs[at, 0], self.pairs[at, 1]
+#: Bytes that part words: space and the five controls after tab; and masks of the first bytes of eight.
+_PARTS = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+_FIRST = np.array([(1 << 8 * n) - 1 for n in range(9)], np.uint64)
+_LONG = 256  # words of more bytes are hashed one by one
+
+
+class Words:
+    """The words of several texts (UTF-8), found and hashed as arrays, without an object for each."""
+
+    def __init__(self, texts: list[bytes]) -> None:
+        self.buffer = b" ".join([*texts, bytes(8)])  # room for eight bytes from any place
+        self.bytes = np.frombuffer(self.buffer, np.uint8)
+        begin = np.cumsum([0, *(len(t) + 1 for t in texts)])
+        edge = np.flatnonzero(np.diff(_PARTS[self.bytes[: begin[-1]]], prepend=True, append=True))
+        self.starts, self.ends = edge[::2], edge[1::2]
+        self.first = np.searchsorted(self.starts, begin)  # number of each text's first word
+        self.sizes = np.diff(self.first).tolist()
+
+    def hashes(self) -> tuple[np.ndarray, np.ndarray]:
+        """Two independent 64-bit hashes of each word, made of its length and its bytes, eight at a time."""
+        size = self.ends - self.starts
+        eight = np.ndarray((len(self.buffer) - 7,), "<u8", self.buffer, 0, (1,))
+        with np.errstate(over="ignore"):
+            one = size.astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
+            two = size.astype(np.uint64) * np.uint64(0x165667B19E3779F9) + np.uint64(0x27D4EB2F165667C5)
+            at, rest, done = slice(None), size, 0
+            while len(rest):
+                part = eight[self.starts[at] + done] & _FIRST[np.minimum(rest, 8)]
+                one[at], two[at] = mix(one[at] ^ part), mix(two[at] + part * MULTIPLIER)
+                done += 8
+                at = np.flatnonzero((size > done) & (size <= _LONG))
+                rest = size[at] - done
+        for i in np.flatnonzero(size > _LONG).tolist():
+            one[i], two[i] = np.frombuffer(xxhash.xxh3_128_digest(self.buffer[self.starts[i] : self.ends[i]], 7), np.uint64)
+        return one, two
+
+    def joined(self) -> list[bytes]:
+        """The words of each text joined by one space."""
+        out = self.bytes.copy()
+        keep = ~_PARTS[out]
+        keep[self.ends] = True
+        out[self.ends] = 32
+        keep[self.ends[-1] + 1 if len(self.ends) else 0 :] = False
+        kept = out[keep].tobytes()
+        places = np.concatenate([[0], np.cumsum(self.ends - self.starts + 1)])[self.first].tolist()
+        return [kept[a : max(a, b - 1)] for a, b in zip(places, places[1:])]
 
 
 def runs(hashes: np.ndarray, n: int) -> np.ndarray:

@@ -36,13 +36,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .base import bloom_filter, bloom_hits, free_name, in_pieces, only_caches, passed, remove_path, scratch, slices, written
-from .shingles import PairHasher, mix, runs, window_minima, words_of
+from .shingles import Words, mix, runs, window_minima, words_of
 
 WINDOW, GRAM, FAN_OUT = 20, 6, 4
 MOST_ANCHOR_BITS = 1 << 29  # 64 MB: bounds what is broadcast; beyond it more windows are compared, none is lost
 SALTS = 8  # tasks over which the copies of one text are dealt
 UNKNOWN = -(1 << 63)
-_BOTH = PairHasher()
 
 
 def anchors_of(hashes: np.ndarray, sizes: list[int], window: int = WINDOW, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -70,6 +69,10 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(UNKNOWN)).alias("ord"), F.hash(text).alias("h"), text.alias("text"))
 
 
+def _bytes(texts: pa.Array) -> list[bytes]:
+    return [t or b"" for t in texts.cast(pa.binary()).to_pylist()]
+
+
 def catalogue(rows: DataFrame) -> DataFrame:
     """ord, h, n_words, key (hash of the word sequence), whole (sha256 of the words joined), loops (whether an
     anchor comes twice), anchors (distinct)."""
@@ -77,15 +80,14 @@ def catalogue(rows: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         only_caches("substring_dedup")
         for batch in in_pieces(batches, 2):
-            texts = batch.column(2).to_pylist()
-            for i, j in slices([t or "" for t in texts], 2_000_000):
-                split = [words_of(t) for t in texts[i:j]]
-                joined = [b" ".join(w) for w in split]
-                sizes = [len(w) for w in split]
-                owner, _, prints, places = anchors_of(_BOTH(split)[0], sizes)
-                ends = np.searchsorted(owner, np.arange(len(split) + 1))
+            texts = _bytes(batch.column(2))
+            for i, j in slices(texts, 2_000_000):
+                words = Words(texts[i:j])
+                joined, sizes = words.joined(), words.sizes
+                owner, _, prints, places = anchors_of(words.hashes()[0], sizes)
+                ends = np.searchsorted(owner, np.arange(len(sizes) + 1))
                 anchors, loops = [], []
-                for d in range(len(split)):
+                for d in range(len(sizes)):
                     at, mine = places[ends[d] : ends[d + 1]], prints[ends[d] : ends[d + 1]]
                     mine = mine[np.append(True, at[1:] != at[:-1])] if len(at) else mine  # once for each place
                     once = np.unique(mine)
@@ -112,11 +114,10 @@ def picked_windows(rows: DataFrame, bits: np.ndarray, of_rows: np.ndarray | None
             batches = (b.filter(pa.array(bloom_hits(some_rows.value, b.column(3).to_numpy(zero_copy_only=False).astype(np.int64)))) for b in batches)
         only_caches("substring_dedup")
         for batch in in_pieces(batches, 2):
-            texts = batch.column(2).to_pylist()
-            for i, j in slices([t or "" for t in texts], 1_000_000):
-                split = [words_of(t) for t in texts[i:j]]
-                sizes = [len(w) for w in split]
-                one, two = _BOTH(split)
+            texts = _bytes(batch.column(2))
+            for i, j in slices(texts, 1_000_000):
+                words = Words(texts[i:j])
+                sizes, (one, two) = words.sizes, words.hashes()
                 owner, starts, prints, places = anchors_of(one, sizes)
                 turn = np.append(True, places[1:] != places[:-1]) if len(places) else np.zeros(0, bool)
                 keep = bloom_hits(shared.value, prints[turn].view(np.int64))[np.cumsum(turn) - 1] if len(turn) else turn
@@ -220,13 +221,14 @@ class FingerprintLog:
                 self.runs[kind] = [new]
         self.compactions += 1
 
-    def ingest(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    def ingest(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", last: bool = False) -> tuple[DataFrame, DataFrame]:
         """(ord, h, n_words, whole, copy of each row; ord, h, n_removed, kept of each changed text) after comparison
-        with all that came before.  ``copy``: a later copy of a whole text."""
+        with all that came before.  ``copy``: a later copy of a whole text.  ``last``: no batch will be compared with this
+        one, so what only later ones would read (its runs of windows and texts, the merging of runs) is not written."""
         batch = f"{self.path}/batch-{len(self.texts):05d}"
         rows = _rows(docs, id_col, text_col)
         found = written(catalogue(rows), "catalogue", f"{batch}-catalogue")
-        light = self._light(found, batch)
+        light = self._light(found, batch, last)
 
         # Anchors of all rows but copies: the filter tells most rows apart without moving their anchors.
         row = F.xxhash64("ord", "h")
@@ -268,7 +270,8 @@ class FingerprintLog:
         later = some.join(twice, ["w1", "w2"]).where("first < ord").select("ord", "h", "start")
         repeats = written(later.groupBy("ord", "h").agg(F.collect_list("start").alias("starts")), "repeats", f"{batch}-repeats")
         remove_path(self.spark, f"{batch}-windows")
-        self.runs["windows"].append(self._write("windows", own))
+        if not last:
+            self.runs["windows"].append(self._write("windows", own))
         remove_path(self.spark, f"{batch}-own")
         remove_path(self.spark, f"{batch}-twice")
 
@@ -280,11 +283,11 @@ class FingerprintLog:
         for part in ("repeats", "touched"):
             remove_path(self.spark, f"{batch}-{part}")
         self.texts.append(rows)
-        if max(map(len, self.runs.values())) > self.fan_out:
+        if not last and max(map(len, self.runs.values())) > self.fan_out:
             self.compact()
         return light.select("ord", "h", "n_words", "whole", "copy"), changed
 
-    def _light(self, found: DataFrame, batch: str) -> DataFrame:
+    def _light(self, found: DataFrame, batch: str, last: bool) -> DataFrame:
         """The catalogue without anchors, with later copies of whole texts marked; their hashes go into a run."""
         key = F.expr("xxhash64(key)").alias("key")
         own = found.groupBy(key, F.col("key").alias("whole_key")).agg(F.min("ord").alias("first"), F.max("ord").alias("last"))
@@ -296,7 +299,8 @@ class FingerprintLog:
         rows = found.select("ord", "h", "n_words", "key", "whole", "loops", F.pmod(F.xxhash64("ord", "h"), F.lit(SALTS)).cast("int").alias("salt"))
         light = rows.join(salted, ["key", "salt"], "left").select("ord", "h", "n_words", "whole", "loops", F.coalesce((F.col("first") < F.col("ord")) & (F.col("n_words") >= WINDOW), F.lit(False)).alias("copy"))
         light = written(light, "light", f"{batch}-light")
-        self.runs["texts"].append(self._write("texts", own))
+        if not last:
+            self.runs["texts"].append(self._write("texts", own))
         remove_path(self.spark, f"{batch}-keys")
         return light
 
@@ -325,6 +329,7 @@ def deduplicated(docs: DataFrame, batches: int = 3, id_col: str = "doc_id", text
 
     The texts go through the index in ``batches`` batches of ascending ids.
     """
+    own = index is None
     index = index or FingerprintLog(docs.sparkSession)
     parts = [docs]
     if batches > 1:
@@ -333,8 +338,8 @@ def deduplicated(docs: DataFrame, batches: int = 3, id_col: str = "doc_id", text
             ends, of = sorted(set(marks)), F.col(id_col)
             parts = [docs.where((of <= ends[0]) | of.isNull()), *(docs.where((of > a) & (of <= b)) for a, b in zip(ends, ends[1:])), docs.where(of > ends[-1])]
     out = None
-    for part in parts:
-        light, changed = index.ingest(part, id_col, text_col)
+    for i, part in enumerate(parts):
+        light, changed = index.ingest(part, id_col, text_col, last=own and i == len(parts) - 1)
         settled(docs.sparkSession)
         rows = light.join(changed, ["ord", "h"], "left").select(
             F.when(F.col("ord") != UNKNOWN, F.col("ord")).alias("doc_id"), "h", "n_words",

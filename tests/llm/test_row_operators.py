@@ -497,6 +497,26 @@ def test_toxicity_learns_and_cases(spark):
     assert toxicity.predictions(docs.where("false"), labels).count() == 0
 
 
+def test_words_are_found_and_hashed_as_arrays():
+    """Sizes, joined words and equal hashes of equal words only, with every kind of gap, empty texts and long words."""
+    import random
+
+    from codeschema.llm.shingles import Words, words_of
+
+    rng = random.Random(1)
+    signs = ["a", "b", "é", " ", "\x85", "\x00", "\x1c", " ", " ", "\n", "\t", "\x0b", "\r", "\f", "z" * 9, "q" * 300, "日本"]
+    met = {}
+    for _ in range(200):
+        texts = ["".join(rng.choices(signs, k=rng.randint(0, 40))) for _ in range(rng.randint(0, 6))]
+        split = [words_of(t) for t in texts]
+        words = Words([t.encode() for t in texts])
+        assert words.sizes == [len(w) for w in split] and words.joined() == [b" ".join(w) for w in split]
+        one, two = words.hashes()
+        for w, pair in zip([w for s in split for w in s], zip(one.tolist(), two.tolist()), strict=True):
+            assert met.setdefault(w, pair) == pair
+    assert len({a for a, _ in met.values()}) == len({b for _, b in met.values()}) == len(met) > 500
+
+
 def test_caches_of_other_operators_are_emptied():
     from codeschema.llm.base import only_caches
 
